@@ -1,0 +1,53 @@
+"""Cutting lineage: tables written to the folder that all executors share."""
+
+from __future__ import annotations
+
+import tempfile
+import uuid
+
+from pyspark.sql import DataFrame, SparkSession
+
+
+def root(spark: SparkSession) -> str:
+    """The folder named in spark.checkpoint.dir; only without that setting a local one."""
+    named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if not named:
+        named = spark.sparkContext.getCheckpointDir()
+    if not named:
+        named = tempfile.mkdtemp(prefix="cityweave-")
+        spark.sparkContext.setCheckpointDir(named)
+    return named
+
+
+class Scratch:
+    """Names written tables of one run, and removes those that are no longer read."""
+
+    def __init__(self, spark: SparkSession, label: str):
+        self.spark = spark
+        self.base = f"{root(spark).rstrip('/')}/cityweave/{label}-{uuid.uuid4().hex}"
+        self.count = 0
+
+    def keep(self, df: DataFrame, *drop: str) -> DataFrame:
+        """Writes df and returns it as read back; `drop`: paths whose readers have ended."""
+        path = f"{self.base}/{self.count}"
+        self.count += 1
+        df.write.mode("overwrite").option("compression", "zstd").parquet(path)
+        for old in drop:
+            self.remove(old)
+        out = self.spark.read.schema(df.schema).parquet(path)
+        out._scratch_path = path
+        return out
+
+    def remove(self, what: str | DataFrame) -> None:
+        path = what if isinstance(what, str) else what._scratch_path
+        jvm = self.spark._jvm
+        place = jvm.org.apache.hadoop.fs.Path(path)
+        place.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(place, True)
+
+
+def free_shuffles(spark: SparkSession) -> None:
+    """Lets Spark delete shuffle files of plans that nothing refers to any more."""
+    import gc
+
+    gc.collect()
+    spark._jvm.System.gc()
