@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cityweave.llm.scratch import Scratch
+from cityweave.scratch import Scratch
 
 
 def _large_star(edges: DataFrame) -> DataFrame:
