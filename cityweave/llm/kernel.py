@@ -134,12 +134,13 @@ def window_hash(word_hash: np.ndarray, offsets: tuple[int, ...], width: int) ->
     return mix(out)
 
 
-def gram_counts(data: np.ndarray, offsets: np.ndarray, dims: int, size: int = 3) -> np.ndarray:
-    """Counts of case-folded byte n-grams by hash bucket, one row of `dims` for each document."""
+def gram_counts(data: np.ndarray, offsets: np.ndarray, dims: int, size: int = 3, fold: bool = True) -> np.ndarray:
+    """Counts of (case-folded) byte n-grams by hash bucket, one row of `dims` for each document."""
     n_docs, n = len(offsets) - 1, len(data) - size + 1
     if n <= 0:
         return np.zeros((n_docs, dims), np.float32)
-    folded = LOWER[np.where(SEPARATOR[data], 32, data)].astype(np.uint32)
+    plain = np.where(SEPARATOR[data], np.uint8(32), data)
+    folded = (LOWER[plain] if fold else plain).astype(np.uint32)
     code = np.zeros(n, np.uint32)
     for k in range(size):
         code = code * np.uint32(0x01000193) + folded[k : k + n]
