@@ -7,7 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cityweave.llm import decontam, langid, packing, pii, quality, simhash, urlfilter
+from cityweave.llm import decontam, langid, licenses, packing, pii, quality, simhash, urlfilter
+from cityweave.scratch import Scratch
 from cityweave.session import ship
 
 
@@ -41,6 +42,13 @@ def op6_hierarchical_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", langid.held_out(F.col("doc_id")).alias("held_out"), "lang_pred", "score")
 
 
+def op7_inherited_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    # the table has no paths: a source is a tree with a directory for each language
+    path = F.concat_ws("/", F.coalesce("source", F.lit("-")), F.coalesce("lang", F.lit("-")), F.concat(F.col("doc_id").cast("string"), F.lit(".txt")))
+    return licenses.license_scan(docs.select("doc_id", path.alias("path"), "text"), Scratch(spark, "licenses"))
+
+
 def _count(spans: Column, kind: str) -> Column:
     return F.size(F.filter(spans, lambda s: s["kind"] == pii.KINDS.index(kind))).cast("long").alias(f"n_{kind}")
 
@@ -74,6 +82,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
         op4_neighbour_quality,
         op5_spaced_seed_decontamination,
         op6_hierarchical_language,
+        op7_inherited_licenses,
         op8_bootstrapped_pii,
         op9_simhash_trie,
         op10_certified_packing,
