@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cityweave.llm import decontam, langid, licenses, packing, pii, quality, simhash, urlfilter
+from cityweave.llm import decontam, langid, licenses, packing, pii, quality, simhash, suffix, urlfilter
 from cityweave.scratch import Scratch
 from cityweave.session import ship
 
@@ -17,6 +17,10 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_suffix_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix.without_repeats(table(spark, sf_dir, "documents"))
+
+
 def op2_weighted_url_terms(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urlfilter.judged(table(spark, sf_dir, "pages"))
 
@@ -77,6 +81,7 @@ def op10_certified_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
     for f in (
+        op1_suffix_repeats,
         op2_weighted_url_terms,
         op3_boosted_quality_rules,
         op4_neighbour_quality,
