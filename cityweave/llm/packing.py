@@ -9,7 +9,10 @@ together anew and packed again, as long as that saves bins.
 
 from __future__ import annotations
 
+import re
 import zlib
+from collections.abc import Iterator
+from functools import cache
 
 import numpy as np
 import pandas as pd
@@ -20,37 +23,83 @@ from pyspark.sql import functions as F
 from cityweave.llm.kernel import blocks
 from cityweave.scratch import Scratch
 
-#: Distinct space-delimited chunks whose ids a worker remembers.
-MEMORY = 400_000
+#: Distinct chunks and distinct words whose ids a worker remembers.
+CHUNKS, WORDS = 300_000, 200_000
+
+# A word of Latin letters and then punctuation, without apostrophes: what a
+# chunk nearly always is. Such a chunk's ids are its word's and its punctuation's.
+SIMPLE = re.compile(r"([A-Za-z\u00C0-\u00D6\u00D8-\u00F6\u00F8-\u00FF]*)([!-&(-/:-@\[-`{-~]*)")
 
 
 class ChunkTokenizer:
-    """Token ids of whole texts, by remembered ids of their space-delimited chunks.
+    """Token ids of whole texts, by remembered ids of their chunks between ASCII white space.
 
-    Only right for tokenizers whose ids don't reach over ASCII white space; that
-    holds where the normaliser works on single characters and the pre-tokeniser
-    drops white space.
+    Only right for tokenizers whose ids don't reach over white space, whose
+    normaliser composes and lower-cases characters, and whose pre-tokeniser
+    parts letters from punctuation and drops white space. New words go through
+    the tokenizer's own model many at a time; its tokens that end a word tell
+    where the next one begins. Other chunks go through the tokenizer as they are.
     """
 
     def __init__(self, path: str):
-        from tokenizers import Tokenizer
-
-        self.tokenizer = Tokenizer.from_file(path)
-        self.known: dict[bytes, bytes] = {}
-
-    def ids(self, texts: list[str | None]) -> list[bytes]:
+        from tokenizers import Tokenizer, normalizers, pre_tokenizers
+
+        self.whole = Tokenizer.from_file(path)
+        self.words = Tokenizer.from_file(path)
+        self.words.normalizer = normalizers.NFC()
+        self.words.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
+        vocabulary = self.whole.get_vocab()
+        self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
+        self.ends[[k for token, k in vocabulary.items() if token.endswith("</w>")]] = True
+        self.by_chunk: dict[bytes, bytes] = {}
+        self.by_word: dict[str, bytes] = {"": b""}
+
+    def _plain(self, text: str) -> bytes:
+        return np.array(self.whole.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+
+    def _learn_words(self, words: list[str]) -> None:
+        for k in range(0, len(words), 4096):
+            part = words[k : k + 4096]
+            ids = np.array(self.words.encode(" ".join(part), add_special_tokens=False).ids, "<u4")
+            stops = np.flatnonzero(self.ends[ids]) + 1
+            if len(stops) == len(part):
+                low = 0
+                for word, high in zip(part, stops.tolist(), strict=True):
+                    self.by_word[word] = ids[low:high].tobytes()
+                    low = high
+            else:
+                for word in part:
+                    self.by_word[word] = self._plain(word)
+
+    def _learn(self, chunks: set[bytes]) -> None:
+        parted = []
+        for chunk in chunks:
+            text = chunk.decode()
+            if m := SIMPLE.fullmatch(text):
+                parted.append((chunk, m[1].lower(), m[2]))
+            else:
+                self.by_chunk[chunk] = self._plain(text)
+        if len(self.by_word) > WORDS:
+            self.by_word = {"": b""}
+        new = {w for _, *both in parted for w in both if w not in self.by_word}
+        self._learn_words(list(new))
+        for chunk, word, marks in parted:
+            self.by_chunk[chunk] = self.by_word[word] + self.by_word[marks]
+
+    def ids(self, texts: list[str | None]) -> Iterator[bytes]:
         """Little-endian unsigned 32-bit ids of each text."""
         split = [(t or "").encode().split() for t in texts]
-        new = {c for chunks in split for c in chunks if c not in self.known}
-        if len(self.known) + len(new) > MEMORY:
-            self.known.clear()
-            new = {c for chunks in split for c in chunks}
-        fresh = list(new)
-        for k in range(0, len(fresh), 20_000):
-            part = fresh[k : k + 20_000]
-            for chunk, e in zip(part, self.tokenizer.encode_batch_fast([c.decode() for c in part], add_special_tokens=False), strict=True):
-                self.known[chunk] = np.array(e.ids, "<u4").tobytes()
-        return [b"".join(map(self.known.__getitem__, chunks)) for chunks in split]
+        if len(self.by_chunk) > CHUNKS:
+            self.by_chunk = {}
+        self._learn({c for chunks in split for c in chunks if c not in self.by_chunk})
+        for chunks in split:
+            yield b"".join(map(self.by_chunk.__getitem__, chunks))
+
+
+@cache
+def chunk_tokenizer(path: str) -> ChunkTokenizer:
+    """One for each worker process: what it remembers serves the next tasks too."""
+    return ChunkTokenizer(path)
 
 
 def pieces(docs: DataFrame, tokenizer_path: str, capacity: int = 4096, end_id: int = 1) -> DataFrame:
@@ -62,7 +111,7 @@ def pieces(docs: DataFrame, tokenizer_path: str, capacity: int = 4096, end_id: i
     schema = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
     def run(batches):
-        own = ChunkTokenizer(tokenizer_path)
+        own = chunk_tokenizer(tokenizer_path)
         for batch in blocks(batches):
             rows = []
             for doc, ids in zip(batch.column(0).to_pylist(), own.ids(batch.column(1).to_pylist()), strict=True):
