@@ -24,7 +24,7 @@ from cityweave.llm.kernel import blocks
 from cityweave.scratch import Scratch
 
 #: Distinct chunks and distinct words whose ids a worker remembers.
-CHUNKS, WORDS = 300_000, 200_000
+CHUNKS, WORDS = 600_000, 500_000
 
 # A word of Latin letters and then punctuation, without apostrophes: what a
 # chunk nearly always is. Such a chunk's ids are its word's and its punctuation's.
