@@ -75,13 +75,17 @@ class LanguageModel:
 
 
 def features(counts: np.ndarray) -> np.ndarray:
-    x = np.log1p(counts)
-    return x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-9)
+    """Logarithms of counts, rows of length one; works in place."""
+    np.log1p(counts, out=counts)
+    counts /= np.maximum(np.linalg.norm(counts, axis=1, keepdims=True), 1e-9)
+    return counts
 
 
 def fit(texts: list[str], langs: list[str], dims: int = 4096, penalty: float = 1e-3) -> LanguageModel:
-    counts = np.concatenate([gram_counts(*buffers(pa.array([t], pa.string())), dims) for t in texts]) if texts else np.zeros((0, dims), np.float32)
-    x, langs_ = features(counts).astype(float), np.array(langs, object)
+    x = np.zeros((len(texts), dims), np.float32)
+    for k, t in enumerate(texts):
+        x[k] = gram_counts(*buffers(pa.array([t], pa.string())), dims)[0]
+    x, langs_ = features(x), np.array(langs, object)
     families: dict[str, list[str]] = {}
     for lang in sorted(set(langs)):
         families.setdefault(FAMILY_OF.get(lang, f"only {lang}"), []).append(lang)
@@ -114,7 +118,7 @@ def training_sample(docs: DataFrame, label: str, per_class: int, text: str = "te
     return own.where(F.pmod(F.xxhash64(F.col("doc_id"), F.lit(17)), F.lit(1 << 20)) < share * (1 << 20)).select("doc_id", text, label)
 
 
-def train(docs: DataFrame, per_class: int = 800, dims: int = 4096) -> LanguageModel:
+def train(docs: DataFrame, per_class: int = 500, dims: int = 4096) -> LanguageModel:
     """Learns from a bounded sample (per_class rows of each language) of rows not held out."""
     rows = sorted(training_sample(docs.select("doc_id", "text", "lang"), "lang", per_class).collect())
     return fit([r.text for r in rows], [r.lang for r in rows], dims)

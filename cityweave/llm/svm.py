@@ -12,7 +12,7 @@ def linear_svm(x: np.ndarray, y: np.ndarray, penalty: float = 1e-3, rounds: int
     sample, so many features cost no more than few.
     """
     n = len(y)
-    gram = x @ x.T + 1.0
+    gram = (x @ x.T).astype(np.float64) + 1.0
     support = np.ones(n, bool)
     weight = np.zeros(n)
     for _ in range(rounds):
@@ -23,4 +23,4 @@ def linear_svm(x: np.ndarray, y: np.ndarray, penalty: float = 1e-3, rounds: int
         if np.array_equal(now, support) or not now.any():
             break
         support = now
-    return x.T @ weight, float(weight.sum())
+    return x.T @ weight.astype(x.dtype), float(weight.sum())
