@@ -22,8 +22,6 @@ SEGMENT = "struct<x1:double,y1:double,x2:double,y2:double>"
 STRIP = "struct<x1:double,y1:double,x2:double,y2:double,s:double>"
 BOX = "struct<xmin:double,ymin:double,xmax:double,ymax:double>"
 
-ZERO = F.lit(0.0)
-
 
 def let(value: Column, body: Callable[[Column], Column]) -> Column:
     """body(value) with value worked out once."""
@@ -76,12 +74,12 @@ def ring_area(ring: Column) -> Column:
         o = F.element_at(r, 1)
         return total(ring_segments(r), lambda e: (e["x1"] - o["x"]) * (e["y2"] - o["y"]) - (e["x2"] - o["x"]) * (e["y1"] - o["y"])) / 2
 
-    return F.when(F.size(ring) > 2, let(ring, signed)).otherwise(ZERO)
+    return F.when(F.size(ring) > 2, let(ring, signed)).otherwise(F.lit(0.0))
 
 
 def area(rings: Column) -> Column:
     """Outer ring less holes."""
-    return let(F.transform(rings, lambda r: F.abs(ring_area(r))), lambda a: F.when(F.size(a) > 0, 2 * F.element_at(a, 1) - total(a)).otherwise(ZERO))
+    return let(F.transform(rings, lambda r: F.abs(ring_area(r))), lambda a: F.when(F.size(a) > 0, 2 * F.element_at(a, 1) - total(a)).otherwise(F.lit(0.0)))
 
 
 def length(segs: Column) -> Column:
@@ -99,7 +97,7 @@ def centroid(rings: Column) -> Column:
             cross = ax * by - bx * ay
             return F.struct((acc["a"] + cross).alias("a"), (acc["x"] + (ax + bx) * cross).alias("x"), (acc["y"] + (ay + by) * cross).alias("y"))
 
-        start = F.struct(ZERO.alias("a"), ZERO.alias("x"), ZERO.alias("y"))
+        start = F.struct(F.lit(0.0).alias("a"), F.lit(0.0).alias("x"), F.lit(0.0).alias("y"))
         return F.aggregate(ring_segments(r), start, weigh, lambda s: F.struct((o["x"] + s["x"] / (3 * s["a"])).alias("x"), (o["y"] + s["y"] / (3 * s["a"])).alias("y")))
 
     return let(F.element_at(rings, 1), of)
@@ -188,7 +186,7 @@ def _lower_area(e: Column, f: Column, x0: Column, y0: Column) -> Column:
 
         return F.when((left <= 0) & (right <= 0), lower_e).when((left >= 0) & (right >= 0), lower_f).otherwise(let(left / (left - right), crossed))
 
-    return F.when(low < high, let(ends, integral)).otherwise(ZERO)
+    return F.when(low < high, let(ends, integral)).otherwise(F.lit(0.0))
 
 
 def intersection_area(a: Column, b: Column, base_y: Column) -> Column:
@@ -198,12 +196,12 @@ def intersection_area(a: Column, b: Column, base_y: Column) -> Column:
     both edges. No clipping takes place, so any simple polygons do, with holes
     or concave.
     """
-    return F.aggregate(a, F.lit(0.0), lambda acc, e: acc + F.aggregate(b, F.lit(0.0), lambda inner, f: inner + e["s"] * f["s"] * _lower_area(e, f, ZERO, base_y)))
+    return F.aggregate(a, F.lit(0.0), lambda acc, e: acc + F.aggregate(b, F.lit(0.0), lambda inner, f: inner + e["s"] * f["s"] * _lower_area(e, f, F.lit(0.0), base_y)))
 
 
 def box_overlap(a: Column, b: Column) -> Column:
     """Common area of two boxes."""
-    return F.greatest(F.least(a["xmax"], b["xmax"]) - F.greatest(a["xmin"], b["xmin"]), ZERO) * F.greatest(F.least(a["ymax"], b["ymax"]) - F.greatest(a["ymin"], b["ymin"]), ZERO)
+    return F.greatest(F.least(a["xmax"], b["xmax"]) - F.greatest(a["xmin"], b["xmin"]), F.lit(0.0)) * F.greatest(F.least(a["ymax"], b["ymax"]) - F.greatest(a["ymin"], b["ymin"]), F.lit(0.0))
 
 
 def _on_axis(e: Column, f: Column, eps: float) -> Column:
@@ -216,10 +214,10 @@ def _on_axis(e: Column, f: Column, eps: float) -> Column:
         t2 = ((f["x2"] - e["x1"]) * dx + (f["y2"] - e["y1"]) * dy) / n
         off1 = F.abs((f["x1"] - e["x1"]) * dy - (f["y1"] - e["y1"]) * dx) / n
         off2 = F.abs((f["x2"] - e["x1"]) * dy - (f["y2"] - e["y1"]) * dx) / n
-        common = F.least(F.greatest(t1, t2), n) - F.greatest(F.least(t1, t2), ZERO)
-        return F.when((off1 <= eps) & (off2 <= eps), F.greatest(common, ZERO)).otherwise(ZERO)
+        common = F.least(F.greatest(t1, t2), n) - F.greatest(F.least(t1, t2), F.lit(0.0))
+        return F.when((off1 <= eps) & (off2 <= eps), F.greatest(common, F.lit(0.0))).otherwise(F.lit(0.0))
 
-    return F.when(run > 0, let(run, along)).otherwise(ZERO)
+    return F.when(run > 0, let(run, along)).otherwise(F.lit(0.0))
 
 
 def shared_length(a: Column, b: Column, eps: float = 1e-6) -> Column:
@@ -230,13 +228,13 @@ def shared_length(a: Column, b: Column, eps: float = 1e-6) -> Column:
 def _to_segment(x: Column, y: Column, e: Column) -> Column:
     dx, dy = e["x2"] - e["x1"], e["y2"] - e["y1"]
     norm = dx * dx + dy * dy
-    t = F.when(norm > 0, F.least(F.greatest(((x - e["x1"]) * dx + (y - e["y1"]) * dy) / F.when(norm > 0, norm), ZERO), F.lit(1.0))).otherwise(ZERO)
+    t = F.when(norm > 0, F.least(F.greatest(((x - e["x1"]) * dx + (y - e["y1"]) * dy) / F.when(norm > 0, norm), F.lit(0.0)), F.lit(1.0))).otherwise(F.lit(0.0))
     return let(t, lambda u: F.hypot(x - e["x1"] - u * dx, y - e["y1"] - u * dy))
 
 
 def segment_distance(e: Column, f: Column) -> Column:
     ends = F.least(_to_segment(e["x1"], e["y1"], f), _to_segment(e["x2"], e["y2"], f), _to_segment(f["x1"], f["y1"], e), _to_segment(f["x2"], f["y2"], e))
-    return F.when(segments_meet(e, f), ZERO).otherwise(ends)
+    return F.when(segments_meet(e, f), F.lit(0.0)).otherwise(ends)
 
 
 def boundaries_meet(a: Column, b: Column) -> Column:
@@ -259,7 +257,7 @@ def intersects(a: Column, b: Column, a_filled: bool = True, b_filled: bool = Tru
 
 def distance(a: Column, b: Column, a_filled: bool = True, b_filled: bool = True) -> Column:
     apart = F.array_min(F.transform(a, lambda e: F.array_min(F.transform(b, lambda f: segment_distance(e, f)))))
-    return F.when(intersects(a, b, a_filled, b_filled), ZERO).otherwise(apart)
+    return F.when(intersects(a, b, a_filled, b_filled), F.lit(0.0)).otherwise(apart)
 
 
 def point_distance(segs: Column, x: Column, y: Column) -> Column:
@@ -314,12 +312,12 @@ def faces(rings: Column, height: Column) -> Column:
         return F.struct(p["x"].alias("x"), p["y"].alias("y"), z.cast("double").alias("z"))
 
     outer = F.element_at(rings, 1)
-    floor = F.reverse(F.transform(outer, lambda p: at(p, ZERO)))
+    floor = F.reverse(F.transform(outer, lambda p: at(p, F.lit(0.0))))
     roof = F.transform(outer, lambda p: at(p, height))
 
     def wall(e: Column) -> Column:
         corner = lambda x, y, z: F.struct(x.alias("x"), y.alias("y"), z.cast("double").alias("z"))
-        return F.array(corner(e["x1"], e["y1"], ZERO), corner(e["x2"], e["y2"], ZERO), corner(e["x2"], e["y2"], height), corner(e["x1"], e["y1"], height))
+        return F.array(corner(e["x1"], e["y1"], F.lit(0.0)), corner(e["x2"], e["y2"], F.lit(0.0)), corner(e["x2"], e["y2"], height), corner(e["x1"], e["y1"], height))
 
     return F.concat(F.array(floor), F.transform(ring_segments(outer), wall), F.array(roof))
 

@@ -7,6 +7,7 @@ import struct
 import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from cityweave.functions.geom import LINE, RINGS
 
@@ -79,7 +80,7 @@ def parse_any(text: str | None) -> list[list[tuple[float, ...]]]:
     return out
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def wkt_area(texts: pd.Series) -> pd.Series:
     """Area of POLYGON text, in Arrow batches: for text that the expression parser doesn't know."""
 
@@ -95,7 +96,7 @@ def wkt_area(texts: pd.Series) -> pd.Series:
     return texts.map(area)
 
 
-@F.pandas_udf("binary")
+@F.pandas_udf(T.BinaryType())
 def polygon_wkb(texts: pd.Series) -> pd.Series:
     """Little-endian well-known binary of POLYGON text."""
 
@@ -111,7 +112,7 @@ def polygon_wkb(texts: pd.Series) -> pd.Series:
     return texts.map(encode)
 
 
-@F.pandas_udf(RINGS)
+@F.pandas_udf(T.ArrayType(T.ArrayType(T.StructType().add("x", "double").add("y", "double"))))
 def from_polygon_wkb(blobs: pd.Series) -> pd.Series:
     """Rings of little-endian well-known binary polygons; the closing point of a ring goes."""
 

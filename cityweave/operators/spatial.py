@@ -43,6 +43,16 @@ def candidates(a: DataFrame, b: DataFrame, cell_m: float = CELL_M, pad: float =
     return pairs.where(_meets(F.col("a_box"), F.col("b_box"), pad, strict) & own).select("a_id", "b_id", "a_box", "b_box")
 
 
+#: Boxes of a side that may be sent to all tasks.
+BROADCAST_ROWS = 200_000
+
+
+def candidates_broadcast(a: DataFrame, b: DataFrame, cell_m: float = CELL_M, pad: float = 0.0, strict: bool = False) -> DataFrame:
+    """As candidates, with b sent to all tasks if it is small; the shuffled way otherwise."""
+    small = b.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
+    return candidates(a, b, cell_m, pad, strict, broadcast=small)
+
+
 def candidates_brute(a: DataFrame, b: DataFrame, pad: float = 0.0, strict: bool = False) -> DataFrame:
     """The baseline: every box of a against every box of b. Quadratic, for comparison only."""
     left = a.select(F.col("id").alias("a_id"), F.col("bbox").alias("a_box"))

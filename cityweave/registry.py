@@ -2,10 +2,185 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 
-def queries() -> dict:
-    return {}
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from cityweave import measures, oracles, workload
+from cityweave.context import Context, context
+from cityweave.functions import crs, geom, wkt
+from cityweave.operators import linker, relational, spatial
+from cityweave.plans import assoc, graph, ontology
+from cityweave.sources import init
+from cityweave.streaming import feeds
+
+Query = Callable[[SparkSession, str], DataFrame]
+
+
+def _rounded(df: DataFrame, *names: str, digits: int = 6) -> DataFrame:
+    return df.withColumns({n: F.round(n, digits) for n in names})
+
+
+def _layer(df: DataFrame, key: str) -> DataFrame:
+    return df.select(F.col(key).alias("id"), "bbox")
+
+
+def _ground(c: Context) -> DataFrame:
+    return c.city.ground
+
+
+def _pairs(c: Context, strict: bool = True) -> DataFrame:
+    """Candidate pairs of both layers with their shapes."""
+    city, crowd = c.city.ground, c.city.crowd
+    found = spatial.candidates(_layer(city, "surface_id"), _layer(crowd, "area_id"), strict=strict)
+    a = city.select(F.col("surface_id").alias("a_id"), F.col("rings").alias("a"))
+    b = crowd.select(F.col("area_id").alias("b_id"), F.col("rings").alias("b"))
+    return found.join(a, "a_id").join(b, "b_id").withColumnsRenamed({"a_id": "surface_id", "b_id": "area_id"})
+
+
+def _neighbours(c: Context, pad: float, less: bool = False) -> DataFrame:
+    """Pairs of ground surfaces whose boxes are within pad, with their edges."""
+    g = c.city.ground
+    found = spatial.candidates(_layer(g, "surface_id"), _layer(g, "surface_id"), pad=pad).where("a_id < b_id" if less else "a_id <> b_id")
+    side = lambda n: g.select(F.col("surface_id").alias(f"{n}_id"), geom.segments(F.col("rings")).alias(n))
+    return found.join(side("a"), "a_id").join(side("b"), "b_id").withColumnsRenamed({"a_id": "surface_id", "b_id": "neighbour_id"})
+
+
+def _first_slots(df: DataFrame) -> DataFrame:
+    """Pairs within a block from its first surface, where nothing is turned."""
+    block = F.floor(F.col("surface_id") / 8)
+    return df.where((F.col("surface_id") % 8 == 0) & (block % 5 != 3) & (F.floor(F.col("neighbour_id") / 8) == block))
+
+
+_FAR = 60.0
+
+LINKER: dict[str, Callable[[Context], DataFrame]] = {
+    "fx_city_surface": lambda c: _rounded(c.city.ground.join(c.city.buildings.select("building_id", "roof_code"), "building_id").select("surface_id", "building_id", "height_m", "roof_code", "area_m2", wkt.polygon_wkt(F.col("rings")).alias("shape")), "area_m2"),
+    "fx_crowd_area": lambda c: _rounded(c.city.crowd.select("area_id", "label", "class", "area_m2", wkt.polygon_wkt(F.col("rings")).alias("shape")), "area_m2"),
+    "fx_truth_edges": lambda c: _rounded(c.links.edges.select("surface_id", "area_id", "ratio"), "ratio"),
+    "link_edges": lambda c: _rounded(linker.relations(linker.direct_match(c.city.ground, c.city.crowd)).select("surface_id", "area_id", "ratio", "relation"), "ratio"),
+    "link_classes_group": lambda c: linker.classify(c.links.edges, c.city.ground, c.city.crowd),
+    "link_classes_degree": lambda c: linker.classify(c.links.edges, c.city.ground, c.city.crowd, "degree"),
+    "link_groups": lambda c: linker.groups(c.links.edges, c.scratch),
+    "link_adjacent_edge": lambda c: _rounded(linker.adjacent(c.city.ground, c.links.edges), "shared_m"),
+    "link_adjacent_touch": lambda c: _rounded(linker.adjacent(c.city.ground, c.links.edges, rule="touch"), "shared_m"),
+    "link_adjacent_gap": lambda c: _rounded(linker.adjacent(c.city.ground, c.links.edges, rule="gap"), "shared_m"),
+    "link_adjacent_transitive": lambda c: _rounded(linker.adjacent(c.city.ground, c.links.edges, hops=None, scratch=c.scratch), "shared_m"),
+    "link_adjacent_longest": lambda c: _rounded(linker.adjacent(c.city.ground, c.links.edges, pick="longest"), "shared_m"),
+    "link_poi": lambda c: c.links.poi_links,
+    "link_poi_direct": lambda c: linker.poi_match_direct(c.city.pois, c.city.ground),
+    "link_summary": lambda c: linker.summary(c.links),
+    "link_sweep": lambda c: linker.sweep(c.city.ground, c.city.crowd),
+    "link_ablate": lambda c: linker.ablate_steps(c.links),
+    "link_audit": lambda c: linker.audit(c.links.edges, c.links.edges),
+    "sp_candidates": lambda c: spatial.candidates(_layer(c.city.ground, "surface_id"), _layer(c.city.crowd, "area_id")).select("a_id", "b_id"),
+    "sp_candidates_brute": lambda c: spatial.candidates_brute(_layer(c.city.ground, "surface_id"), _layer(c.city.crowd, "area_id")).select("a_id", "b_id"),
+    "sp_candidates_adaptive": lambda c: spatial.candidates_adaptive(_layer(c.city.ground, "surface_id"), _layer(c.city.crowd, "area_id"), max_per_cell=3).select("a_id", "b_id"),
+    "sp_candidates_broadcast": lambda c: spatial.candidates_broadcast(_layer(c.city.ground, "surface_id"), _layer(c.city.crowd, "area_id")).select("a_id", "b_id"),
+    "sp_join_overlap": lambda c: _rounded(linker.overlaps(c.city.ground, c.city.crowd), "ratio"),
+    "sp_join_contains": lambda c: spatial.points_in_polygons(c.city.pois.select(F.col("poi_id").alias("point_id"), "x", "y"), c.city.crowd),
+    "sp_join_dwithin": lambda c: spatial.lines_near_polygons(c.city.roads.select(F.col("road_id").alias("line_id"), "pts", "bbox"), c.city.ground.select(F.col("surface_id").alias("area_id"), "rings", "bbox"), 20.0),
+    "sp_knn_road": lambda c: _rounded(spatial.nearest_lines(c.city.pois.select(F.col("poi_id").alias("point_id"), "x", "y"), c.city.roads.select(F.col("road_id").alias("line_id"), "pts", "bbox"), 60.0), "d"),
+}
+
+_SAME = {"sp_candidates_brute": "sp_candidates", "sp_candidates_adaptive": "sp_candidates", "sp_candidates_broadcast": "sp_candidates"}
+
+GEOMETRY: dict[str, Callable[[Context], DataFrame]] = {
+    "geo_area": lambda c: c.city.ground.select("surface_id", F.round(geom.area(F.col("rings")), 6).alias("area")),
+    "geo_bbox": lambda c: c.city.ground.select("surface_id", *[F.round(f"bbox.{k}", 6).alias(k) for k in ("xmin", "ymin", "xmax", "ymax")]),
+    "geo_centroid": lambda c: c.city.ground.select("surface_id", geom.centroid(F.col("rings")).alias("m")).select("surface_id", F.round("m.x", 6).alias("x"), F.round("m.y", 6).alias("y")),
+    "geo_length": lambda c: c.city.ground.select("surface_id", F.round(geom.length(geom.segments(F.col("rings"))), 6).alias("length")),
+    "geo_contains_point": lambda c: c.city.pois.join(c.city.crowd.select(F.col("area_id").alias("host_hint"), geom.segments(F.col("rings")).alias("s")), "host_hint").select("poi_id", geom.contains_point(F.col("s"), F.col("x"), F.col("y")).alias("inside")),
+    "geo_intersection_area": lambda c: _pairs(c).select("surface_id", "area_id", F.round(geom.intersection_area(geom.strips(F.col("a")), geom.strips(F.col("b")), F.least("a_box.ymin", "b_box.ymin")), 6).alias("common")).where("common > 0"),
+    "geo_intersects": lambda c: _pairs(c, strict=False).where(geom.intersects(geom.segments(F.col("a")), geom.segments(F.col("b")))).select("surface_id", "area_id"),
+    "geo_shared_length": lambda c: _neighbours(c, 1e-6, less=True).select("surface_id", "neighbour_id", F.round(geom.shared_length(F.col("a"), F.col("b")), 6).alias("shared_m")).where("shared_m > 0"),
+    "geo_distance": lambda c: _first_slots(_neighbours(c, _FAR)).select("surface_id", "neighbour_id", F.round(geom.distance(F.col("a"), F.col("b")), 6).alias("d")),
+    "geo_dwithin": lambda c: _first_slots(_neighbours(c, _FAR)).where(geom.dwithin(F.col("a"), F.col("b"), 5.0)).select("surface_id", "neighbour_id"),
+    "geo_buffer_area": lambda c: c.city.roads.select("road_id", geom.buffer(geom.line_segments(F.col("pts")), 20.0).alias("zone")).select("road_id", F.round(geom.total(F.col("zone"), lambda p: geom.area(p)) - geom.intersection_area(geom.strips(F.get("zone", F.lit(0))), geom.strips(F.get("zone", F.lit(1))), geom.bbox(F.get("zone", F.lit(0)))["ymin"] - 10), 4).alias("area")),
+    "geo_extrude_volume": lambda c: c.city.ground.select("surface_id", F.round(geom.volume(F.col("area_m2"), F.col("height_m")), 6).alias("volume"), geom.face_count(F.col("rings")).alias("faces")),
+    "geo_wkt": lambda c: c.city.ground.select("surface_id", wkt.polygon_wkt(F.col("rings")).alias("shape")),
+    "geo_reproject": lambda c: c.city.roads.select("road_id", F.posexplode(crs.reproject("pts", crs.LOCAL, crs.GEOGRAPHIC)).alias("i", "p")).select("road_id", "i", F.round("p.x", 9).alias("lon"), F.round("p.y", 9).alias("lat")),
+    "geo_cells": lambda c: c.city.ground.select("surface_id", F.explode(geom.cells(F.col("bbox"), 32.0)).alias("c")).select("surface_id", "c.cx", "c.cy"),
+    "geo_morton": lambda c: c.city.ground.select("surface_id", geom.morton(F.floor(F.col("bbox.xmin") / 32), F.floor(F.col("bbox.ymin") / 32)).alias("morton")),
+    "geo_clip_convex": lambda c: _pairs(c).where("not (floor(area_id / 6) % 5 = 3 and area_id % 6 = 4)").select("surface_id", "area_id", F.round(F.abs(geom.ring_area(geom.clip_convex(F.element_at("a", 1), F.element_at(geom.ccw(F.col("b")), 1)))), 6).alias("common")).where("common > 0"),
+}
+
+
+def _types(c: Context) -> DataFrame:
+    """How many subjects have each class, of a few classes, by entailment."""
+    wanted = ["CrowdElement", "SpatialFeature", "Feature", "Building"]
+    kinds = {"cw:CrowdElement": ("crowd", "poi", "road"), "cw:Building": ("building",)}
+    found = None
+    for base, sources in kinds.items():
+        for s in sources:
+            for above in sorted(c.ontology.ancestors(base)):
+                if above.removeprefix("cw:") in wanted:
+                    part = c.store.sources[s].frame().select(F.lit(above).alias("type"))
+                    found = part if found is None else found.unionByName(part)
+    return found.groupBy("type").agg(F.count("*").alias("n"))
+
+
+def _refresh_equal(c: Context) -> DataFrame:
+    """Triples that a refresh of every tenth building lacks, or has beyond what writing all anew gives."""
+    keys = ["s", "p", "o"]
+    changed = c.triples.where("s rlike '^cw:b/[0-9]*0$'").select("s").distinct()
+    new = c.triples.join(changed, "s", "left_semi")
+    after = graph.refresh(c.triples, changed, new).select(keys)
+    both = [after.exceptAll(c.triples.select(keys)).agg(F.count("*").alias("extra")), c.triples.select(keys).exceptAll(after).agg(F.count("*").alias("missing"))]
+    return both[1].join(both[0])
+
+
+def _diff(c: Context) -> DataFrame:
+    """What changes in the graph when every tenth building grows by a metre."""
+    heights = c.triples.where("p = 'cw:height'").select("s", "p", "o")
+    tenth = F.col("s").rlike("^cw:b/[0-9]*0$")
+    grown = heights.withColumn("o", F.when(tenth, (F.col("o").cast("double") + 1).cast("string")).otherwise(F.col("o")))
+    return graph.difference(heights, grown)
+
+
+GRAPH: dict[str, Callable[[Context], DataFrame]] = {
+    "onto_clashes": lambda c: ontology.clashes(c.spark, ontology.load(ontology.vocabulary_spec(with_clashes=True))),
+    "onto_closure": lambda c: ontology.closure(c.spark, c.ontology),
+    "onto_subtree": lambda c: ontology.subtree(c.spark, c.ontology, "cw:CrowdElement"),
+    "reason_types": _types,
+    "assoc_nodes": lambda c: assoc.nodes(c.links.links),
+    "assoc_class_nodes": lambda c: assoc.class_nodes(c.city.crowd_classes),
+    "assoc_same_as": lambda c: assoc.same_as(c.links.links),
+    "kg_triples_per_predicate": lambda c: c.triples.where("p <> 'rdf:type'").groupBy("p").agg(F.count("*").alias("n")),
+    "kg_triples_sample": lambda c: c.triples.where("p in ('cw:height', 'cw:roofLabel', 'cw:hasSolid') and s like 'cw:b/%' and cast(substr(s, 6) as long) < 50").select("s", "p", "o"),
+    "kg_refresh_equal": _refresh_equal,
+    "kg_diff": _diff,
+    "kg_class_counts": lambda c: c.virtual.query("SELECT ?named (COUNT(?x) AS ?n) { ?x cw:assignsClass ?named ; cw:elementOf ?e } GROUP BY ?named").select(F.replace("named", F.lit("cw:ci/"), F.lit("")).alias("class"), "n").where("class <> 'Poi'"),
+}
+
+
+def _workload() -> dict[str, Callable[[Context], DataFrame]]:
+    out: dict[str, Callable[[Context], DataFrame]] = {}
+    for key, text in workload.QUERIES.items():
+        out[key] = lambda c, k=key, t=text: workload.finished(k, c.virtual.query(t))
+        out[f"{key}_naive"] = lambda c, k=key, t=text: workload.finished(k, c.naive.query(t))
+        out[f"{key}_sql"] = lambda c, k=key: c.by_hand.query(k)
+        for layout in graph.LAYOUTS:
+            out[f"{key}_mkg_{layout}"] = lambda c, k=key, t=text, how=layout: workload.finished(k, c.materialized(how).query(t))
+    out["q10_sql_published"] = lambda c: c.by_hand.published_sql()
+    return out
+
+
+def _over_context(fn: Callable[[Context], DataFrame]) -> Query:
+    return lambda spark, sf_dir: fn(context(spark, sf_dir))
+
+
+def queries() -> dict[str, Query]:
+    by_context = LINKER | GEOMETRY | GRAPH | _workload() | init.QUERIES | relational.QUERIES | feeds.QUERIES | measures.QUERIES
+    return {k: _over_context(fn) for k, fn in by_context.items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    out = oracles.linker_sql() | oracles.geometry_sql() | oracles.graph_sql() | init.ORACLE | relational.ORACLE | feeds.oracle()
+    out |= {k: out[same] for k, same in _SAME.items()}
+    for key, sql in oracles.workload_sql().items():
+        for suffix in ("", "_naive", "_sql", *(f"_mkg_{x}" for x in graph.LAYOUTS)):
+            out[key + suffix] = sql
+    out["q10_sql_published"] = oracles.q("select distinct road_id as line_id, surface_id as area_id, r.shape as line, g.shape as shape from road_near join road using (road_id) join road_text r using (road_id) join ground_text g using (surface_id) where class = 'Secondary'")
+    return out
