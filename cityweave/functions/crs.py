@@ -21,10 +21,10 @@ MERIDIAN = 9.0
 
 _n = FLATTENING / (2 - FLATTENING)
 _radius = SEMI_MAJOR / (1 + _n) * (1 + _n**2 / 4 + _n**4 / 64)
-# Series coefficients as functions of the third flattening.
-_forward = (_n / 2 - 2 * _n**2 / 3 + 5 * _n**3 / 16, 13 * _n**2 / 48 - 3 * _n**3 / 5, 61 * _n**3 / 240)
-_backward = (_n / 2 - 2 * _n**2 / 3 + 37 * _n**3 / 96, _n**2 / 48 + _n**3 / 15, 17 * _n**3 / 480)
-_latitude = (2 * _n - 2 * _n**2 / 3 - 2 * _n**3, 7 * _n**2 / 3 - 8 * _n**3 / 5, 56 * _n**3 / 15)
+# Series coefficients as functions of the third flattening.
+_forward = (_n / 2 - 2 * _n**2 / 3 + 5 * _n**3 / 16 + 41 * _n**4 / 180, 13 * _n**2 / 48 - 3 * _n**3 / 5 + 557 * _n**4 / 1440, 61 * _n**3 / 240 - 103 * _n**4 / 140, 49561 * _n**4 / 161280)
+_backward = (_n / 2 - 2 * _n**2 / 3 + 37 * _n**3 / 96 - _n**4 / 360, _n**2 / 48 + _n**3 / 15 - 437 * _n**4 / 1440, 17 * _n**3 / 480 - 37 * _n**4 / 840, 4397 * _n**4 / 161280)
+_latitude = (2 * _n - 2 * _n**2 / 3 - 2 * _n**3 + 116 * _n**4 / 45, 7 * _n**2 / 3 - 8 * _n**3 / 5 - 227 * _n**4 / 45, 56 * _n**3 / 15 - 136 * _n**4 / 35, 4279 * _n**4 / 630)
 _ecc = 2 * _n**0.5 / (1 + _n)
 
 
@@ -38,7 +38,9 @@ def zone_to_lon_lat(e: str, n: str) -> tuple[str, str]:
     xi1 = _series([-c for c in _backward], xi, lambda k: f"sin({k} * {xi}) * cosh({k} * {eta})")
     eta1 = _series([-c for c in _backward], eta, lambda k: f"cos({k} * {xi}) * sinh({k} * {eta})")
     chi = f"asin(sin({xi1}) / cosh({eta1}))"
-    lat = _series(_latitude, chi, lambda k: f"sin({k} * {chi})")
+    first = _series(_latitude, chi, lambda k: f"sin({k} * {chi})")
+    # one step of the exact relation brings the series to full precision
+    lat = f"asin(tanh(atanh(sin({chi})) + {_ecc!r} * atanh({_ecc!r} * sin({first}))))"
     return f"({MERIDIAN!r} + degrees(atan2(sinh({eta1}), cos({xi1}))))", f"degrees({lat})"
 
 

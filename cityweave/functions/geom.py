@@ -78,7 +78,11 @@ def ring_area(ring: Column) -> Column:
 
 
 def area(rings: Column) -> Column:
-    """Outer ring less holes."""
+    """Outer ring less holes; null for no geometry at all."""
+    return F.when(rings.isNotNull(), _area(rings))
+
+
+def _area(rings: Column) -> Column:
     return let(F.transform(rings, lambda r: F.abs(ring_area(r))), lambda a: F.when(F.size(a) > 0, 2 * F.element_at(a, 1) - total(a)).otherwise(F.lit(0.0)))
 
 

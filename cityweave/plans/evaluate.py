@@ -60,8 +60,12 @@ class Graph(Protocol):
     spark: SparkSession
     strict_simple_features: bool
 
-    def patterns(self, patterns: tuple[A.Pattern, ...], restrict: dict[str, tuple[A.Iri, ...]]) -> tuple[Rel, set[str]]:
-        """Bindings of patterns, and the restricted variables that were dealt with exactly."""
+    def patterns(self, patterns: tuple[A.Pattern, ...], restrict: dict[str, tuple[A.Iri, ...]], known: dict[str, Slot]) -> tuple[Rel, set[str]]:
+        """Bindings of patterns, and the restricted variables that were dealt with exactly.
+
+        known: how variables are stored in what the bindings will be joined to;
+        bindings that can't agree with it may be left out.
+        """
         ...
 
 
@@ -174,12 +178,15 @@ def values(spark: SparkSession, node: A.Values) -> Rel:
     kinds = {}
     for k, v in enumerate(node.vars):
         terms = [r[k] for r in node.rows if r[k] is not None]
+        if not terms:  # never bound: no restriction
+            continue
         iri = all(isinstance(t, A.Iri) for t in terms)
         dtype = "string" if iri else terms[0].dtype
         kinds[v.name] = Slot("iri" if iri else "lit", None, (fresh(v.name),), dtype, any(r[k] is None for r in node.rows))
     schema = ", ".join(f"`{s.columns[0]}` {_SPARK_TYPE[s.dtype]}" for s in kinds.values())
-    rows = [tuple(None if t is None else t.value for t in r) for r in node.rows]
-    return Rel(spark.createDataFrame(rows, schema), kinds)
+    bound = [k for k, v in enumerate(node.vars) if v.name in kinds]
+    rows = [tuple(None if r[k] is None else r[k].value for k in bound) for r in node.rows]
+    return Rel(spark.createDataFrame(rows, schema), kinds) if bound else Rel(spark.range(len(rows)).select(F.lit(1).alias("_one")), {})
 
 
 # Expressions.
@@ -209,6 +216,7 @@ _COMPARE = {"=": lambda a, b: a == b, "!=": lambda a, b: a != b, "<": lambda a,
 class Evaluator:
     def __init__(self, graph: Graph):
         self.graph = graph
+        self.known: dict[str, Slot] = {}
 
     def expr(self, e, rel: Rel) -> tuple[Column, str]:
         """(column, type) of an expression; iri is a type of its own."""
@@ -270,6 +278,14 @@ class Evaluator:
     def _shapes_near(self, a: Column, b: Column, d: float) -> Column:
         return geom.let(_shape_struct(a), lambda x: geom.let(_shape_struct(b), lambda y: _exact(x, y, d)))
 
+    def _beside(self, left: Rel, node: A.Node) -> Rel:
+        """What will be joined to left, and to nothing else."""
+        before, self.known = self.known, self.known | left.slots
+        try:
+            return self.node(node)
+        finally:
+            self.known = before
+
     # nodes
     def node(self, n: A.Node) -> Rel:
         if isinstance(n, (A.Bgp, A.Join)):
@@ -277,13 +293,15 @@ class Evaluator:
         if isinstance(n, A.Filter):
             return self._filtered(n)
         if isinstance(n, A.LeftJoin):
-            left, right = self.node(n.left), self.node(n.right)
+            left = self.node(n.left)
+            right = self._beside(left, n.right)
             on = (lambda both: self.expr(n.on, both)[0]) if n.on is not None else None
             return join(left, right, "left", on)
         if isinstance(n, A.Union):
             return union(self.node(n.left), self.node(n.right))
         if isinstance(n, A.Minus):
-            left, right = self.node(n.left), self.node(n.right)
+            left = self.node(n.left)
+            right = self._beside(left, n.right)
             return join(left, right, "left_anti") if set(left.slots) & set(right.slots) else left
         if isinstance(n, A.Extend):
             rel = self.node(n.node)
@@ -312,7 +330,7 @@ class Evaluator:
             return self._reach(n)
         raise TypeError(type(n).__name__)
 
-    def _joined(self, n: A.Node, keep: tuple = ()) -> Rel:
+    def _joined(self, n: A.Node) -> Rel:
         """A join of any depth: its patterns together, lists of values as restrictions where that is exact."""
         patterns, lists, others = _flatten(n)
         names = A.variables(A.Bgp(tuple(patterns)))
@@ -325,7 +343,7 @@ class Evaluator:
         done: set[str] = set()
         for part in _components(patterns):
             own = {k: r for k, r in restrict.items() if k in A.variables(A.Bgp(tuple(part)))}
-            rel, exact = self.graph.patterns(tuple(part), own)
+            rel, exact = self.graph.patterns(tuple(part), own, self.known)
             rels.append(rel)
             done |= exact
         rels += [self.node(o) for o in others]
@@ -351,7 +369,7 @@ class Evaluator:
             tests = [t for t in tests if t is not near]
         for t in tests:
             if isinstance(t, A.Exists):
-                rel = join(rel, self.node(t.node), "left_anti" if t.negated else "left_semi")
+                rel = join(rel, self._beside(rel, t.node), "left_anti" if t.negated else "left_semi")
             else:
                 rel = Rel(rel.df.where(self.expr(t, rel)[0]), rel.slots)
         return rel
@@ -403,7 +421,7 @@ class Evaluator:
         """Pairs along one or more steps: the frontier grows until no pair is new."""
         from cityweave.scratch import Scratch
 
-        step, _ = self.graph.patterns((A.Pattern(A.Var("_s"), n.p, A.Var("_o")),), {})
+        step, _ = self.graph.patterns((A.Pattern(A.Var("_s"), n.p, A.Var("_o")),), {}, {})
         step = project(as_text(as_text(step, "_s"), "_o"), ["_s", "_o"])
         s, o = step.slots["_s"].columns[0], step.slots["_o"].columns[0]
         scratch = Scratch(self.graph.spark, "reach")

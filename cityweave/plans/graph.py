@@ -72,8 +72,11 @@ class VirtualGraph:
                 out.append(f"SELECT {cols or '1'} FROM {', '.join(f'{x.source} {names[a]}' for a, x in arm.atoms)}" + (f" WHERE {' AND '.join(tests)}" if tests else ""))
         return "\nUNION ALL\n".join(out)
 
-    def patterns(self, patterns: tuple[A.Pattern, ...], restrict: dict[str, tuple[A.Iri, ...]]) -> tuple[Rel, set[str]]:
+    def patterns(self, patterns: tuple[A.Pattern, ...], restrict: dict[str, tuple[A.Iri, ...]], known: dict[str, Slot]) -> tuple[Rel, set[str]]:
         arms = self.unfolder.unfold(patterns, restrict)
+        if self.optimize:
+            stored = {v: s.pattern for v, s in known.items() if s.kind == "iri" and s.pattern}
+            arms = [a for a in arms if all(b.kind == "const" or b.kind == "iri" and b.pattern == stored[v] for v, b in a.bound if v in stored)]
         exact = {n for n in restrict if all((b := dict(a.bound)[n]).kind == "const" or len(b.columns) == 1 for a in arms)}
         if not arms:
             names = sorted(A.variables(A.Bgp(patterns)))
@@ -240,7 +243,7 @@ class MaterializedGraph:
             df = df.where(F.col(first) == F.col(where))
         return Rel(df.select(*cols) if cols else df.select(F.lit(1).alias("_one")), slots)
 
-    def patterns(self, patterns: tuple[A.Pattern, ...], restrict: dict[str, tuple[A.Iri, ...]]) -> tuple[Rel, set[str]]:
+    def patterns(self, patterns: tuple[A.Pattern, ...], restrict: dict[str, tuple[A.Iri, ...]], known: dict[str, Slot]) -> tuple[Rel, set[str]]:
         rels = self._stars(patterns, restrict) if self.layout == "wide" else [self._one(p, restrict) for p in self._ordered(patterns)]
         out = rels.pop(0)
         while rels:

@@ -74,7 +74,7 @@ def write_ntriples(triples: DataFrame, path: str) -> None:
 
 def read_ntriples(spark: SparkSession, path: str) -> DataFrame:
     """Triples of N-Triples files; lines that aren't triples are left out."""
-    line = r'^<([^>]*)>\s+<([^>]*)>\s+(?:<([^>]*)>|"((?:[^"\\]|\\.)*)"(?:@([A-Za-z-]+)|\^\^<([^>]*)>)?)\s*\.\s*$'
+    line = r'^<([^>]*)>\s+<([^>]*)>\s+(?:<([^>]*)>|"((?:[^"\\]++|\\.)*+)"(?:@([A-Za-z-]+)|\^\^<([^>]*)>)?)\s*\.\s*$'
     part = lambda k: F.regexp_extract("value", line, k)
     rows = spark.read.text(path).where(F.col("value").rlike(line)).select(*[part(k).alias(f"g{k}") for k in range(1, 7)])
     literal = F.col("g3") == ""
