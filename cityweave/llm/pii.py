@@ -108,17 +108,22 @@ CHECKS: dict[str, Callable[[Column], Column]] = {
 }
 
 SPAN = "array<struct<start:int,end:int,kind:int>>"
+SEEN = "array<struct<start:int,kind:int,end:int,match:string,context:string>>"
 
 
-def seeds(text: Column) -> Column:
-    """Checked matches of all kinds: array of (start, end, kind), sorted by start, then kind as listed."""
-    return in_order(F.concat(*[_seed(text, k, kind) for k, kind in enumerate(KINDS)]))
+def seen(text: Column) -> Column:
+    """Checked matches of all kinds with their text and context, sorted by start, then kind as listed."""
+    return F.array_sort(F.concat(*[_seed(text, k, kind) for k, kind in enumerate(KINDS)]))
 
 
 def _seed(text: Column, k: int, kind: str) -> Column:
-    checked = F.filter(located(text, SHAPES[kind]), lambda s: CHECKS[kind](s["match"]))
-    spans = F.transform(checked, lambda s: F.struct(s["start"].cast("int").alias("start"), s["end"].cast("int").alias("end"), F.lit(k).alias("kind")))
-    return F.when(HINTS[kind](text), spans.cast(SPAN)).otherwise(F.array().cast(SPAN))
+    checked = F.filter(located(text, SHAPES[kind], context=True), lambda s: CHECKS[kind](s["match"]))
+    spans = F.transform(checked, lambda s: F.struct(s["start"].alias("start"), F.lit(k).alias("kind"), s["end"].alias("end"), s["match"].alias("match"), s["context"].alias("context")))
+    return F.when(HINTS[kind](text), spans.cast(SEEN)).otherwise(F.array().cast(SEEN))
+
+
+def spans(found: Column) -> Column:
+    return F.transform(found, lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind")))
 
 
 def in_order(spans: Column) -> Column:
@@ -136,20 +141,19 @@ CANDIDATES = "array<struct<start:int,end:int,match:string,context:string>>"
 
 
 def scanned(docs: DataFrame) -> DataFrame:
-    """(row, doc_id, base, candidates) for each row of docs; null text counts as empty."""
+    """(row, doc_id, seen, candidates) for each row of docs; null text counts as empty."""
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    return (
-        docs.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"))
-        .select("row", "doc_id", seeds(F.col("text")).alias("base"), F.when(F.col("text").rlike("[0-9]"), located(F.col("text"), CANDIDATE, context=True).cast(CANDIDATES)).otherwise(F.array().cast(CANDIDATES)).alias("candidates"))
-    )
+    rows = docs.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"))
+    candidates = F.when(F.col("text").rlike("[0-9]"), located(F.col("text"), CANDIDATE, context=True).cast(CANDIDATES)).otherwise(F.array().cast(CANDIDATES))
+    return rows.select("row", "doc_id", seen(F.col("text")).alias("seen"), candidates.alias("candidates"))
 
 
 def trusted_patterns(found: DataFrame, scratch: Scratch, rounds: int, trust: float, support: int) -> DataFrame:
     """(context, kind) of the patterns whose instances are trusted.
 
-    found: (context, match, kind) of candidates; kind is null unless the
-    candidate overlaps a seed. The graph has one edge for each distinct
-    pattern and instance, however often they come together.
+    found: (context, match, kind) of seeds and candidates; kind is null for
+    candidates. The graph has one edge for each distinct pattern and instance,
+    however often they come together.
     """
     graph = scratch.keep(found.where("context <> ''").groupBy("context", "match").agg(F.mode("kind", True).alias("kind")))
     known = graph.groupBy("match").agg(F.max(F.col("kind").isNotNull().cast("double")).alias("trust"))
@@ -172,14 +176,16 @@ def personal_data(docs: DataFrame, rounds: int = 3, trust: float = 0.9, support:
     """
     scratch = Scratch(docs.sparkSession, "pii")
     rows = scratch.keep(scanned(docs))
-    each = rows.where(F.size("candidates") > 0).select("row", "base", F.explode("candidates").alias("c"))
-    touching = F.filter("base", lambda s: (s["start"] < F.col("c.end")) & (s["end"] > F.col("c.start")))
-    found = scratch.keep(each.select("row", F.col("c.start").alias("start"), F.col("c.end").alias("end"), F.lower("c.match").alias("match"), F.lower("c.context").alias("context"), F.get(touching, F.lit(0))["kind"].alias("kind")))
-    patterns = trusted_patterns(found.select("context", "match", "kind"), scratch, rounds, trust, support)
-    new = found.where("kind is null").select("row", "start", "end", "context").join(patterns, "context")
+    # candidates that touch a seed are what the seed is about
+    each = rows.where(F.size("candidates") > 0).select("row", "seen", F.explode("candidates").alias("c")).where(~F.exists("seen", lambda s: (s["start"] < F.col("c.end")) & (s["end"] > F.col("c.start"))))
+    fresh = each.select("row", F.col("c.start").alias("start"), F.col("c.end").alias("end"), F.lower("c.match").alias("match"), F.lower("c.context").alias("context"))
+    fresh = scratch.keep(fresh)
+    known = rows.where(F.size("seen") > 0).select(F.explode("seen").alias("s")).select(F.lower("s.context").alias("context"), F.lower("s.match").alias("match"), F.col("s.kind").alias("kind"))
+    patterns = trusted_patterns(known.unionByName(fresh.select("context", "match"), allowMissingColumns=True), scratch, rounds, trust, support)
+    new = fresh.join(patterns, "context")
     # a doc's own spans only, however many; nothing else comes together here
     added = new.groupBy("row").agg(F.collect_set(F.struct("start", "end", "kind")).alias("added"))
-    return rows.select("row", "doc_id", "base").join(added, "row", "left").select("row", "doc_id", "base", in_order(F.coalesce(F.col("added").cast(SPAN), F.array().cast(SPAN))).alias("added"))
+    return rows.select("row", "doc_id", spans(F.col("seen")).alias("base")).join(added, "row", "left").select("row", "doc_id", "base", in_order(F.coalesce(F.col("added").cast(SPAN), F.array().cast(SPAN))).alias("added"))
 
 
 def redacted(text: Column, spans: Column) -> Column:
@@ -203,8 +209,8 @@ def redact(docs: DataFrame, rounds: int = 3, trust: float = 0.9, support: int =
     added = personal_data(docs.select("doc_id", "text"), rounds, trust, support).where(F.size("added") > 0)
     added = added.groupBy("doc_id").agg(F.first("added").alias("_cw_added"))
     joined = docs.join(added.withColumnRenamed("doc_id", "_cw_id"), F.col("doc_id").cast("long") == F.col("_cw_id"), "left")
-    spans = in_order(F.concat(seeds(F.col("text")), F.coalesce(F.col("_cw_added").cast(SPAN), F.array().cast(SPAN))))
-    marked = joined.withColumn("_cw_spans", F.when(F.col("text").isNotNull(), spans))
+    every = in_order(F.concat(spans(seen(F.col("text"))), F.coalesce(F.col("_cw_added").cast(SPAN), F.array().cast(SPAN))))
+    marked = joined.withColumn("_cw_spans", F.when(F.col("text").isNotNull(), every))
     clean = marked.withColumn("_cw_text", F.when(F.size(F.coalesce("_cw_spans", F.array().cast(SPAN))) > 0, redacted(F.col("text"), F.col("_cw_spans"))).otherwise(F.col("text")))
-    out = [F.col("_cw_text").alias(c) if c == "text" else F.length("_cw_text").cast(docs.schema[c].dataType).alias(c) if c == "n_chars" else F.col(c) for c in docs.columns]
+    out = [F.col("_cw_text").alias(c) if c == "text" else F.coalesce(F.length("_cw_text").cast(docs.schema[c].dataType), F.col(c)).alias(c) if c == "n_chars" else F.col(c) for c in docs.columns]
     return clean.select(*out)
