@@ -39,6 +39,9 @@ def fit(x: np.ndarray, y: np.ndarray, decreasing: list[int] = (), trees: int = 6
     in order, and the midpoint between them bounds all that is grown below.
     """
     n, width = x.shape
+    if not n:  # nothing to learn from: everything scores a half
+        none = np.zeros(0, np.int64)
+        return FlatTrees(none, np.zeros(0), none, none, np.zeros(0), none, depth, 0.0)
     edges = [np.unique(np.quantile(x[:, f], np.linspace(0, 1, bins + 1)[1:-1])) for f in range(width)]
     binned = np.stack([np.searchsorted(edges[f], x[:, f], "left") for f in range(width)], axis=1)
     share = min(max(y.mean(), 1e-6), 1 - 1e-6)
@@ -82,9 +85,8 @@ def fit(x: np.ndarray, y: np.ndarray, decreasing: list[int] = (), trees: int = 6
         nodes[me][3] = grow(rows[~goes], level + 1, low, middle if f in decreasing else high)
         return me
 
-    for _ in range(trees if n else 0):
+    for _ in range(trees):
         p = 1 / (1 + np.exp(-total))
         grad, hess = p - y, p * (1 - p)
         roots.append(grow(np.arange(n), 0, -np.inf, np.inf))
-    flat = list(zip(*nodes, strict=True)) if nodes else [[], [], [], [], []]
-    return FlatTrees(*(np.array(c, t) for c, t in zip(flat, (np.int64, float, np.int64, np.int64, float), strict=True)), np.array(roots, np.int64), depth, prior)
+    return FlatTrees(*(np.array(c, t) for c, t in zip(zip(*nodes, strict=True), (np.int64, float, np.int64, np.int64, float), strict=True)), np.array(roots, np.int64), depth, prior)

@@ -312,11 +312,14 @@ def without_repeats(docs: DataFrame, hot: int = 2000) -> DataFrame:
 
     Bytes of whole texts (null: empty) are removed where a string of SIZE bytes
     covers them that also starts earlier: in a document with a smaller doc_id,
-    or earlier in the same one. doc_id is unique; rows that repeat one count as
-    one document, by the first text. Texts shorter than SIZE lose nothing.
+    or earlier in the same one. Rows that share a doc_id count as one document,
+    by the least text; rows without doc_id are left out. Texts shorter than SIZE
+    lose nothing; an empty table gives an empty one.
     """
     scratch = Scratch(docs.sparkSession, "suffix")
     plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).where("doc_id is not null")
+    if not plain.groupBy("doc_id").count().where("count > 1").isEmpty():
+        plain = plain.groupBy("doc_id").agg(F.min("text").alias("text"))
     lists = _merged(removed_ranges(plain, scratch, hot))
 
     def run(batches):
