@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from cityweave.functions import geom, wkt
 from cityweave.operators import spatial
 from cityweave.plans import algebra as A
-from cityweave.plans.mappings import fill
+from cityweave.plans.mappings import FORMS, fill
 
 _serial = count()
 _SPARK_TYPE = {"double": "double", "int": "bigint", "string": "string", "wkt": "string", "boolean": "boolean"}
@@ -33,7 +33,11 @@ class UnsupportedGeometry(RuntimeError):
 
 @dataclass(frozen=True)
 class Slot:
-    """Storage of a variable: kind iri (pattern None: text) or lit; its columns; whether it can be unbound."""
+    """Storage of a variable: kind iri or lit; its columns; whether it can be unbound.
+
+    pattern: an IRI's template, or the form of geometry whose text a literal is;
+    None if the one column is the value itself.
+    """
 
     kind: str
     pattern: str | None
@@ -50,10 +54,10 @@ class Rel:
     def text(self, name: str) -> Column:
         """The variable as a value: IRI text, or the literal."""
         s = self.slots[name]
-        if s.kind == "iri" and s.pattern is not None:
-            keys = [F.col(c) for c in s.columns]
-            return fill(s.pattern, keys)
-        return F.col(s.columns[0])
+        raw = [F.col(c) for c in s.columns]
+        if s.pattern is None:
+            return raw[0]
+        return fill(s.pattern, raw) if s.kind == "iri" else FORMS[s.pattern](*raw)
 
 
 class Graph(Protocol):
@@ -74,12 +78,12 @@ def fresh(name: str) -> str:
 
 
 def as_text(rel: Rel, name: str) -> Rel:
-    """Stores an IRI variable as text."""
+    """Stores a variable as its value."""
     s = rel.slots[name]
-    if s.kind != "iri" or s.pattern is None:
+    if s.pattern is None:
         return rel
     c = fresh(name)
-    return Rel(rel.df.withColumn(c, rel.text(name)), rel.slots | {name: Slot("iri", None, (c,), nullable=s.nullable)})
+    return Rel(rel.df.withColumn(c, rel.text(name)), rel.slots | {name: Slot(s.kind, None, (c,), s.dtype, s.nullable)})
 
 
 def project(rel: Rel, names) -> Rel:
@@ -98,8 +102,8 @@ def _aligned(left: Rel, right: Rel, name: str) -> tuple[Rel, Rel, bool]:
     a, b = left.slots[name], right.slots[name]
     if a.kind != b.kind:
         return left, right, False
-    if a.kind == "iri" and a.pattern != b.pattern:
-        if a.pattern and b.pattern:
+    if a.pattern != b.pattern:
+        if a.kind == "iri" and a.pattern and b.pattern:
             return left, right, False
         return as_text(left, name), as_text(right, name), True
     return left, right, True
@@ -276,7 +280,7 @@ class Evaluator:
         raise ValueError(f"no function {name}")
 
     def _shapes_near(self, a: Column, b: Column, d: float) -> Column:
-        return geom.let(_shape_struct(a), lambda x: geom.let(_shape_struct(b), lambda y: _exact(x, y, d)))
+        return geom.let(_text_struct(a), lambda x: geom.let(_text_struct(b), lambda y: _exact(x, y, d)))
 
     def _beside(self, left: Rel, node: A.Node) -> Rel:
         """What will be joined to left, and to nothing else."""
@@ -325,7 +329,7 @@ class Evaluator:
             return project(self.node(n.node), [v.name for v in n.vars])
         if isinstance(n, A.Distinct):
             rel = self.node(n.node)
-            return Rel(rel.df.distinct(), rel.slots)
+            return Rel(project(rel, rel.slots).df.distinct(), rel.slots)
         if isinstance(n, A.Reach):
             return self._reach(n)
         raise TypeError(type(n).__name__)
@@ -394,7 +398,9 @@ class Evaluator:
                 if not isinstance(t, A.Exists) and A.variables(t) <= set(rel.slots):
                     rel = Rel(rel.df.where(self.expr(t, rel)[0]), rel.slots)
             c = fresh("shape")
-            sides.append((Rel(rel.df.withColumn(c, _shape_struct(rel.text(v.name))), rel.slots), c))
+            slot = rel.slots[v.name]
+            made = _raw_struct(F.col(slot.columns[0]), slot.pattern == "polygon") if slot.pattern in ("polygon", "line") else _text_struct(rel.text(v.name))
+            sides.append((Rel(rel.df.withColumn(c, made), rel.slots), c))
         (l, lc), (r, rc) = sides
         return Rel(_grid_join(l.df, lc, r.df, rc, d), l.slots | r.slots)
 
@@ -525,13 +531,19 @@ def _shape(text: Column) -> tuple[Column, Column]:
     return F.coalesce(geom.segments(rings), geom.line_segments(line)), F.startswith(text, F.lit("POLYGON"))
 
 
-def _shape_struct(text: Column) -> Column:
-    """Segments, box and whether there is an inside, of WKT."""
-    segs, filled = _shape(text)
+def _struct(segs: Column, filled: Column) -> Column:
+    """Segments, box and whether there is an inside."""
     xs = lambda s: F.concat(F.transform(s, lambda e: e["x1"]), F.transform(s, lambda e: e["x2"]))
     ys = lambda s: F.concat(F.transform(s, lambda e: e["y1"]), F.transform(s, lambda e: e["y2"]))
-    made = lambda s: F.struct(s.alias("segs"), filled.alias("filled"), F.struct(F.array_min(xs(s)).alias("xmin"), F.array_min(ys(s)).alias("ymin"), F.array_max(xs(s)).alias("xmax"), F.array_max(ys(s)).alias("ymax")).alias("box"))
-    return geom.let(segs, made)
+    return geom.let(segs, lambda s: F.struct(s.alias("segs"), filled.alias("filled"), F.struct(F.array_min(xs(s)).alias("xmin"), F.array_min(ys(s)).alias("ymin"), F.array_max(xs(s)).alias("xmax"), F.array_max(ys(s)).alias("ymax")).alias("box")))
+
+
+def _text_struct(text: Column) -> Column:
+    return _struct(*_shape(text))
+
+
+def _raw_struct(shape: Column, polygon: bool) -> Column:
+    return _struct(geom.segments(shape) if polygon else geom.line_segments(shape), F.lit(polygon))
 
 
 def _exact(a: Column, b: Column, d: float) -> Column:

@@ -122,7 +122,7 @@ class VirtualGraph:
         for v, b in arm.bound:
             own = tuple(fresh(v) for _ in b.columns) or (fresh(v),)
             cols += [F.col(name(c)).alias(o) for c, o in zip(b.columns, own, strict=True)] if b.columns else [F.lit(b.pattern).alias(own[0])]
-            slots[v] = Slot("lit", None, own, b.pattern) if b.kind == "lit" else Slot("iri", b.pattern if b.kind == "iri" else None, own)
+            slots[v] = Slot("lit", b.form or None, own, b.pattern) if b.kind == "lit" else Slot("iri", b.pattern if b.kind == "iri" else None, own)
         return Rel(df.select(*cols) if cols else df.select(F.lit(1).alias("_one")), slots)
 
     def materialize(self) -> DataFrame:

@@ -67,11 +67,17 @@ def iri_encode(text: Column) -> Column:
 
 @dataclass(frozen=True)
 class Field:
-    """A column as a literal; null gives no triple."""
+    """A column as a literal; null gives no triple.
+
+    A literal that is the text of a geometry can name its form and the columns
+    it is made of; queries then carry those, and make the text at the end.
+    """
 
     column: str
     dtype: str
     nullable: bool = False
+    form: str = ""
+    raw: tuple[str, ...] = ()
 
 
 @dataclass(frozen=True)
@@ -97,13 +103,18 @@ class Mapping:
 class Source:
     """A relation that mappings read: its frame, its key, and columns that refer to other sources' keys.
 
-    Sources with one `part_of` are parts of a whole and share no key.
+    Sources with one `part_of` are parts of a whole and share no key. `unique`:
+    other columns that are unique as well.
     """
 
     frame: Callable[[], DataFrame]
     key: tuple[str, ...]
     refers: dict[tuple[str, ...], str] = field(default_factory=dict)
     part_of: str = ""
+    unique: tuple[tuple[str, ...], ...] = ()
+
+    def tells_rows_apart(self, columns) -> bool:
+        return any(set(key) <= set(columns) for key in (self.key, *self.unique))
 
 
 @dataclass
@@ -119,15 +130,14 @@ class Store:
     def sources(self) -> dict[str, Source]:
         city, links = self.city, self.links
         spark = city.spark
-        ring = F.element_at("rings", 1)
-        lifted = F.concat(F.lit("POLYGON Z ("), wkt._ring(ring, lambda p: F.concat_ws(" ", wkt.number(p["x"]), wkt.number(p["y"]), wkt.number(F.col("height_m")))), F.lit(")"))
+        text = lambda form, *cols: FORMS[form](*map(F.col, cols))
 
         def ground() -> DataFrame:
-            return city.ground.select("surface_id", "building_id", "area_m2", wkt.polygon_wkt(F.col("rings")).alias("wkt"), wkt.polyhedral_wkt(geom.faces(F.col("rings"), F.col("height_m"))).alias("solid_wkt"))
+            return city.ground.select("surface_id", "building_id", "area_m2", "rings", "height_m", text("polygon", "rings").alias("wkt"), text("solid", "rings", "height_m").alias("solid_wkt"))
 
         def roof_shape() -> DataFrame:
-            shapes = city.ground.select("building_id", lifted.alias("wkt"))
-            return city.faces.where("kind = 'roof'").drop("kind").join(shapes, "building_id").select("ord", "line", "building_id", "supp", "wkt")
+            shapes = city.ground.select("building_id", "rings", "height_m", text("lifted", "rings", "height_m").alias("wkt"))
+            return city.faces.where("kind = 'roof'").drop("kind").join(shapes, "building_id").select("ord", "line", "building_id", "supp", "rings", "height_m", "wkt")
 
         def roof() -> DataFrame:
             return city.faces.where("kind = 'roof'").drop("kind")
@@ -137,7 +147,7 @@ class Store:
         to_building = {("building_id",): "building"}
         out = {
             "building": Source(lambda: city.buildings, ("building_id",)),
-            "ground": Source(ground, ("surface_id",), to_building),
+            "ground": Source(ground, ("surface_id",), to_building, unique=(("building_id",),)),
             "roof": Source(roof, face_key, to_building, "face"),
             "roof_shape": Source(roof_shape, face_key, to_building | {face_key: "roof"}),
             "roof_label": Source(lambda: roof().join(city.buildings.select("building_id", "roof_label"), "building_id"), face_key, to_building | {face_key: "roof"}),
@@ -145,9 +155,9 @@ class Store:
             "closure": Source(lambda: city.faces.where("kind = 'closure'").drop("kind"), face_key, to_building, "face"),
             "address": Source(lambda: city.addresses, ("address_id",)),
             "building_address": Source(lambda: city.building_address, ("building_id", "address_id"), {("building_id",): "building", ("address_id",): "address"}),
-            "crowd": Source(lambda: city.crowd.select("area_id", "label", "class", wkt.polygon_wkt(F.col("rings")).alias("wkt")), ("area_id",)),
+            "crowd": Source(lambda: city.crowd.select("area_id", "label", "class", "rings", wkt.polygon_wkt(F.col("rings")).alias("wkt")), ("area_id",)),
             "poi": Source(lambda: city.pois.select("poi_id", F.lit("Poi").alias("class"), wkt.point_wkt(F.col("x"), F.col("y")).alias("wkt")), ("poi_id",)),
-            "road": Source(lambda: city.roads.select("road_id", "label", "class", wkt.line_wkt(F.col("pts")).alias("wkt")), ("road_id",)),
+            "road": Source(lambda: city.roads.select("road_id", "label", "class", "pts", wkt.line_wkt(F.col("pts")).alias("wkt")), ("road_id",)),
             "class_closure": Source(lambda: spark.createDataFrame(leaves, "class string, super string"), ("class", "super")),
             "link_match": Source(lambda: links.edges.select("surface_id", "area_id", F.round("ratio", 6).alias("ratio")), ("surface_id", "area_id"), {("surface_id",): "ground", ("area_id",): "crowd"}),
             "link_adjacent": Source(lambda: links.adjacent.select("surface_id", "area_id", F.round("shared_m", 6).alias("shared_m")), ("surface_id", "area_id"), {("surface_id",): "ground", ("area_id",): "crowd"}),
@@ -186,8 +196,17 @@ def _data(subject: Template, **fields: tuple) -> tuple[Target, ...]:
     return tuple(Target(subject, f"cw:{p}", Field(*spec)) for p, spec in fields.items())
 
 
-def _shape(subject: Template, node: Template, kind: str, **more: tuple) -> tuple[Target, ...]:
-    return (Target(subject, "cw:hasGeometry", node), _type(node, kind), *_data(node, wkt=("wkt", "wkt"), **more))
+#: Text of geometry from raw columns, by form.
+FORMS: dict[str, Callable[..., Column]] = {
+    "polygon": wkt.polygon_wkt,
+    "line": wkt.line_wkt,
+    "solid": lambda rings, height: wkt.polyhedral_wkt(geom.faces(rings, height)),
+    "lifted": lambda rings, height: F.concat(F.lit("POLYGON Z ("), wkt._ring(F.element_at(rings, 1), lambda p: F.concat_ws(" ", wkt.number(p["x"]), wkt.number(p["y"]), wkt.number(height))), F.lit(")")),
+}
+
+
+def _shape(subject: Template, node: Template, kind: str, form: str = "", raw: tuple[str, ...] = (), **more: tuple) -> tuple[Target, ...]:
+    return (Target(subject, "cw:hasGeometry", node), _type(node, kind), *_data(node, wkt=("wkt", "wkt", False, form, raw), **more))
 
 
 def building() -> Mapping:
@@ -200,7 +219,7 @@ def building_solid() -> Mapping:
 
 def solid_geometry() -> Mapping:
     solid = Template("cw:solid/{}", ("building_id",))
-    return Mapping("MP03", "ground", (_type(solid, "PolyhedralSurface"), *_data(solid, wkt=("solid_wkt", "wkt"))))
+    return Mapping("MP03", "ground", (_type(solid, "PolyhedralSurface"), *_data(solid, wkt=("solid_wkt", "wkt", False, "solid", ("rings", "height_m")))))
 
 
 def catalogue() -> list[Mapping]:
@@ -212,7 +231,7 @@ def catalogue() -> list[Mapping]:
         building(),
         building_solid(),
         solid_geometry(),
-        Mapping("MP04", "ground", (Target(B, "cw:hasFace", G), Target(G, "cw:faceOf", B), _type(G, "GroundSurface"), *_shape(G, GROUND_GEO, "Polygon", metricArea=("area_m2", "double")))),
+        Mapping("MP04", "ground", (Target(B, "cw:hasFace", G), Target(G, "cw:faceOf", B), _type(G, "GroundSurface"), *_shape(G, GROUND_GEO, "Polygon", "polygon", ("rings",), metricArea=("area_m2", "double")))),
         face("MP05", "RoofSurface", "roof"),
         Mapping("MP05b", "roof_label", _data(FACE, roofLabel=("roof_label", "string"))),
         Mapping("MP05c", "roof_shape", _shape(FACE, FACE_GEO, "Polygon")),
@@ -220,9 +239,9 @@ def catalogue() -> list[Mapping]:
         face("MP06b", "ClosureSurface", "closure"),
         Mapping("MP07", "address", (_type(ADDR, "Address"), *_data(ADDR, label=("label", "string"), street=("street", "string"), city=("city", "string"), country=("country", "string")))),
         Mapping("MP08", "building_address", (Target(B, "cw:hasAddress", ADDR),)),
-        Mapping("MP09", "crowd", (_type(area, "CrowdElement"), *_data(area, label=("label", "string", True)), *_shape(area, crowd_geometry("way", "area_id"), "Polygon"))),
+        Mapping("MP09", "crowd", (_type(area, "CrowdElement"), *_data(area, label=("label", "string", True)), *_shape(area, crowd_geometry("way", "area_id"), "Polygon", "polygon", ("rings",)))),
         Mapping("MP10", "poi", (_type(poi, "CrowdElement"), *_shape(poi, crowd_geometry("poi", "poi_id"), "Point"))),
-        Mapping("MP11", "road", (_type(road, "CrowdElement"), *_data(road, label=("label", "string", True)), *_shape(road, crowd_geometry("road", "road_id"), "Line"))),
+        Mapping("MP11", "road", (_type(road, "CrowdElement"), *_data(road, label=("label", "string", True)), *_shape(road, crowd_geometry("road", "road_id"), "Line", "line", ("pts",)))),
         class_assignment("MP12", "crowd", "way", "area_id"),
         class_assignment("MP13", "poi", "poi", "poi_id"),
         class_assignment("MP14", "road", "road", "road_id"),
@@ -299,7 +318,7 @@ def to_document(mappings: list[Mapping]) -> str:
             if isinstance(t.object, Template):
                 shown = json.dumps([t.object.pattern, *t.object.columns])
             elif isinstance(t.object, Field):
-                shown = json.dumps({"column": t.object.column, "type": t.object.dtype, "nullable": t.object.nullable})
+                shown = json.dumps({"column": t.object.column, "type": t.object.dtype, "nullable": t.object.nullable, "form": t.object.form, "raw": t.object.raw})
             else:
                 shown = t.object.iri
             lines.append(f"target\t\t{json.dumps([t.subject.pattern, *t.subject.columns])}\t{t.predicate}\t{shown}")
@@ -321,7 +340,7 @@ def from_document(text: str) -> list[Mapping]:
                     obj: Template | Field | Const = Template(o[0], tuple(o[1:]))
                 elif shown[0] == "{":
                     o = json.loads(shown)
-                    obj = Field(o["column"], o["type"], o["nullable"])
+                    obj = Field(o["column"], o["type"], o["nullable"], o["form"], tuple(o["raw"]))
                 else:
                     obj = Const(shown)
                 targets.append(Target(Template(s[0], tuple(s[1:])), predicate, obj))
