@@ -8,12 +8,15 @@ each other and compared word by word, so that substitutions don't hide a copy.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from cityweave.llm.kernel import Words, blocks, buffers, window_hash
+from cityweave.llm.kernel import Words, blocks, buffers, parts, window_hash
 
 # Token positions that count, by mask.
 MASKS = ((0, 1, 2, 5, 6, 8), (0, 2, 3, 4, 7, 8), (0, 1, 3, 5, 7, 8), (0, 1, 4, 6, 7, 8))
@@ -137,13 +140,18 @@ def drop_contaminated(docs: DataFrame, items: DataFrame, span: int = 13, share:
     """docs, in its own columns, without those that overlap with a test item."""
     out = docs
     for index in _indexes(items, block_bytes):
+        out = out.where(_is_clean(index, span, share)(F.col("text").cast("string")))
+    return out
 
-        def run(batches, index=index):
-            for batch in blocks(batches):
-                words = Words(*buffers(batch.column(batch.schema.get_field_index("text"))), BETWEEN)
-                clean = np.ones(batch.num_rows, bool)
-                clean[[r[0] for r in index.overlaps(words, span, share)]] = False
-                yield batch.filter(pa.array(clean))
 
-        out = out.mapInArrow(run, docs.schema)
-    return out
+def _is_clean(index: SeedIndex, span: int, share: float):
+    """Whether a text overlaps with no item of the index. Only texts go through Python; rows stay where they are."""
+
+    def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for batch in batches:
+            clean = np.ones(len(batch), bool)
+            for row, part in parts(batch):
+                clean[[row + r[0] for r in index.overlaps(Words(*buffers(part), BETWEEN), span, share)]] = False
+            yield pa.array(clean)
+
+    return F.arrow_udf(run, T.BooleanType())

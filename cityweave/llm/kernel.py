@@ -7,13 +7,22 @@ for a whole batch and not one Python call for each word.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 
+# Workers live long and share an executor's memory: large arrays are mapped
+# apart, so that what is freed goes back at once. Arrow's own pool would keep it.
+pa.set_memory_pool(pa.system_memory_pool())
+try:
+    ctypes.CDLL("libc.so.6").mallopt(-3, 1 << 18)  # M_MMAP_THRESHOLD
+except (OSError, AttributeError):
+    pass
+
 #: Bytes of text that one numpy pass handles; a longer single text is a block of its own.
-BLOCK_BYTES = 2 << 20
+BLOCK_BYTES = 1 << 20
 
 # Word separators: space and the control characters tab to carriage return.
 SEPARATOR = np.zeros(256, bool)
@@ -69,13 +78,18 @@ def blocks(batches, text: str = "text") -> Iterator[pa.RecordBatch]:
     for batch in batches:
         if not batch.num_rows:
             continue
-        _, offsets = buffers(batch.column(batch.schema.get_field_index(text)))
-        row = 0
-        while row < batch.num_rows:
-            end = int(np.searchsorted(offsets, offsets[row] + BLOCK_BYTES, "right")) - 1
-            end = min(max(end, row + 1), batch.num_rows)
-            yield batch.slice(row, end - row)
-            row = end
+        for row, piece in parts(batch.column(batch.schema.get_field_index(text))):
+            yield batch.slice(row, len(piece))
+
+
+def parts(column: pa.Array) -> Iterator[tuple[int, pa.Array]]:
+    """(first row, slice) of a text column in pieces of at most BLOCK_BYTES (or one row)."""
+    _, offsets = buffers(column)
+    row = 0
+    while row < len(column):
+        end = min(max(int(np.searchsorted(offsets, offsets[row] + BLOCK_BYTES, "right")) - 1, row + 1), len(column))
+        yield row, column.slice(row, end - row)
+        row = end
 
 
 class Words:

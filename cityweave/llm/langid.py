@@ -8,6 +8,7 @@ comes from the training rows handed in.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 from itertools import combinations
 
@@ -15,8 +16,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from cityweave.llm.kernel import blocks, buffers, gram_counts, has_letter
+from cityweave.llm.kernel import blocks, buffers, gram_counts, has_letter, parts
 from cityweave.llm.svm import linear_svm
 
 UNDETERMINED = "und"
@@ -124,12 +126,12 @@ def train(docs: DataFrame, per_class: int = 500, dims: int = 4096) -> LanguageMo
     return fit([r.text for r in rows], [r.lang for r in rows], dims)
 
 
-def _predicted(batch: pa.RecordBatch, model: LanguageModel) -> tuple[list[str], np.ndarray]:
-    data, offsets = buffers(batch.column(batch.schema.get_field_index("text")))
+def _predicted(texts: pa.Array, model: LanguageModel) -> tuple[list[str], np.ndarray]:
+    data, offsets = buffers(texts)
     if model.families:
         lang, score = model.predict(gram_counts(data, offsets, model.dims))
     else:
-        lang, score = [UNDETERMINED] * batch.num_rows, np.zeros(batch.num_rows)
+        lang, score = [UNDETERMINED] * len(texts), np.zeros(len(texts))
     letters = has_letter(data, offsets)
     return [x if ok else UNDETERMINED for x, ok in zip(lang, letters, strict=True)], np.where(letters, score, 0.0)
 
@@ -139,18 +141,20 @@ def identify(docs: DataFrame, model: LanguageModel) -> DataFrame:
 
     def run(batches):
         for batch in blocks(batches):
-            lang, score = _predicted(batch, model)
+            lang, score = _predicted(batch.column(1), model)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(lang, pa.string()), pa.array(score.astype(float))], ["doc_id", "lang_pred", "score"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, lang_pred string, score double")
 
 
 def keep_identified(docs: DataFrame, model: LanguageModel) -> DataFrame:
-    """docs, in its own columns, without rows whose language can't be told (no letters, or null text)."""
+    """docs, in its own columns, without rows whose language can't be told (no letters, or null text).
 
-    def run(batches):
-        for batch in blocks(batches):
-            lang, _ = _predicted(batch, model)
-            yield batch.filter(pa.array([x != UNDETERMINED for x in lang]))
+    Only the text goes through Python; the rows stay where they are.
+    """
+
+    def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for batch in batches:
+            yield pa.array([lang != UNDETERMINED for _, part in parts(batch) for lang in _predicted(part, model)[0]], pa.bool_())
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.where(F.arrow_udf(run, T.BooleanType())(F.col("text").cast("string")))
