@@ -23,77 +23,82 @@ from pyspark.sql import functions as F
 from cityweave.llm.kernel import blocks
 from cityweave.scratch import Scratch
 
-#: Distinct chunks and distinct words whose ids a worker remembers.
-CHUNKS, WORDS = 600_000, 500_000
+#: Distinct runs and chunks whose ids a worker remembers.
+MEMORY = 400_000
 
-# A word of Latin letters and then punctuation, without apostrophes: what a
-# chunk nearly always is. Such a chunk's ids are its word's and its punctuation's.
-SIMPLE = re.compile(r"([A-Za-z\u00C0-\u00D6\u00D8-\u00F6\u00F8-\u00FF]*)([!-&(-/:-@\[-`{-~]*)")
+# Plain text is Latin letters, punctuation without apostrophes, and ASCII white
+# space. Its tokens before merging are runs of letters and runs of punctuation.
+LETTERS, MARKS = r"A-Za-z\u00C0-\u00D6\u00D8-\u00F6\u00F8-\u00FF", r"!-&(-/:-@\[-`{-~"
+PLAIN = re.compile(rf"[{LETTERS}{MARKS}\t-\r ]*")
+RUNS = re.compile(rf"[{LETTERS}]+|[{MARKS}]+")
+#: A string that the tokenizer takes out of a text before all else.
+SPECIAL = "<|"
 
 
 class ChunkTokenizer:
-    """Token ids of whole texts, by remembered ids of their chunks between ASCII white space.
+    """Token ids of whole texts, from remembered ids of their runs.
 
     Only right for tokenizers whose ids don't reach over white space, whose
     normaliser composes and lower-cases characters, and whose pre-tokeniser
-    parts letters from punctuation and drops white space. New words go through
-    the tokenizer's own model many at a time; its tokens that end a word tell
-    where the next one begins. Other chunks go through the tokenizer as they are.
+    parts letters from punctuation and drops white space. New runs of plain
+    texts go through the tokenizer's own model many at a time; its tokens that
+    end a word tell where the next one begins. In other texts that holds chunk by
+    chunk, between ASCII white space; chunks that aren't plain go through the
+    tokenizer as they are.
     """
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer, normalizers, pre_tokenizers
 
         self.whole = Tokenizer.from_file(path)
-        self.words = Tokenizer.from_file(path)
-        self.words.normalizer = normalizers.NFC()
-        self.words.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
+        self.runs = Tokenizer.from_file(path)
+        self.runs.normalizer = normalizers.NFC()
+        self.runs.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
         vocabulary = self.whole.get_vocab()
         self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
         self.ends[[k for token, k in vocabulary.items() if token.endswith("</w>")]] = True
-        self.by_chunk: dict[bytes, bytes] = {}
-        self.by_word: dict[str, bytes] = {"": b""}
+        #: runs are text here, chunks bytes
+        self.known: dict[str | bytes, bytes] = {}
 
-    def _plain(self, text: str) -> bytes:
+    def _whole(self, text: str) -> bytes:
         return np.array(self.whole.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
-    def _learn_words(self, words: list[str]) -> None:
-        for k in range(0, len(words), 4096):
-            part = words[k : k + 4096]
-            ids = np.array(self.words.encode(" ".join(part), add_special_tokens=False).ids, "<u4")
+    def _learn(self, runs: list[str]) -> None:
+        for k in range(0, len(runs), 4096):
+            part = runs[k : k + 4096]
+            ids = np.array(self.runs.encode(" ".join(part), add_special_tokens=False).ids, "<u4")
             stops = np.flatnonzero(self.ends[ids]) + 1
             if len(stops) == len(part):
-                low = 0
-                for word, high in zip(part, stops.tolist(), strict=True):
-                    self.by_word[word] = ids[low:high].tobytes()
-                    low = high
+                packed, stops = ids.tobytes(), (4 * stops).tolist()
+                self.known.update(zip(part, [packed[a:b] for a, b in zip([0, *stops], stops, strict=False)], strict=True))
             else:
-                for word in part:
-                    self.by_word[word] = self._plain(word)
-
-    def _learn(self, chunks: set[bytes]) -> None:
-        parted = []
-        for chunk in chunks:
-            text = chunk.decode()
-            if m := SIMPLE.fullmatch(text):
-                parted.append((chunk, m[1].lower(), m[2]))
+                self.known.update((run, self._whole(run)) for run in part)
+
+    @staticmethod
+    def _parts(text: str | None) -> list[str | bytes]:
+        if PLAIN.fullmatch(text or "") and SPECIAL not in (text or ""):
+            return RUNS.findall((text or "").lower())
+        out: list[str | bytes] = []
+        for chunk in text.encode().split():
+            piece = chunk.decode()
+            if PLAIN.fullmatch(piece) and SPECIAL not in piece:
+                out += RUNS.findall(piece.lower())
             else:
-                self.by_chunk[chunk] = self._plain(text)
-        if len(self.by_word) > WORDS:
-            self.by_word = {"": b""}
-        new = {w for _, *both in parted for w in both if w not in self.by_word}
-        self._learn_words(list(new))
-        for chunk, word, marks in parted:
-            self.by_chunk[chunk] = self.by_word[word] + self.by_word[marks]
+                out.append(chunk)
+        return out
 
     def ids(self, texts: list[str | None]) -> Iterator[bytes]:
         """Little-endian unsigned 32-bit ids of each text."""
-        split = [(t or "").encode().split() for t in texts]
-        if len(self.by_chunk) > CHUNKS:
-            self.by_chunk = {}
-        self._learn({c for chunks in split for c in chunks if c not in self.by_chunk})
-        for chunks in split:
-            yield b"".join(map(self.by_chunk.__getitem__, chunks))
+        parts = [self._parts(t) for t in texts]
+        if len(self.known) > MEMORY:
+            self.known = {}
+        new = set().union(*parts).difference(self.known)
+        self._learn([x for x in new if isinstance(x, str)])
+        for chunk in new:
+            if isinstance(chunk, bytes):
+                self.known[chunk] = self._whole(chunk.decode())
+        for own in parts:
+            yield b"".join(map(self.known.__getitem__, own))
 
 
 @cache
