@@ -7,19 +7,13 @@ for a whole batch and not one Python call for each word.
 
 from __future__ import annotations
 
-import ctypes
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 
-# Workers live long and share an executor's memory: large arrays are mapped
-# apart, so that what is freed goes back at once. Arrow's own pool would keep it.
+# Workers live long and share an executor's memory; Arrow's own pool would keep what is freed.
 pa.set_memory_pool(pa.system_memory_pool())
-try:
-    ctypes.CDLL("libc.so.6").mallopt(-3, 1 << 18)  # M_MMAP_THRESHOLD
-except (OSError, AttributeError):
-    pass
 
 #: Bytes of text that one numpy pass handles; a longer single text is a block of its own.
 BLOCK_BYTES = 1 << 20
