@@ -45,6 +45,13 @@ FILE_NAME = r"(?i)^(licen[sc]e|copying|notice|unlicense)([._-].*)?$"
 REACH = 60
 LEAST = 0.5
 
+#: Words in a smaller share of documents weigh no more than words in this share, so that scores don't move with the table's size.
+FLOOR = 1e-4
+
+# terms() of bytes: runs of ASCII letters and digits.
+TERM_ENDS = BETWEEN.copy()
+TERM_ENDS[128:] = True
+
 
 def terms(text: str) -> list[str]:
     return re.findall(r"[a-z0-9]+", text.lower())
@@ -56,42 +63,62 @@ NAMES = [name for name, texts in TEMPLATES.items() for _ in texts]
 
 def _hashes(words: list[str]) -> np.ndarray:
     """The kernel's hashes of single words."""
-    return Words(*buffers(pa.array(words, pa.string())), BETWEEN).hashes(fold=True)
+    return Words(*buffers(pa.array(words, pa.string())), TERM_ENDS).hashes(fold=True)
 
 
-def document_frequency(docs: DataFrame) -> tuple[np.ndarray, int]:
-    """Documents with each vocabulary word, and documents, over all of docs."""
-    known = _hashes(VOCABULARY)
-    order = np.argsort(known)
+def document_frequency(docs: DataFrame) -> tuple[np.ndarray, int, dict[int, int]]:
+    """Documents with each vocabulary word, documents, and those with each other word of a notice by its hash, over all of docs.
+
+    Of the other words only those are returned that more than a FLOOR of the
+    documents have: all others weigh the same, and the result stays bounded.
+    """
+    known = np.sort(_hashes(VOCABULARY))
 
     def run(batches):
-        seen, n, ordered = np.zeros(len(order), np.int64), 0, known[order]
         for batch in blocks(batches):
-            words = Words(*buffers(batch.column(0)), BETWEEN)
+            data, offsets = buffers(batch.column(0))
+            words = Words(data, offsets, TERM_ENDS)
             own = words.hashes(fold=True)
-            at = np.minimum(np.searchsorted(ordered, own), len(order) - 1)
-            hit = ordered[at] == own
-            pairs = np.unique(words.doc[hit] * len(order) + order[at[hit]])
-            seen += np.bincount(pairs % len(order), minlength=len(order))
-            n += batch.num_rows
-        yield pa.RecordBatch.from_arrays([pa.array(np.append(seen, n).tolist(), pa.int64()), pa.array(range(len(order) + 1), pa.int64())], ["n", "term"])
+            order = np.argsort(own, kind="stable")
+            own, doc = own[order], words.doc[order]
+            first = np.append(True, own[1:] != own[:-1])[: len(own)]
+            # a word's documents come in order, so each is counted where it first comes
+            new = first | np.append(True, doc[1:] != doc[:-1])[: len(own)]
+            word = own[first]
+            n_docs = np.add.reduceat(new.astype(np.int64), np.flatnonzero(first)) if len(own) else np.zeros(0, np.int64)
+            text, said = data.tobytes(), set()
+            for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True):
+                for found in notices(text[a:b]):
+                    said.update(found)
+            asked = np.isin(word, np.append(known, _hashes(sorted(said))))
+            yield pa.RecordBatch.from_arrays([pa.array(word.view(np.int64)), pa.array(n_docs), pa.array(asked)], ["term", "n", "asked"])
+
+    counts = docs.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "term long, n long, asked boolean").groupBy("term").agg(F.sum("n").alias("n"), F.max("asked").alias("asked")).where("asked")
+    n = docs.count()
+    sums = {r.term: r.n for r in counts.where(F.col("term").isin(known.view(np.int64).tolist()) | (F.col("n") > F.lit(FLOOR * n))).collect()}
+    frequency = np.array([sums.pop(k, 0) for k in _hashes(VOCABULARY).view(np.int64).tolist()])
+    return frequency, n, sums
+
 
-    sums = dict(docs.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "n long, term long").groupBy("term").agg(F.sum("n")).collect())
-    return np.array([sums.get(k, 0) for k in range(len(VOCABULARY))]), sums.get(len(VOCABULARY), 0)
+def weight(frequency: np.ndarray, n: int) -> np.ndarray:
+    """Inverse document frequency: a function of the share of documents alone, and never above that of the share FLOOR."""
+    return 0.1 - np.log(np.clip(np.asarray(frequency) / max(n, 1), FLOOR, 1))
 
 
 @dataclass
 class TemplateIndex:
-    """TF-IDF vectors of the templates over their own vocabulary: fixed in size."""
+    """TF-IDF vectors of the templates over their own vocabulary, and the weights of other words that aren't rare."""
 
     idf: np.ndarray
-    rare: float
+    others: dict[int, float]
 
     @classmethod
-    def of(cls, frequency: np.ndarray, n: int) -> TemplateIndex:
-        return cls(np.log((1 + n) / (1 + frequency)) + 0.1, float(np.log(1 + n) + 0.1))
+    def of(cls, frequency: np.ndarray, n: int, others: dict[int, int] | None = None) -> TemplateIndex:
+        others = others or {}
+        return cls(weight(frequency, n), dict(zip(others, weight(np.array(list(others.values()), float), n).tolist(), strict=True)))
 
     def __post_init__(self):
+        self.rare = float(weight(np.zeros(1), 1)[0])
         self.place = {w: k for k, w in enumerate(VOCABULARY)}
         self.rows = np.array([self.vector(terms(t))[0] for texts in TEMPLATES.values() for t in texts])
         self.rows /= np.linalg.norm(self.rows, axis=1, keepdims=True)
@@ -104,7 +131,8 @@ class TemplateIndex:
                 other[w] = other.get(w, 0) + 1
             else:
                 out[k] += 1
-        return np.log1p(out) * self.idf, float(sum((np.log1p(c) * self.rare) ** 2 for c in other.values()))
+        hashes = _hashes(list(other)).view(np.int64).tolist() if other else []
+        return np.log1p(out) * self.idf, float(sum((np.log1p(c) * self.others.get(h, self.rare)) ** 2 for h, c in zip(hashes, other.values(), strict=True)))
 
     def best(self, words: list[str]) -> tuple[str, float]:
         known, other = self.vector(words)

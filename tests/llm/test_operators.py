@@ -264,6 +264,23 @@ def test_licenses(spark):
     assert len(got) == 10 and licenses.license_scan(df.limit(0), Scratch(spark, "t")).count() == 0
 
 
+def test_license_scores_do_not_move_with_the_size_of_the_table(spark):
+    project, acme = "This project is released under the MIT License.", "Copyright 2024 Acme Corporation. Licensed under the Apache License, Version 2.0."
+    texts = [project, acme] + [f"this project is a text of the year {k % 7}" if k % 3 else "released words under version 2.0 of all" for k in range(58)]
+    docs = spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "doc_id long, text string")
+    frequency, n, others = licenses.document_frequency(docs)
+    at = lambda w: int(licenses._hashes([w]).view(np.int64)[0])
+    in_docs = lambda w: sum(w in licenses.terms(t) for t in texts)
+    assert n == 60 and {w: others.get(at(w)) for w in ("project", "acme", "corporation")} == {w: in_docs(w) for w in ("project", "acme", "corporation")}
+    assert [int(f) for f in frequency] == [in_docs(w) for w in licenses.VOCABULARY] and at("year") not in others
+    for notice, name in ((project, "MIT"), (acme, "Apache-2.0")):
+        found = [licenses.TemplateIndex.of(frequency * k, n * k, {h: f * k for h, f in others.items()}).best(licenses.terms(notice)) for k in (1, 10**3, 10**6)]
+        assert {f[0] for f in found} == {name} and found[0][1] > licenses.LEAST and max(f[1] for f in found) - min(f[1] for f in found) < 1e-9
+        # words that only the notice has: at the share FLOOR they are as rare as they get
+        alone = [licenses.TemplateIndex.of(frequency * k, 60 * k).best(licenses.terms(notice)) for k in (10**3, 10**5, 10**7)]
+        assert max(f[1] for f in alone) - min(f[1] for f in alone) < 1e-9
+
+
 # 8: personal data
 def test_pii_base(spark, docs, awkward):
     for df, texts in ((table(spark, "documents"), docs), awkward):
