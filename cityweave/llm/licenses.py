@@ -2,14 +2,16 @@
 
 A notice is a run of lines that speak of licences or copyright. Its words,
 weighted by how rare they are in the whole corpus, are compared with the
-templates. A file that is little else than such a notice, or is named like
-one, is the licence file of its directory; files without a notice inherit
-from the nearest directory above that has one.
+templates. A file that is little else than such a notice, whose whole text is
+that of a licence, or that is named like one, is the licence file of its
+directory; files without a notice inherit from the nearest directory above
+that has one.
 """
 
 from __future__ import annotations
 
 import re
+from collections import Counter
 from dataclasses import dataclass
 
 import numpy as np
@@ -38,6 +40,28 @@ TEMPLATES = {
     "proprietary": ("Copyright. All rights reserved.", "Proprietary and confidential. Unauthorized copying of this file is strictly prohibited."),
 }
 
+# Whole texts of short licences, without names of holders.
+FULL = {
+    "MIT": "MIT License Copyright (c) Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the \"Software\"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions: The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software. THE SOFTWARE IS PROVIDED \"AS IS\", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE.",
+    "BSD-3-Clause": "Copyright (c). All rights reserved. Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: 1. Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer. 2. Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution. 3. Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission. THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS ``AS IS'' AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE DISCLAIMED. IN NO EVENT SHALL THE COPYRIGHT HOLDER OR CONTRIBUTORS BE LIABLE FOR ANY DIRECT, INDIRECT, INCIDENTAL, SPECIAL, EXEMPLARY, OR CONSEQUENTIAL DAMAGES (INCLUDING, BUT NOT LIMITED TO, PROCUREMENT OF SUBSTITUTE GOODS OR SERVICES; LOSS OF USE, DATA, OR PROFITS; OR BUSINESS INTERRUPTION) HOWEVER CAUSED AND ON ANY THEORY OF LIABILITY, WHETHER IN CONTRACT, STRICT LIABILITY, OR TORT (INCLUDING NEGLIGENCE OR OTHERWISE) ARISING IN ANY WAY OUT OF THE USE OF THIS SOFTWARE, EVEN IF ADVISED OF THE POSSIBILITY OF SUCH DAMAGE.",
+    "BSD-2-Clause": "Copyright (c). All rights reserved. Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: 1. Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer. 2. Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution. THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS ``AS IS'' AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE DISCLAIMED. IN NO EVENT SHALL THE COPYRIGHT HOLDER OR CONTRIBUTORS BE LIABLE FOR ANY DIRECT, INDIRECT, INCIDENTAL, SPECIAL, EXEMPLARY, OR CONSEQUENTIAL DAMAGES (INCLUDING, BUT NOT LIMITED TO, PROCUREMENT OF SUBSTITUTE GOODS OR SERVICES; LOSS OF USE, DATA, OR PROFITS; OR BUSINESS INTERRUPTION) HOWEVER CAUSED AND ON ANY THEORY OF LIABILITY, WHETHER IN CONTRACT, STRICT LIABILITY, OR TORT (INCLUDING NEGLIGENCE OR OTHERWISE) ARISING IN ANY WAY OUT OF THE USE OF THIS SOFTWARE, EVEN IF ADVISED OF THE POSSIBILITY OF SUCH DAMAGE.",
+    "Unlicense": "This is free and unencumbered software released into the public domain. Anyone is free to copy, modify, publish, use, compile, sell, or distribute this software, either in source code form or as a compiled binary, for any purpose, commercial or non-commercial, and by any means. In jurisdictions that recognize copyright laws, the author or authors of this software dedicate any and all copyright interest in the software to the public domain. We make this dedication for the benefit of the public at large and to the detriment of our heirs and successors. We intend this dedication to be an overt act of relinquishment in perpetuity of all present and future rights to this software under copyright law. THE SOFTWARE IS PROVIDED \"AS IS\", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE. For more information, please refer to <http://unlicense.org/>",
+}
+
+# Long licences open with their titles, here as terms.
+TITLES = {
+    "gnu affero general public license version 3": "AGPL-3.0",
+    "gnu lesser general public license version 3": "LGPL-3.0",
+    "gnu general public license version 3": "GPL-3.0",
+    "gnu general public license version 2": "GPL-2.0",
+    "apache license version 2 0": "Apache-2.0",
+    "mozilla public license version 2 0": "MPL-2.0",
+    "attribution noncommercial 4 0 international": "CC-BY-NC-4.0",
+    "attribution sharealike 4 0 international": "CC-BY-SA-4.0",
+    "attribution 4 0 international": "CC-BY-4.0",
+    "cc0 1 0 universal": "CC0-1.0",
+}
+
 KEYWORD = re.compile(rb"licen[sc]e|copyright|spdx-|all rights reserved|creative commons|public domain|redistribution and use|hereby granted|\bcc by")
 FILE_NAME = r"(?i)^(licen[sc]e|copying|notice|unlicense)([._-].*)?$"
 
@@ -45,6 +69,10 @@ FILE_NAME = r"(?i)^(licen[sc]e|copying|notice|unlicense)([._-].*)?$"
 REACH = 60
 LEAST = 0.5
 
+#: A whole text is a licence with so high a cosine to one; a text from LONG words on may be a long licence.
+WHOLE = 0.8
+LONG = 500
+
 #: Words in a smaller share of documents weigh no more than words in this share, so that scores don't move with the table's size.
 FLOOR = 1e-4
 
@@ -57,8 +85,11 @@ def terms(text: str) -> list[str]:
     return re.findall(r"[a-z0-9]+", text.lower())
 
 
-VOCABULARY = sorted({w for texts in TEMPLATES.values() for t in texts for w in terms(t)})
 NAMES = [name for name, texts in TEMPLATES.items() for _ in texts]
+KNOWN = [terms(t) for texts in TEMPLATES.values() for t in texts]
+FULL_KNOWN = KNOWN + [terms(t) for t in FULL.values()]
+FULL_NAMES = NAMES + list(FULL)
+VOCABULARY = sorted({w for words in FULL_KNOWN for w in words})
 
 
 def _hashes(words: list[str]) -> np.ndarray:
@@ -67,7 +98,7 @@ def _hashes(words: list[str]) -> np.ndarray:
 
 
 def document_frequency(docs: DataFrame) -> tuple[np.ndarray, int, dict[int, int]]:
-    """Documents with each vocabulary word, documents, and those with each other word of a notice by its hash, over all of docs.
+    """Documents with each vocabulary word, documents, and those with each other word of texts that have a notice by its hash, over all of docs.
 
     Of the other words only those are returned that more than a FLOOR of the
     documents have: all others weigh the same, and the result stays bounded.
@@ -88,8 +119,8 @@ def document_frequency(docs: DataFrame) -> tuple[np.ndarray, int, dict[int, int]
             n_docs = np.add.reduceat(new.astype(np.int64), np.flatnonzero(first)) if len(own) else np.zeros(0, np.int64)
             text, said = data.tobytes(), set()
             for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True):
-                for found in notices(text[a:b]):
-                    said.update(found)
+                if KEYWORD.search(low := text[a:b].lower()):
+                    said.update(terms(low.decode("utf-8", "ignore")))
             asked = np.isin(word, np.append(known, _hashes(sorted(said))))
             yield pa.RecordBatch.from_arrays([pa.array(word.view(np.int64)), pa.array(n_docs), pa.array(asked)], ["term", "n", "asked"])
 
@@ -120,7 +151,7 @@ class TemplateIndex:
     def __post_init__(self):
         self.rare = float(weight(np.zeros(1), 1)[0])
         self.place = {w: k for k, w in enumerate(VOCABULARY)}
-        self.rows = np.array([self.vector(terms(t))[0] for texts in TEMPLATES.values() for t in texts])
+        self.rows = np.array([self.vector(words)[0] for words in FULL_KNOWN])
         self.rows /= np.linalg.norm(self.rows, axis=1, keepdims=True)
 
     def vector(self, words: list[str]) -> tuple[np.ndarray, float]:
@@ -134,14 +165,35 @@ class TemplateIndex:
         hashes = _hashes(list(other)).view(np.int64).tolist() if other else []
         return np.log1p(out) * self.idf, float(sum((np.log1p(c) * self.others.get(h, self.rare)) ** 2 for h, c in zip(hashes, other.values(), strict=True)))
 
-    def best(self, words: list[str]) -> tuple[str, float]:
+    def best(self, words: list[str], names: list[str] = NAMES) -> tuple[str, float, int]:
+        """Name and cosine of the nearest of the first templates, as many as names, and its place."""
         known, other = self.vector(words)
         norm = np.sqrt((known**2).sum() + other)
         if not norm:
-            return NAMES[0], 0.0
-        cosine = self.rows @ known / norm
+            return names[0], 0.0, 0
+        cosine = self.rows[: len(names)] @ known / norm
         k = int(cosine.argmax())
-        return NAMES[k], float(cosine[k])
+        return names[k], float(cosine[k]), k
+
+    def whole(self, text: bytes) -> tuple[str | None, float]:
+        """The licence that the whole of a text is, and its score: the cosine, or for a long one the share of the text near keywords."""
+        low = text.lower()
+        spans = [m.span() for m in KEYWORD.finditer(low)]
+        if not spans:
+            return None, 0.0
+        words = terms(low.decode("utf-8", "ignore"))
+        if len(words) >= LONG:
+            opening = f" {' '.join(words[:REACH])} "
+            at, name = min(((opening.find(f" {title} "), name) for title, name in TITLES.items() if f" {title} " in opening), default=(0, None))
+            covered = end = 0
+            for a, b in spans:
+                a, b = max(a - 8 * REACH, end), min(b + 8 * REACH, len(low))
+                covered, end = covered + max(b - a, 0), max(end, b)
+            if name and 2 * covered >= len(low):
+                return name, covered / len(low)
+        name, score, k = self.best(words, FULL_NAMES)
+        common = (Counter(words) & Counter(FULL_KNOWN[k])).total()
+        return (name, score) if score >= WHOLE and 2 * common >= len(words) else (None, 0.0)
 
 
 def notices(text: bytes) -> list[list[str]]:
@@ -172,11 +224,14 @@ def scanned(files: DataFrame, index: TemplateIndex, least: float = LEAST) -> Dat
             data, offsets = buffers(batch.column(2))
             text = data.tobytes()
             for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True):
-                found = [(*index.best(words), len(words)) for words in notices(text[a:b])] if b > a else []
+                found = [(*index.best(words)[:2], len(words)) for words in notices(text[a:b])] if b > a else []
                 name, top, size = max(found, key=lambda f: f[1], default=("", 0.0, 0))
+                entire, high = index.whole(text[a:b]) if found else (None, 0.0)
+                if entire and high >= least:
+                    name, top = entire, max(top, high) if name == entire else high
                 own.append(name if top >= least else None)
                 score.append(top)
-                whole.append(top >= least and 2 * size >= len(text[a:b].split()))
+                whole.append(top >= least and (entire is not None or 2 * size >= len(text[a:b].split())))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(own, pa.string()), pa.array(score, pa.float64()), pa.array(whole, pa.bool_())], ["doc_id", "path", "own", "score", "whole"])
 
     return files.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("path").cast("string").alias("path"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, path string, own string, score double, whole boolean")
@@ -194,6 +249,7 @@ def license_scan(files: DataFrame, scratch, least: float = LEAST) -> DataFrame:
     directory above with a licence file, null without either. Of several
     licence files in a directory the one with the highest score counts, then
     the smaller path. Null texts have no notice; null paths inherit nothing.
+    The score of a long licence is the share of its text near keywords.
     """
     index = TemplateIndex.of(*document_frequency(files))
     rows = scratch.keep(scanned(files, index, least).withColumn("dir", _parent(F.col("path"))))

@@ -1,6 +1,7 @@
 """The ten operators against plain versions, on the smallest tables and on awkward rows."""
 
 import random
+import textwrap
 import zlib
 from collections import Counter
 
@@ -281,6 +282,24 @@ def test_license_scores_do_not_move_with_the_size_of_the_table(spark):
         assert max(f[1] for f in alone) - min(f[1] for f in alone) < 1e-9
 
 
+def test_whole_licenses_under_plain_names(spark):
+    wrap = lambda name: "\n".join(textwrap.wrap(licenses.FULL[name].replace("(c)", "(c) 2019 Ada Example and others"), 72))
+    mit, bsd, free = (wrap(n) for n in ("MIT", "BSD-3-Clause", "Unlicense"))
+    section = "\n".join(f"{k}. Clause. You may convey a covered work\nunder the terms of this License, provided that\nthe conditions of section {k} are met by you and by all who get it." for k in range(40))
+    affero = f"GNU AFFERO GENERAL PUBLIC LICENSE\nVersion 3, 19 November 2007\n\n{section}"
+    code = "\n".join(f"value_{k} = compute(value_{k - 1}, {k})" for k in range(200))
+    files = [
+        (1, "a/1.txt", mit), (2, "a/2.txt", "plain words"), (3, "b/3.txt", bsd), (4, "b/c/4.txt", "plain words"), (5, "d/5.txt", free), (6, "d/6.txt", "plain words"), (7, "e/7.txt", affero), (8, "e/8.txt", "plain words"),
+        (9, "f/9.txt", f"{mit}\n{code}"), (10, "f/10.txt", "plain words"), (11, "g/11.txt", f"Licensed under the Apache License, Version 2.0.\n{code}"), (12, "g/12.txt", "plain words"),
+    ]
+    assert len(mit.splitlines()) > 10
+    df = spark.createDataFrame(files, "doc_id long, path string, text string")
+    got = {r.doc_id: (r.license, r.how) for r in licenses.license_scan(df, Scratch(spark, "t")).collect()}
+    for k, name in ((1, "MIT"), (3, "BSD-3-Clause"), (5, "Unlicense"), (7, "AGPL-3.0")):
+        assert got[k] == (name, "header") and got[k + 1] == (name, "inherited")
+    assert got[10] == got[12] == (None, None) and got[11] == ("Apache-2.0", "header")
+
+
 # 8: personal data
 def test_pii_base(spark, docs, awkward):
     for df, texts in ((table(spark, "documents"), docs), awkward):
