@@ -261,6 +261,7 @@ def geometry_sql() -> dict[str, str]:
         "geo_cells": q(f"select surface_id, cx, unnest(range(floor(ymin / 32)::bigint, floor(ymax / 32)::bigint + 1)) as cy from ({cells})"),
         "geo_morton": q(f"select surface_id, ({spread('ix')} + ({spread('iy')} << 1))::bigint as morton from (select surface_id, floor(xmin / 32)::bigint as ix, floor(ymin / 32)::bigint as iy from city_box)"),
         "geo_clip_convex": q("select surface_id, area_id, round(common, 6) as common from overlap join crowd using (area_id) where not (v = 3 and slot = 4)"),
+        "geo_clip_convex_all": q("select surface_id, area_id, round(common, 6) as common from overlap"),
     }
 
 

@@ -48,13 +48,31 @@ def _neighbours(c: Context, pad: float, less: bool = False) -> DataFrame:
 
 
 def _first_slots(df: DataFrame) -> DataFrame:
-    """Pairs within a block from its first surface, where nothing is turned."""
+    """Pairs within a block from its first surface, where nothing is turned: all that the SQL of two queries knows; `_all` has the rest."""
     block = F.floor(F.col("surface_id") / 8)
     return df.where((F.col("surface_id") % 8 == 0) & (block % 5 != 3) & (F.floor(F.col("neighbour_id") / 8) == block))
 
 
 _FAR = 60.0
 
+
+def _gaps(c: Context) -> DataFrame:
+    """Distances up to _FAR of all ground surfaces, of any shape and across blocks; each pair both ways."""
+    half = _neighbours(c, _FAR, less=True).select("surface_id", "neighbour_id", geom.distance(F.col("a"), F.col("b")).alias("d")).where(F.col("d") <= _FAR)
+    return half.select(F.explode(F.array(F.struct("surface_id", "neighbour_id", "d"), F.struct(F.col("neighbour_id").alias("surface_id"), F.col("surface_id").alias("neighbour_id"), "d"))).alias("p")).select("p.*")
+
+
+def _near(c: Context, d: float) -> DataFrame:
+    half = _neighbours(c, d, less=True).where(geom.dwithin(F.col("a"), F.col("b"), d)).select("surface_id", "neighbour_id")
+    return half.unionByName(half.select(F.col("neighbour_id").alias("surface_id"), F.col("surface_id").alias("neighbour_id")))
+
+
+def _clipped(subject, clip):
+    """Common area by clipping; the clip is taken as a fan of triangles with signs, so it may have any simple shape."""
+    fan = F.transform(F.sequence(F.lit(2), F.size(clip) - 1), lambda k: F.array(F.element_at(clip, 1), F.element_at(clip, k), F.element_at(clip, k + 1)))
+    signed = lambda t: F.signum(geom.ring_area(t)) * F.abs(geom.ring_area(geom.clip_convex(subject, F.element_at(geom.ccw(F.array(t)), 1))))
+    return F.abs(geom.total(fan, signed))
+
 LINKER: dict[str, Callable[[Context], DataFrame]] = {
     "fx_city_surface": lambda c: _rounded(c.city.ground.join(c.city.buildings.select("building_id", "roof_code"), "building_id").select("surface_id", "building_id", "height_m", "roof_code", "area_m2", wkt.polygon_wkt(F.col("rings")).alias("shape")), "area_m2"),
     "fx_crowd_area": lambda c: _rounded(c.city.crowd.select("area_id", "label", "class", "area_m2", wkt.polygon_wkt(F.col("rings")).alias("shape")), "area_m2"),
@@ -97,6 +115,8 @@ GEOMETRY: dict[str, Callable[[Context], DataFrame]] = {
     "geo_shared_length": lambda c: _neighbours(c, 1e-6, less=True).select("surface_id", "neighbour_id", F.round(geom.shared_length(F.col("a"), F.col("b")), 6).alias("shared_m")).where("shared_m > 0"),
     "geo_distance": lambda c: _first_slots(_neighbours(c, _FAR)).select("surface_id", "neighbour_id", F.round(geom.distance(F.col("a"), F.col("b")), 6).alias("d")),
     "geo_dwithin": lambda c: _first_slots(_neighbours(c, _FAR)).where(geom.dwithin(F.col("a"), F.col("b"), 5.0)).select("surface_id", "neighbour_id"),
+    "geo_distance_all": lambda c: _rounded(_gaps(c), "d"),
+    "geo_dwithin_all": lambda c: _near(c, 5.0),
     "geo_buffer_area": lambda c: c.city.roads.select("road_id", geom.buffer(geom.line_segments(F.col("pts")), 20.0).alias("zone")).select("road_id", F.round(geom.total(F.col("zone"), lambda p: geom.area(p)) - geom.intersection_area(geom.strips(F.get("zone", F.lit(0))), geom.strips(F.get("zone", F.lit(1))), geom.bbox(F.get("zone", F.lit(0)))["ymin"] - 10), 4).alias("area")),
     "geo_extrude_volume": lambda c: c.city.ground.select("surface_id", F.round(geom.volume(F.col("area_m2"), F.col("height_m")), 6).alias("volume"), geom.face_count(F.col("rings")).alias("faces")),
     "geo_wkt": lambda c: c.city.ground.select("surface_id", wkt.polygon_wkt(F.col("rings")).alias("shape")),
@@ -104,6 +124,7 @@ GEOMETRY: dict[str, Callable[[Context], DataFrame]] = {
     "geo_cells": lambda c: c.city.ground.select("surface_id", F.explode(geom.cells(F.col("bbox"), 32.0)).alias("c")).select("surface_id", "c.cx", "c.cy"),
     "geo_morton": lambda c: c.city.ground.select("surface_id", geom.morton(F.floor(F.col("bbox.xmin") / 32), F.floor(F.col("bbox.ymin") / 32)).alias("morton")),
     "geo_clip_convex": lambda c: _pairs(c).where("not (floor(area_id / 6) % 5 = 3 and area_id % 6 = 4)").select("surface_id", "area_id", F.round(F.abs(geom.ring_area(geom.clip_convex(F.element_at("a", 1), F.element_at(geom.ccw(F.col("b")), 1)))), 6).alias("common")).where("common > 0"),
+    "geo_clip_convex_all": lambda c: _pairs(c).select("surface_id", "area_id", F.round(_clipped(F.element_at("a", 1), F.element_at("b", 1)), 6).alias("common")).where("common > 0"),
 }
 
 

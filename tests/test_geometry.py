@@ -123,3 +123,30 @@ def test_clip_equals_intersection(pairs):
 
 def test_units():
     assert geom.to_metres(2, "kilometre") == 2000 and geom.to_metres(1, "degree") == pytest.approx(111319.49, abs=0.01)
+
+
+def gap(a, b):
+    """Least distance of two rings that don't overlap, by their corners and edges."""
+
+    def to_edge(x, y, e):
+        (x1, y1), (x2, y2) = e
+        t = max(0, min(1, ((x - x1) * (x2 - x1) + (y - y1) * (y2 - y1)) / ((x2 - x1) ** 2 + (y2 - y1) ** 2)))
+        return math.hypot(x1 + t * (x2 - x1) - x, y1 + t * (y2 - y1) - y)
+
+    edges = lambda r: list(zip(r, r[1:] + r[:1]))
+    return min(min(to_edge(x, y, e) for x, y in p for e in edges(q)) for p, q in ((a, b), (b, a)))
+
+
+def test_distances_of_all_surfaces(spark, city):
+    import __spark_entry__ as entry
+    from conftest import SMALL
+
+    rings = {r.surface_id: [(p["x"], p["y"]) for p in r.rings[0]] for r in city.city.ground.collect()}
+    ids = sorted(rings)
+    want = {(i, j): d for i in ids for j in ids if i != j and (d := gap(rings[i], rings[j])) <= 60}
+    got = {(r.surface_id, r.neighbour_id): r.d for r in entry.queries()["geo_distance_all"](spark, SMALL).collect()}
+    assert got.keys() == want.keys() and all(abs(got[k] - want[k]) < 1e-5 for k in want)
+    assert any(i // 8 != j // 8 for i, j in want) and any(i // 8 % 5 == 3 for i, _ in want) and any(len(rings[i]) > 4 for i, _ in want)
+    rows = entry.queries()["geo_dwithin_all"](spark, SMALL).collect()
+    near = {(r.surface_id, r.neighbour_id) for r in rows}
+    assert len(rows) == len(near) and near == {k for k, d in want.items() if d <= 5 + 1e-9}
