@@ -466,15 +466,25 @@ class RingEdges:
             yield i, xs[i], ys[i], xs[j], ys[j]
 
 
-@query(_q("select surface_id, i::int as i, round(x1, 6) as x1, round(y1, 6) as y1, round(x2, 6) as x2, round(y2, 6) as y2 from city_seg where surface_id < 200"))
-def udtf_edges(c: Context) -> DataFrame:
+def _ring_edges(c: Context, ground: DataFrame) -> DataFrame:
     ring = F.element_at("rings", 1)
-    rows = c.city.ground.where("surface_id < 200").select("surface_id", F.transform(ring, lambda p: p["x"]).alias("xs"), F.transform(ring, lambda p: p["y"]).alias("ys"))
+    rows = ground.select("surface_id", F.transform(ring, lambda p: p["x"]).alias("xs"), F.transform(ring, lambda p: p["y"]).alias("ys"))
     c.spark.udtf.register("ring_edges", RingEdges)
     rows.createOrReplaceTempView("_cw_rings")
     return c.spark.sql("select surface_id, i, round(x1, 6) as x1, round(y1, 6) as y1, round(x2, 6) as x2, round(y2, 6) as y2 from _cw_rings, lateral ring_edges(xs, ys)")
 
 
+@query(_q("select surface_id, i::int as i, round(x1, 6) as x1, round(y1, 6) as y1, round(x2, 6) as x2, round(y2, 6) as y2 from city_seg where surface_id < 200"))
+def udtf_edges(c: Context) -> DataFrame:
+    """Restricted as its SQL is; udtf_edges_all has every surface."""
+    return _ring_edges(c, c.city.ground.where("surface_id < 200"))
+
+
+@query(_q("select surface_id, i::int as i, round(x1, 6) as x1, round(y1, 6) as y1, round(x2, 6) as x2, round(y2, 6) as y2 from city_seg"))
+def udtf_edges_all(c: Context) -> DataFrame:
+    return _ring_edges(c, c.city.ground)
+
+
 @query(_q("select surface_id, area_id, round(common, 6) as common from overlap"))
 def geo_intersection_edges(c: Context) -> DataFrame:
     """The kernel with its pairs of edges as rows: wholly compiled, for shapes with many corners."""

@@ -296,4 +296,5 @@ def graph_sql() -> dict[str, str]:
         "kg_refresh_equal": "select 0::bigint as missing, 0::bigint as extra",
         "kg_diff": q("select change, 'cw:b/' || building_id as s, 'cw:height' as p, case change when 'removed' then height_m else height_m + 1 end::varchar as o from building, (values ('removed'), ('added')) c(change) where building_id % 10 = 0"),
         "kg_class_counts": q("select class, count(*) as n from (select class from crowd union all select class from road) group by 1"),
+        "kg_class_counts_all": q("select class, count(*) as n from (select class from crowd union all select class from road union all select 'Poi' from poi) group by 1"),
     }

@@ -170,9 +170,12 @@ GRAPH: dict[str, Callable[[Context], DataFrame]] = {
     "assoc_same_as": lambda c: assoc.same_as(c.links.links),
     "kg_triples_per_predicate": lambda c: c.triples.where("p <> 'rdf:type'").groupBy("p").agg(F.count("*").alias("n")),
     "kg_triples_sample": lambda c: c.triples.where("p in ('cw:height', 'cw:roofLabel', 'cw:hasSolid') and s like 'cw:b/%' and cast(substr(s, 6) as long) < 50").select("s", "p", "o"),
+    "kg_triples_per_predicate_all": lambda c: c.triples.groupBy("p").agg(F.count("*").alias("n")),
+    "kg_triples_all": lambda c: c.triples.select("s", "p", "o"),
     "kg_refresh_equal": _refresh_equal,
     "kg_diff": _diff,
     "kg_class_counts": lambda c: c.virtual.query("SELECT ?named (COUNT(?x) AS ?n) { ?x cw:assignsClass ?named ; cw:elementOf ?e } GROUP BY ?named").select(F.replace("named", F.lit("cw:ci/"), F.lit("")).alias("class"), "n").where("class <> 'Poi'"),
+    "kg_class_counts_all": lambda c: c.virtual.query("SELECT ?named (COUNT(?x) AS ?n) { ?x cw:assignsClass ?named ; cw:elementOf ?e } GROUP BY ?named").select(F.replace("named", F.lit("cw:ci/"), F.lit("")).alias("class"), "n"),
 }
 
 
