@@ -76,7 +76,7 @@ def _clipped(subject, clip):
 LINKER: dict[str, Callable[[Context], DataFrame]] = {
     "fx_city_surface": lambda c: _rounded(c.city.ground.join(c.city.buildings.select("building_id", "roof_code"), "building_id").select("surface_id", "building_id", "height_m", "roof_code", "area_m2", wkt.polygon_wkt(F.col("rings")).alias("shape")), "area_m2"),
     "fx_crowd_area": lambda c: _rounded(c.city.crowd.select("area_id", "label", "class", "area_m2", wkt.polygon_wkt(F.col("rings")).alias("shape")), "area_m2"),
-    "fx_truth_edges": lambda c: _rounded(c.links.edges.select("surface_id", "area_id", "ratio"), "ratio"),
+    "fx_truth_edges": lambda c: _rounded(c.city.truth, "ratio"),
     "link_edges": lambda c: _rounded(linker.relations(linker.direct_match(c.city.ground, c.city.crowd)).select("surface_id", "area_id", "ratio", "relation"), "ratio"),
     "link_classes_group": lambda c: linker.classify(c.links.edges, c.city.ground, c.city.crowd),
     "link_classes_degree": lambda c: linker.classify(c.links.edges, c.city.ground, c.city.crowd, "degree"),
@@ -91,7 +91,7 @@ LINKER: dict[str, Callable[[Context], DataFrame]] = {
     "link_summary": lambda c: linker.summary(c.links),
     "link_sweep": lambda c: linker.sweep(c.city.ground, c.city.crowd),
     "link_ablate": lambda c: linker.ablate_steps(c.links),
-    "link_audit": lambda c: linker.audit(c.links.edges, c.links.edges),
+    "link_audit": lambda c: linker.audit(c.links.edges, c.city.truth),
     "sp_candidates": lambda c: spatial.candidates(_layer(c.city.ground, "surface_id"), _layer(c.city.crowd, "area_id")).select("a_id", "b_id"),
     "sp_candidates_brute": lambda c: spatial.candidates_brute(_layer(c.city.ground, "surface_id"), _layer(c.city.crowd, "area_id")).select("a_id", "b_id"),
     "sp_candidates_adaptive": lambda c: spatial.candidates_adaptive(_layer(c.city.ground, "surface_id"), _layer(c.city.crowd, "area_id"), max_per_cell=3).select("a_id", "b_id"),

@@ -69,6 +69,23 @@ def layout(common: dict, variants: dict) -> dict[tuple[int, int], list[tuple[flo
 CITY_LAYOUT, CROWD_LAYOUT = layout(COMMON_CITY, VARIANT_CITY), layout(COMMON_CROWD, VARIANT_CROWD)
 
 
+def true_pairs(least: float = 0.5) -> list[tuple[int, int, int, float]]:
+    """(variant, city slot, crowd slot, common part of the smaller) of the slots that match, from their boxes before turning."""
+    boxes = lambda shape: [(0, 0, 12, 4), (0, 4, 4, 12)] if shape == "L" else [shape]
+    size = lambda parts: sum((x1 - x0) * (y1 - y0) for x0, y0, x1, y1 in parts)
+    out = []
+    for v in VARIANT_CITY:
+        for c, p in (COMMON_CITY | VARIANT_CITY[v]).items():
+            for w, q in (COMMON_CROWD | VARIANT_CROWD[v]).items():
+                if v == TURNED and (c in VARIANT_CITY[v]) != (w in VARIANT_CROWD[v]):
+                    continue
+                a, b = boxes(p), boxes(q)
+                common = sum(max(min(i[2], j[2]) - max(i[0], j[0]), 0) * max(min(i[3], j[3]) - max(i[1], j[1]), 0) for i in a for j in b)
+                if (ratio := common / min(size(a), size(b))) >= least - 1e-9:
+                    out.append((v, c, w, float(ratio)))
+    return out
+
+
 def _ring_column(rings: dict, key: Column, per_block: int) -> Column:
     """Ring of a key by its block's variant and its slot: a literal table, looked up in the row."""
     block = F.floor(key / per_block)
@@ -125,6 +142,14 @@ class City:
         base = self.table("part").select(key.alias("surface_id"), key.alias("building_id"), F.col("p_size").cast("double").alias("height_m"), F.array(_ring_column(CITY_LAYOUT, key, 8)).alias("rings"))
         return _shape(base)
 
+    @cached_property
+    def truth(self) -> DataFrame:
+        """(surface_id, area_id, ratio) that match by the layout of their block, whatever a linker finds."""
+        key = lambda table, name, out, per_block, slot: self.table(table).select(F.col(name).cast("long").alias(out), F.floor(F.col(name) / per_block).alias("b"), (F.col(name) % per_block).cast("long").alias(slot))
+        pairs = self.spark.createDataFrame(true_pairs(), "v long, c long, w long, ratio double")
+        both = key("part", "p_partkey", "surface_id", 8, "c").join(key("customer", "c_custkey", "area_id", 6, "w"), "b")
+        return both.withColumn("v", F.col("b") % 5).join(F.broadcast(pairs), ["v", "c", "w"]).select("surface_id", "area_id", "ratio")
+
     @cached_property
     def faces(self) -> DataFrame:
         """Roof, wall and closure surfaces."""

@@ -108,6 +108,20 @@ def test_audit_bound(city):
     assert (row.drawn, row.right, row.precision, row.recall) == (50, 50, 1.0, 1.0) and 0.92 < row.wilson_low < 0.95
 
 
+def test_audit_sees_what_the_linker_gets_wrong(city):
+    from types import SimpleNamespace
+
+    from cityweave import registry
+
+    edges = city.links.edges.select("surface_id", "area_id")
+    n = edges.count()
+    audit = lambda found: registry.LINKER["link_audit"](SimpleNamespace(links=SimpleNamespace(edges=found), city=city.city)).first()
+    missed = edges.where("surface_id % 2 = 0")
+    assert audit(missed).precision == 1 and audit(missed).recall == round(missed.count() / n, 6) < 1
+    wrong = edges.withColumn("area_id", F.col("area_id") + 100_000)
+    assert audit(wrong).precision == 0 and audit(wrong).recall == 0
+
+
 def test_other_matcher(city):
     linker.register_matcher("whole", lambda a, b, t: linker.direct_match(a, b, 0.999))
     assert linker.run(city.city, matcher="whole").edges.count() < city.links.edges.count()
