@@ -8,7 +8,9 @@ each other and compared word by word, so that substitutions don't hide a copy.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
+from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
@@ -21,6 +23,8 @@ from cityweave.llm.kernel import Words, blocks, buffers, parts, window_hash
 # Token positions that count, by mask.
 MASKS = ((0, 1, 2, 5, 6, 8), (0, 2, 3, 4, 7, 8), (0, 1, 3, 5, 7, 8), (0, 1, 4, 6, 7, 8))
 SPAN = 9
+#: Items under so many words have masks of their own, as those above can miss them.
+SHORT = 12
 
 # Tokens are runs of ASCII letters, digits and bytes of other scripts.
 BETWEEN = np.ones(256, bool)
@@ -34,24 +38,45 @@ def _seeds(hashes: np.ndarray) -> list[np.ndarray]:
     return [window_hash(hashes, mask, SPAN) for mask in MASKS]
 
 
+def short_masks(size: int, share: float) -> list[tuple[int, ...]]:
+    """Masks over all words of a short item, one of which is spared by any substitutions that leave `share` of the words.
+
+    The words are dealt into two groups more than there may be substitutions,
+    and each mask leaves out as many groups as there may be substitutions.
+    """
+    wrong = size - max(math.ceil(share * size - 1e-9), 0)
+    groups = min(wrong + 2, size)
+    return [tuple(k for k in range(size) if k % groups not in out) for out in combinations(range(groups), wrong)] if wrong else [tuple(range(size))]
+
+
+def _matches(keys: np.ndarray, own: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Indices (in at's terms, in the sorted keys) of all equal pairs of own[at] and keys."""
+    low, high = np.searchsorted(keys, own[at], "left"), np.searchsorted(keys, own[at], "right")
+    n = high - low
+    at, low, n = at[n > 0], low[n > 0], n[n > 0]
+    return np.repeat(at, n), np.repeat(low, n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+
+
 class SeedIndex:
     """Seeds of a block of test items: sorted hashes with item and position."""
 
-    def __init__(self, ids: list[int], texts: list[str]):
+    def __init__(self, ids: list[int], texts: list[str], share: float = 0.8):
         self.ids = ids
         self.words: list[np.ndarray] = []
         seeds, item, at = [], [], []
-        self.short: dict[int, dict[int, list[int]]] = {}
+        by_mask: dict[tuple[int, tuple[int, ...]], list[tuple[int, int]]] = {}
         for k, text in enumerate(texts):
             found = Words(*buffers(pa.array([text], pa.string())), BETWEEN).hashes(fold=True)
             self.words.append(found)
-            if 0 < len(found) < SPAN:
-                whole = window_hash(found, tuple(range(len(found))), len(found))
-                self.short.setdefault(len(found), {}).setdefault(int(whole[0]), []).append(k)
+            if 0 < len(found) < SHORT:
+                for mask in short_masks(len(found), share):
+                    by_mask.setdefault((len(found), mask), []).append((int(window_hash(found, mask, len(found))[0]), k))
             for own in _seeds(found):
                 seeds.append(own)
                 item.append(np.full(len(own), k))
                 at.append(np.arange(len(own)))
+        #: (words, mask, sorted hashes, their items) of short items
+        self.short = [(size, mask, np.array([h for h, _ in sorted(rows)], np.uint64), np.array([k for _, k in sorted(rows)])) for (size, mask), rows in by_mask.items()]
         flat = np.concatenate(seeds) if seeds else np.zeros(0, np.uint64)
         order = np.argsort(flat, kind="stable")
         self.hash = flat[order]
@@ -66,20 +91,13 @@ class SeedIndex:
         for own in _seeds(hashes):
             at = np.flatnonzero(self.table[own >> np.uint64(64 - TABLE_BITS)])
             at = at[doc[at] == doc[at + SPAN - 1]]
-            low, high = np.searchsorted(self.hash, own[at], "left"), np.searchsorted(self.hash, own[at], "right")
-            n = high - low
-            at, low, n = at[n > 0], low[n > 0], n[n > 0]
-            if len(at):
-                seed = np.repeat(low, n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-                word = np.repeat(at, n)
-                found.append(np.stack([doc[word], self.item[seed], word - self.at[seed]], axis=1))
-        for size, by_hash in self.short.items():
-            if len(hashes) < size:
-                continue
-            own = window_hash(hashes, tuple(range(size)), size)
-            for at in np.flatnonzero(np.isin(own, np.array(list(by_hash), np.uint64))):
-                if doc[at] == doc[at + size - 1]:
-                    found.append(np.array([[doc[at], k, at] for k in by_hash[int(own[at])]]))
+            word, seed = _matches(self.hash, own, at)
+            found.append(np.stack([doc[word], self.item[seed], word - self.at[seed]], axis=1))
+        for size, mask, keys, items in self.short:
+            if len(hashes) >= size:
+                own = window_hash(hashes, mask, size)
+                word, seed = _matches(keys, own, np.flatnonzero(doc[: len(own)] == doc[size - 1 :]))
+                found.append(np.stack([doc[word], items[seed], word], axis=1))
         return np.unique(np.concatenate(found), axis=0) if found else np.zeros((0, 3), np.int64)
 
     def overlaps(self, words: Words, span: int, share: float):
@@ -105,11 +123,11 @@ def item_blocks(items: DataFrame, id_col: str, block_bytes: int) -> list[DataFra
     return [items.where(F.pmod(F.xxhash64(id_col), F.lit(parts)) == k) if parts > 1 else items for k in range(parts)]
 
 
-def _indexes(items: DataFrame, block_bytes: int):
+def _indexes(items: DataFrame, block_bytes: int, share: float):
     chosen = items.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).where("item_id is not null and text is not null")
     for part in item_blocks(chosen, "item_id", block_bytes):
         rows = sorted(part.collect())
-        yield SeedIndex([r.item_id for r in rows], [r.text for r in rows])
+        yield SeedIndex([r.item_id for r in rows], [r.text for r in rows], share)
 
 
 def contamination(docs: DataFrame, items: DataFrame, span: int = 13, share: float = 0.8, block_bytes: int = 8 << 20) -> DataFrame:
@@ -121,7 +139,7 @@ def contamination(docs: DataFrame, items: DataFrame, span: int = 13, share: floa
     documents. Null or empty texts overlap with nothing.
     """
     out = None
-    for index in _indexes(items, block_bytes):
+    for index in _indexes(items, block_bytes, share):
 
         def run(batches, index=index):
             for batch in blocks(batches):
@@ -139,7 +157,7 @@ def contamination(docs: DataFrame, items: DataFrame, span: int = 13, share: floa
 def drop_contaminated(docs: DataFrame, items: DataFrame, span: int = 13, share: float = 0.8, block_bytes: int = 8 << 20) -> DataFrame:
     """docs, in its own columns, without those that overlap with a test item."""
     out = docs
-    for index in _indexes(items, block_bytes):
+    for index in _indexes(items, block_bytes, share):
         out = out.where(_is_clean(index, span, share)(F.col("text").cast("string")))
     return out
 

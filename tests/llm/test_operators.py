@@ -1,5 +1,6 @@
 """The ten operators against plain versions, on the smallest tables and on awkward rows."""
 
+import itertools
 import random
 import textwrap
 import zlib
@@ -225,6 +226,24 @@ def test_contamination_is_what_brute_force_finds(spark, docs):
     assert want and want <= got
 
 
+def test_short_items_with_substitutions(spark):
+    items = {n: [f"item{n}word{k}" for k in range(n)] for n in range(1, 14)}
+    rows, want = [], set()
+    for n, words in items.items():
+        allowed = n - -(-8 * n // 10)
+        for wrong in range(allowed + 2):
+            for at in itertools.combinations(range(n), wrong):
+                text = " ".join(["before", *("other" if k in at else w for k, w in enumerate(words)), "after"])
+                if wrong <= allowed:
+                    want.add((len(rows), n))
+                rows.append((len(rows), text))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    bench = spark.createDataFrame([(n, " ".join(w)) for n, w in items.items()], "item_id long, text string")
+    got = decontam.contamination(df, bench).collect()
+    assert {(r.doc_id, r.item_id) for r in got} == want and len(got) == len(want)
+    assert {r.doc_id for r in decontam.drop_contaminated(df, bench).collect()} == {k for k, _ in rows} - {k for k, _ in want}
+
+
 # 6: languages
 def test_languages(spark, awkward, empty):
     docs = spark.read.parquet(f"{MIDDLE}/documents.parquet")
