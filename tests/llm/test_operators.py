@@ -344,9 +344,95 @@ def test_pii_learns_a_context(spark):
     assert clean[100] == "Please call <PHONE> today" and clean[101] == rows[41][1] and clean[103] is None and clean[0].endswith("call <PHONE> today")
 
 
+def test_pii_discovered_instances_support_further_patterns(spark):
+    """A first pattern finds numbers that a second pattern shares, and that one finds numbers of its own."""
+    rng = random.Random(15)
+    phone = lambda: f"+49 {rng.randint(100, 999)} {rng.randint(1000000, 9999999)}"
+    plain = lambda: f"0{rng.randint(100000000, 999999999)}"
+    word = lambda: "".join(rng.choice("abcdefgh") for _ in range(6))
+    shared = [plain() for _ in range(12)]
+    texts = [f"{word()} dial {phone()} {word()}" for _ in range(60)] + [f"{word()} dial {n} {word()}" for n in shared]
+    second = len(texts)
+    texts += [f"{word()} ring {n} {word()}" for n in shared] + [f"{word()} ring {plain()} {word()}" for _ in range(2)]
+    texts += [f"{word()} part {plain()} {word()}" for _ in range(20)]
+    rows = list(enumerate(texts))
+    got = {r.doc_id: r.added for r in pii.personal_data(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert all(len(got[k]) == (k >= 60) for k in range(second + 14)) and not any(got[k] for k in range(second + 14, len(rows)))
+    once = {r.doc_id: r.added for r in pii.personal_data(spark.createDataFrame(rows, "doc_id long, text string"), rounds=1).collect()}
+    assert not any(once[k] for k in range(second, len(rows)))
+
+
+def test_pii_precision_and_recall_on_planted_identifiers(spark):
+    rng = random.Random(16)
+    words = ["".join(rng.choice("abcdefgh") for _ in range(rng.randint(2, 7))) for _ in range(400)]
+    some = lambda n: " ".join(rng.choice(words) for _ in range(n))
+    code = lambda n, letters="0123456789abcdef": "".join(rng.choice(letters) for _ in range(n - 6)) + "12ab34"
+    number = lambda n: str(rng.randint(10 ** (n - 1), 10**n - 1))
+    rows, want = [], set()
+    for k in range(1200):
+        kind = k % 12
+        before, after, found = some(5), some(5), None
+        if kind == 0:
+            item, lead = code(40), 'secret_key = "'
+        elif kind == 1 and k % 5 == 0:  # other lengths and letters in the same context
+            item, lead, found = code(rng.choice((20, 32, 64)), "0123456789ABCDEFXYZ"), 'secret_key = "', 4
+        elif kind == 2:  # digests of the same shape
+            item, lead = code(40), f"commit {rng.choice(words)} " if k % 2 else "commit "
+        elif kind == 3:
+            item, lead = f"user{k}@mail.example.org", "write to "
+        elif kind == 4 and k % 5 == 0:
+            item, lead, found = f"user{k} (at) mail.example.org", "write to ", 0
+        elif kind == 5:
+            item, lead = f"+49 {number(3)} {number(7)}", "phone: "
+        elif kind == 6 and k % 5 == 0:
+            item, lead, found = f"{number(3)} {number(3)} {number(4)}", "phone: ", 3
+        elif kind == 7:
+            item, lead = number(6), "order no. "
+        elif kind == 8:
+            item, lead = number(4), rng.choice(words) + " "
+        else:
+            item, lead = rng.choice(words), ""
+        found = 4 if kind == 0 else found
+        text = f"{before} {lead}{item}{chr(34) if lead.endswith(chr(34)) else ''} {after}"
+        if found is not None:
+            start = len(before) + 1 + len(lead)
+            want.add((k, start, start + len(item), found))
+        rows.append((k, text))
+    got = {(r.doc_id, s.start, s.end, s.kind) for r in pii.personal_data(spark.createDataFrame(rows, "doc_id long, text string")).collect() for s in r.added}
+    assert len(got & want) >= 0.98 * len(want) and len(got & want) >= 0.98 * len(got)
+
+
+def test_pii_patterns_find_secrets_of_the_tables(spark):
+    """All forty-digit codes of the table stand in one context, and no other token is added."""
+    docs = spark.read.parquet(f"{MIDDLE}/documents.parquet")
+    want = {(r.doc_id, m.start(), m.end()) for r in docs.where("text is not null").collect() for m in brute.re.finditer(r"(?i)(?<=token = \")[0-9a-f]{40}", r.text)}
+    got = {(r.doc_id, s.start, s.end) for r in pii.personal_data(docs).collect() for s in r.added}
+    assert len(want) > 5 and got == want
+
+
+def test_redaction_goes_by_text(spark):
+    rng = random.Random(17)
+    phone = lambda: f"+49 {rng.randint(100, 999)} {rng.randint(1000000, 9999999)}"
+    schema = "doc_id long, text string, n_chars int, key string, row long, spans string, clean int, Start string"
+    more = (1, "k", 2, "s", 3, "t")
+    rows = [(k, f"Some words. Please call {phone()} today", *more) for k in range(40)]
+    rows += [(7, "short and plain but for another row", *more), (7, "Please call 0301234567 at noon", *more), (None, "Please call 0301234567 at noon", *more), (None, "write to a.b@c.de now", *more), (None, None, *more), (50, "", *more), (51, "y " * 700_000 + "mail a.b@c.de " + "1234 " * 200_000, *more)]
+    df = spark.createDataFrame(rows, schema)
+    out = pii.redact(df)
+    assert out.columns == df.columns
+    got = Counter((r.doc_id, r.text) for r in out.collect())
+    assert got[7, rows[40][1]] == 1 and got[7, "Please call <PHONE> at noon"] == 1 and got[None, "Please call <PHONE> at noon"] == 1
+    assert got[None, "write to <EMAIL> now"] == 1 and got[None, None] == 1 and got[50, ""] == 1 and sum(got.values()) == len(rows)
+    long_ = next(t for d, t in got if d == 51)
+    assert "a.b@c.de" not in long_ and long_.startswith("y y ") and len(long_) > 1_000_000
+    assert Counter(r.text for r in pii.redact(df.unionByName(df)).collect()) == Counter({t: 2 * n for (d, t), n in got.items() if d != 7 and d is not None} | Counter({t: 2 * sum(n for (_, x), n in got.items() if x == t) for _, t in got}))
+    assert pii.redact(df.limit(0)).count() == 0 and pii.personal_data(df.limit(0)).count() == 0
+
+
 def test_pii_is_native(spark):
-    plan = pii.scanned(table(spark, "documents"))._jdf.queryExecution().executedPlan().toString()
-    assert "Python" not in plan and "Arrow" not in plan
+    for df in (pii.scanned(table(spark, "documents")), pii.personal_data(table(spark, "documents")), pii.redact(table(spark, "documents"))):
+        plan = df._jdf.queryExecution().executedPlan().toString()
+        assert "Python" not in plan and "Arrow" not in plan
 
 
 # 9: near copies
