@@ -11,6 +11,9 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark.sql import DataFrame
+
+from cityweave.session import ship
 
 # Workers live long and share an executor's memory; Arrow's own pool would keep what is freed.
 pa.set_memory_pool(pa.system_memory_pool())
@@ -53,6 +56,12 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
+def mapped(df: DataFrame, run, schema: str) -> DataFrame:
+    """df.mapInArrow, after seeing that workers know this package."""
+    ship(df.sparkSession)
+    return df.mapInArrow(run, schema)
+
+
 def buffers(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """Bytes and offsets (one more than rows, from 0) of a string column; null counts as empty."""
     if pa.types.is_large_string(column.type):
@@ -122,6 +131,14 @@ class Words:
         return np.flatnonzero(self.doc[: n - width + 1] == self.doc[width - 1 :])
 
 
+def exact_names(data: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+    """A number for each of the byte strings that lie one behind another in data, equal for equal strings only."""
+    ends = np.zeros(len(lengths) + 1, np.int64)
+    np.cumsum(lengths, out=ends[1:])
+    strings = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(lengths), [None, pa.py_buffer(ends), pa.py_buffer(np.ascontiguousarray(data))])
+    return strings.dictionary_encode().indices.to_numpy(zero_copy_only=False).astype(np.int64)
+
+
 def prefix_hash(data: np.ndarray) -> np.ndarray:
     out = np.zeros(len(data) + 1, np.uint64)
     np.cumsum(BYTE_CODE[data] * powers(_BASE, len(data)), out=out[1:])

@@ -3,17 +3,20 @@
 import itertools
 import random
 import textwrap
+import time
 import zlib
 from collections import Counter
 
 import brute
 import numpy as np
+import pyarrow as pa
 import pytest
 from conftest import SMALL
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
-from cityweave.llm import decontam, gbt, langid, licenses, packing, pii, quality, queries, simhash, suffix, urlfilter
+from cityweave.llm import decontam, gbt, langid, licenses, packing, pii, quality, queries, simhash, statistics, suffix, urlfilter
+from cityweave.llm.kernel import buffers
 from cityweave.llm.statistics import DECREASING, FEATURES
 from cityweave.scratch import Scratch
 
@@ -91,8 +94,6 @@ def test_repeats_common_line(spark):
 def test_long_document_in_parts(spark, monkeypatch):
     monkeypatch.setattr(suffix, "SEGMENT", 300)
     data = np.frombuffer((" ".join(str(k % 37) for k in range(700))).encode(), np.uint8)
-    import pyarrow as pa
-
     batch = pa.RecordBatch.from_arrays([pa.array([5]), pa.array([data.tobytes().decode()])], ["doc_id", "text"])
     starts = [(first + lo, n) for _, part, offsets, first in suffix.segments([batch]) for _, lo, n, *_ in suffix.runs(part, offsets) for lo, n in zip(lo.tolist(), n.tolist())]
     assert sum(n for _, n in starts) == len(data) - 99 and sorted(starts)[0][0] == 0
@@ -122,6 +123,16 @@ def test_statistics(spark, docs, awkward):
             assert r.base_failed == (want[0] < 10 or 100 * want[4] > 20 * want[0]) and not (r.base_failed and r.kept)
 
 
+def test_statistics_compare_bytes():
+    """Lines and words that sums of powers modulo 2**64 can't tell apart."""
+    morse = "".join("ab"[bin(k).count("1") % 2] for k in range(2048))
+    other = morse.translate(str.maketrans("ab", "ba"))
+    texts = [f"{morse}\n{other}", f"{morse}\n{other}\n{morse}", f"u v {morse} w x u v {other} w x", f"u v {morse} w x u v {morse} w x", "\n".join([""] * 5), "a\n a\na \na"]
+    stats = statistics.statistics(*buffers(pa.array(texts)))
+    for k, t in enumerate(texts):
+        assert tuple(int(stats[c][k]) for c in statistics.BASE) == brute.base_statistics(t)
+
+
 def test_trees_are_monotonic_and_flat():
     rng = np.random.default_rng(0)
     x = rng.normal(size=(3000, 3))
@@ -208,9 +219,8 @@ def test_contamination(spark):
     rows += [(500, None), (501, ""), (502, "one")]
     df = spark.createDataFrame(rows, "doc_id long, text string")
     bench = spark.createDataFrame([(k, " ".join(t)) for k, t in enumerate(items)] + [(90, None), (91, "")], "item_id long, text string")
-    for size in (8 << 20, 700):
-        got = {(r.doc_id, r.item_id) for r in decontam.contamination(df, bench, block_bytes=size).collect()}
-        assert got == dirty
+    got = {(r.doc_id, r.item_id) for r in decontam.contamination(df, bench).collect()}
+    assert got == dirty
     clean = decontam.drop_contaminated(df, bench)
     assert clean.columns == df.columns and {r.doc_id for r in clean.collect()} == {r[0] for r in rows} - {d for d, _ in dirty}
     assert decontam.contamination(df, bench.limit(0)).count() == 0 and decontam.contamination(df.limit(0), bench).count() == 0
@@ -226,6 +236,43 @@ def test_contamination_is_what_brute_force_finds(spark, docs):
     assert want and want <= got
 
 
+def test_contamination_equals_brute_force(spark, docs):
+    """Every overlap of every document with every item, by comparing all windows on all diagonals."""
+    tokens = lambda t: brute.re.findall(r"[a-z0-9\x80-\U0010ffff]+", brute.lower(t or ""))
+    items = {r.item_id: tokens(r.text) for r in table(spark, "benchmark").collect()}
+    number = {w: k for k, w in enumerate({w for t in [*items.values(), *map(tokens, docs.values())] for w in t})}
+    want = set()
+    for d, t in docs.items():
+        own = np.array([number[w] for w in tokens(t)], np.int64)
+        for i, item in items.items():
+            wanted, covered, agreeing = np.array([number[w] for w in item], np.int64), np.zeros(len(own), bool), np.zeros(len(own), bool)
+            size = min(13, len(wanted))
+            for start in range(-len(wanted) + size, len(own) - size + 1):
+                low, high = max(start, 0), min(start + len(wanted), len(own))
+                same = own[low:high] == wanted[low - start : high - start]
+                if same.sum() < 0.8 * size:
+                    continue
+                for k in range(high - low - size + 1):
+                    if same[k : k + size].sum() >= 0.8 * size - 1e-9:
+                        covered[low + k : low + k + size] = True
+                        agreeing[low + k : low + k + size] |= same[k : k + size]
+            edge = np.flatnonzero(np.diff(np.concatenate(([0], covered, [0]))))
+            want |= {(d, i, int(a), int(b - a), int(agreeing[a:b].sum())) for a, b in zip(edge[::2], edge[1::2])}
+    got = [tuple(r[c] for c in ("doc_id", "item_id", "first_word", "n_words", "n_same")) for r in queries.op5_spaced_seed_decontamination(spark, SMALL).collect()]
+    assert want and set(got) == want and len(got) == len(want)
+
+
+def test_contamination_by_repeated_words(spark):
+    """Junk of one word against an item of the same: one row, in time that isn't all pairs of places."""
+    df = spark.createDataFrame([(1, "la " * 20_000), (2, "la " * 20_000 + "lu " * 500), (3, "other words here"), (3, "la " * 40), (None, "la " * 40)], "doc_id long, text string")
+    bench = spark.createDataFrame([(1, "la " * 2000), (1, "la " * 2000), (2, "la la lu " * 300), (None, "other words here")], "item_id long, text string")
+    began = time.perf_counter()
+    got = sorted(((r.doc_id, r.item_id, r.first_word, r.n_words, r.n_same) for r in decontam.contamination(df, bench).collect()), key=str)
+    assert time.perf_counter() - began < 60
+    assert [r for r in got if r[1] == 1] == [(1, 1, 0, 20_000, 20_000), (2, 1, 0, 20_002, 20_000), (3, 1, 0, 40, 40), (None, 1, 0, 40, 40)]
+    assert len(got) == len({r[:3] for r in got})
+
+
 def test_short_items_with_substitutions(spark):
     items = {n: [f"item{n}word{k}" for k in range(n)] for n in range(1, 14)}
     rows, want = [], set()
