@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 
-from cityweave.llm.kernel import Words, mix, prefix_hash, span_hash, window_hash
+from cityweave.llm.kernel import Words, exact_names, mix, window_hash
 
 SYMBOLS = np.zeros(256, bool)
 SYMBOLS[list(b"#*$%&|<>")] = True
@@ -31,12 +31,35 @@ def _per_doc(flags: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     return seen[offsets[1:]] - seen[offsets[:-1]]
 
 
-def _runs(doc: np.ndarray, value: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """An order that brings equal (doc, value) together, earlier ones first, and whether each repeats the one before."""
-    key = mix(value + mix(doc.astype(np.uint64) + np.uint64(1)))
+def _runs(doc: np.ndarray, name: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """An order that brings equal (doc, name) together, earlier ones first, and whether each repeats the one before."""
+    key = doc * (int(name.max(initial=0)) + 1) + name
     order = np.argsort(key, kind="stable")
     again = np.zeros(len(order), bool)
-    again[1:] = (key[order][1:] == key[order][:-1]) & (doc[order][1:] == doc[order][:-1])
+    again[1:] = key[order][1:] == key[order][:-1]
+    return order, again
+
+
+def _window_runs(doc: np.ndarray, at: np.ndarray, names: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The same for windows of names that begin at `at`: brought together by a hash, and told apart by the names themselves."""
+    value = window_hash(mix(names.astype(np.uint64) + np.uint64(1)), tuple(range(WINDOW)), WINDOW)[at] if len(at) else np.zeros(0, np.uint64)
+    key = mix(value + mix(doc[at].astype(np.uint64) + np.uint64(1)))
+    order = np.argsort(key, kind="stable")
+
+    def same(order: np.ndarray) -> np.ndarray:
+        a, b = at[order][1:], at[order][:-1]
+        out = doc[a] == doc[b]
+        for k in range(WINDOW):
+            out &= names[a + k] == names[b + k]
+        return out
+
+    equal = same(order)
+    if (equal != (key[order][1:] == key[order][:-1])).any():
+        # one hash for different windows: sorted by the names
+        order = np.lexsort((at, *(names[at + k] for k in range(WINDOW)), doc[at]))
+        equal = same(order)
+    again = np.zeros(len(order), bool)
+    again[1:] = equal
     return order, again
 
 
@@ -44,11 +67,11 @@ def statistics(data: np.ndarray, offsets: np.ndarray) -> dict[str, np.ndarray]:
     """Counts for each document of a block; see BASE and FEATURES."""
     n_docs = len(offsets) - 1
     words = Words(data, offsets)
-    hashes = words.hashes()
     inside = np.zeros(len(data) + 1, np.int64)
     np.add.at(inside, words.start, 1)
     np.add.at(inside, words.end, -1)
     in_word = np.cumsum(inside[:-1]) > 0
+    names = exact_names(data[in_word], words.end - words.start)
     points = ~CONTINUED[data]
     out = {
         "n_words": words.count.astype(np.int64),
@@ -62,23 +85,22 @@ def statistics(data: np.ndarray, offsets: np.ndarray) -> dict[str, np.ndarray]:
     starts = np.sort(np.concatenate((offsets[:-1], cuts + 1)))
     ends = np.sort(np.concatenate((offsets[1:], cuts)))
     line_doc = np.repeat(np.arange(n_docs), n_lines)
-    lines = mix(span_hash(prefix_hash(data), starts, ends) + (ends - starts).astype(np.uint64))
+    lines = exact_names(data[data != 10], ends - starts)
     worded = np.searchsorted(words.start, ends) > np.searchsorted(words.start, starts)
     order, again = _runs(line_doc[worded], lines[worded])
     out["n_dup_lines"] = np.bincount(line_doc[worded][order][again], minlength=n_docs)
 
     # windows of words that come twice or more
     at = words.windows(WINDOW)
-    value = window_hash(hashes, tuple(range(WINDOW)), WINDOW)[at] if len(at) else np.zeros(0, np.uint64)
-    order, again = _runs(words.doc[at], value)
+    order, again = _window_runs(words.doc, at, names)
     twice = again.copy()
     twice[:-1] |= again[1:]
-    mark = np.zeros(len(hashes) + 1, np.int64)
+    mark = np.zeros(len(names) + 1, np.int64)
     np.add.at(mark, at[order][twice], 1)
     np.add.at(mark, at[order][twice] + WINDOW, -1)
     out["n_repeat_words"] = np.bincount(words.doc[np.cumsum(mark[:-1]) > 0], minlength=n_docs)
 
-    order, again = _runs(words.doc, hashes)
+    order, again = _runs(words.doc, names)
     n, size = np.maximum(out["n_words"], 1), np.maximum(np.diff(offsets), 1)
     out |= {
         "log_words": np.log1p(out["n_words"]),
