@@ -15,10 +15,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from cityweave.llm.kernel import mapped
+
 # Fixed values: (verdict, rule) with host and path of each rule.
 RULES = (("block", "net/"), ("allow", "example.net/en/"), ("block", "example.com/de/"), ("allow", "org/fr/"))
 
-# Vocabulary.
+# The vocabulary where no table of terms is given.
 STRICT = ("adult", "casino", "escort", "hentai", "nude", "phishing", "poker", "porn", "sex", "spam", "viagra", "warez", "xxx")
 SOFT = ("ads", "bet", "bets", "bonus", "cam", "cheap", "click", "crack", "farm", "free", "gambling", "hot", "loan", "lottery", "pills", "popup", "slots", "torrent", "track", "win")
 
@@ -51,6 +53,22 @@ class Vocabulary:
     #: distinct soft terms that reject together
     several: int = 2
 
+    @classmethod
+    def of(cls, table: DataFrame, several: int = 2, bound: int = 2_000_000) -> Vocabulary:
+        """From a table of (term, kind), kind being `strict` or `soft`; terms are lower-cased, and one of both kinds is strict.
+
+        The terms go to every worker, so a table of over `bound` terms is refused.
+        """
+        rows = table.where("term is not null and term <> ''").select(F.lower("term").alias("term"), F.lower("kind").alias("kind")).distinct()
+        if rows.count() > bound:
+            raise ValueError(f"more than {bound} terms")
+        by: dict[str, set[str]] = {"strict": set(), "soft": set()}
+        for r in rows.collect():
+            if r.kind not in by:
+                raise ValueError(f"unknown kind {r.kind!r}")
+            by[r.kind].add(r.term)
+        return cls(tuple(sorted(by["strict"])), tuple(sorted(by["soft"] - by["strict"])), several)
+
     def automaton(self) -> ahocorasick.Automaton:
         out = ahocorasick.Automaton()
         for kind, terms in enumerate((self.soft, self.strict)):
@@ -87,7 +105,7 @@ def judged(pages: DataFrame, vocabulary: Vocabulary = Vocabulary(), rules=RULES)
             found = [hits(automaton, (u or "").translate(_FOLD)) if automaton else (0, 0) for u in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([f[0] for f in found], pa.int64()), pa.array([f[1] for f in found], pa.int64())], ["page_id", "url", "n_strict", "n_soft"])
 
-    found = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url")).mapInArrow(run, "page_id long, url string, n_strict long, n_soft long")
+    found = mapped(pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url")), run, "page_id long, url string, n_strict long, n_soft long")
     parts = found.withColumns({"host": host(F.col("url")), "path": path(F.col("url"))}).withColumn("r", rule(F.col("host"), F.col("path"), rules))
     own = F.when((F.col("n_strict") > 0) | (F.col("n_soft") >= vocabulary.several), "block").otherwise("allow")
     return parts.select("page_id", "host", "path", F.col("r.rule").alias("rule"), F.coalesce("r.verdict", own).alias("verdict"), "n_strict", "n_soft")

@@ -113,6 +113,25 @@ def test_urls(spark):
     assert urlfilter.judged(df.limit(0)).count() == 0
 
 
+def test_large_vocabulary_from_a_table(spark):
+    """An automaton of thousands of terms equals a search for each of them."""
+    rng = random.Random(4)
+    words = sorted({"".join(rng.choice("abcde") for _ in range(rng.randint(2, 7))) for _ in range(6000)})
+    rows = [(w.upper() if k % 7 == 0 else w, "strict" if k % 5 == 0 else "soft") for k, w in enumerate(words)] + [(words[1], "strict"), (None, "soft"), ("", "strict")]
+    vocabulary = urlfilter.Vocabulary.of(spark.createDataFrame(rows, "term string, kind string"))
+    strict = {w for k, w in enumerate(words) if k % 5 == 0} | {words[1]}
+    assert set(vocabulary.strict) == strict and set(vocabulary.soft) == set(words) - strict and len(words) > 3000
+    part = lambda: "".join(rng.choice("abcde") for _ in range(rng.randint(1, 6)))
+    urls = [f"http://{part()}.{part()}/{part()}-{part()}{rng.choice('_/.x1')}{part()}" for _ in range(400)]
+    got = {r.page_id: (r.n_strict, r.n_soft, r.verdict) for r in urlfilter.judged(spark.createDataFrame(list(enumerate(urls)), "page_id long, url string"), vocabulary, rules=()).collect()}
+    for k, url in enumerate(urls):
+        own = set(brute.re.findall("[a-z0-9]+", url)) & set(words)
+        hard = len(own & strict)
+        assert got[k] == (hard, len(own) - hard, "block" if hard or len(own) >= 2 else "allow")
+    with pytest.raises(ValueError):
+        urlfilter.Vocabulary.of(spark.createDataFrame([("a", "hard")], "term string, kind string"))
+
+
 # 3: quality rules
 def test_statistics(spark, docs, awkward):
     trees = quality.train_rules(table(spark, "documents"), table(spark, "labels"))
@@ -500,8 +519,17 @@ def test_simhash_awkward(awkward, empty):
     assert kept.columns == df.columns and sorted(r.doc_id for r in kept.collect()) == sorted(firsts)
 
 
-@pytest.mark.parametrize("bound", [1 << 18, 3])
-def test_trie_finds_all_links(spark, bound):
+def test_representatives_of_repeated_ids(spark):
+    text = "one two three four five six"
+    rows = [(1, text, "b", 1), (1, text, "a", 2), (1, "zz other words than those", "a", 3), (2, text, "c", 4), (None, text, "d", 5), (None, None, None, 6)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, kept string, _kept_id int")
+    got = sorted((tuple(r) for r in simhash.simhash_representatives(df).collect()), key=str)
+    assert got == sorted([(1, text, "a", 2), (None, text, "d", 5), (None, None, None, 6)], key=str)
+
+
+@pytest.mark.parametrize("bound,frontier", [(1 << 18, 1 << 19), (3, 1 << 19), (1 << 18, 40)])
+def test_trie_finds_all_links(spark, monkeypatch, bound, frontier):
+    monkeypatch.setattr(simhash, "FRONTIER", frontier)
     rng = random.Random(8)
     values = {rng.getrandbits(64) for _ in range(150)}
     for v in list(values)[:60]:
@@ -543,6 +571,11 @@ def test_packing(spark, docs, awkward):
         assert check_packing(rows) <= packing.lower_bound(lengths, 4096) + 1
 
 
+def test_packing_certificate(spark, docs):
+    rows = packed(table(spark, "documents"))
+    assert {(r.n_sequences, r.lower_bound) for r in rows} == {(check_packing(rows), packing.lower_bound(np.array([r.length for r in rows]), 4096))}
+
+
 def test_packing_exchanges(spark, docs):
     """Many small groups waste bins that the exchange wins back."""
     df = table(spark, "documents")
