@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cityweave.llm import gbt
-from cityweave.llm.kernel import blocks, buffers, gram_counts
+from cityweave.llm.kernel import blocks, buffers, gram_counts, mapped
 from cityweave.llm.langid import held_out
 from cityweave.llm.statistics import BASE, DECREASING, FEATURES, features, statistics
 
@@ -21,10 +21,11 @@ def labelled(docs: DataFrame, labels: DataFrame, label: str, bound: int) -> Data
     `bound` bounds what is drawn, so the drawn ids may be broadcast. Labels that
     come several times for an id count once, by the smallest.
     """
-    own = labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).groupBy(F.col("doc_id").cast("long").alias("_cw_id")).agg(F.min(label).cast("int").alias("y"))
+    own = labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.min(label).cast("int").alias("y"))
     n = own.count()
-    drawn = own.where(F.pmod(F.xxhash64("_cw_id", F.lit(29)), F.lit(1 << 20)) < int(min(1.0, bound / max(n, 1)) * (1 << 20)))
-    return docs.join(F.broadcast(drawn), F.col("doc_id").cast("long") == F.col("_cw_id")).select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"), "y")
+    drawn = own.where(F.pmod(F.xxhash64("doc_id", F.lit(29)), F.lit(1 << 20)) < int(min(1.0, bound / max(n, 1)) * (1 << 20)))
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
+    return texts.join(F.broadcast(drawn), "doc_id").select("doc_id", "text", "y")
 
 
 def train_rules(docs: DataFrame, labels: DataFrame, bound: int = 20_000) -> gbt.FlatTrees:
@@ -35,7 +36,7 @@ def train_rules(docs: DataFrame, labels: DataFrame, bound: int = 20_000) -> gbt.
             x = features(statistics(*buffers(batch.column(1))))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(list(x))], ["doc_id", "y", "x"])
 
-    rows = sorted((r.doc_id, r.y, tuple(r.x)) for r in labelled(docs, labels, "quality", bound).mapInArrow(run, "doc_id long, y int, x array<double>").collect())
+    rows = sorted((r.doc_id, r.y, tuple(r.x)) for r in mapped(labelled(docs, labels, "quality", bound), run, "doc_id long, y int, x array<double>").collect())
     x = np.array([r[2] for r in rows]).reshape(len(rows), len(FEATURES))
     return gbt.fit(x, np.array([r[1] for r in rows], float), [FEATURES.index(f) for f in DECREASING])
 
@@ -56,7 +57,7 @@ def judged_by_rules(docs: DataFrame, trees: gbt.FlatTrees, least: float = 0.5) -
             yield pa.RecordBatch.from_arrays(cols, ["doc_id", *BASE, "base_failed", "kept", "score"])
 
     schema = "doc_id long, " + ", ".join(f"{c} long" for c in BASE) + ", base_failed boolean, kept boolean, score double"
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, schema)
+    return mapped(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), run, schema)
 
 
 def document_frequency(docs: DataFrame, dims: int) -> tuple[np.ndarray, int]:
@@ -69,7 +70,7 @@ def document_frequency(docs: DataFrame, dims: int) -> tuple[np.ndarray, int]:
             n += batch.num_rows
         yield pa.RecordBatch.from_arrays([pa.array(np.append(seen, n).tolist(), pa.int64()), pa.array(range(dims + 1), pa.int64())], ["n", "bucket"])
 
-    sums = dict(docs.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "n long, bucket long").groupBy("bucket").agg(F.sum("n")).collect())
+    sums = dict(mapped(docs.select(F.col("text").cast("string").alias("text")), run, "n long, bucket long").groupBy("bucket").agg(F.sum("n")).collect())
     return np.array([sums.get(k, 0) for k in range(dims)]), sums.get(dims, 0)
 
 
@@ -88,10 +89,13 @@ class NeighbourModel:
     neighbours: int
 
     def terms(self, data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
+        return self.weighted(gram_counts(data, offsets, self.dims, fold=False), features(statistics(data, offsets)))
+
+    def weighted(self, counts: np.ndarray, x: np.ndarray) -> np.ndarray:
         """TF-IDF of trigrams, with the statistics as further terms."""
-        grams = np.log1p(gram_counts(data, offsets, self.dims, fold=False)) * self.idf
+        grams = np.log1p(counts) * self.idf
         grams /= np.maximum(np.linalg.norm(grams, axis=1, keepdims=True), 1e-9)
-        stats = np.clip((features(statistics(data, offsets)) - self.mean) / self.spread, -3, 3) / np.sqrt(len(FEATURES))
+        stats = np.clip((x - self.mean) / self.spread, -3, 3) / np.sqrt(len(FEATURES))
         return np.concatenate((grams, stats.astype(np.float32)), axis=1)
 
     def latent(self, terms: np.ndarray) -> np.ndarray:
@@ -111,18 +115,32 @@ class NeighbourModel:
 
 
 def train_neighbours(docs: DataFrame, labels: DataFrame, bound: int = 6_000, dims: int = 2048, rank: int = 48, neighbours: int = 15) -> NeighbourModel:
-    """Axes of latent space from the labelled sample, weights of terms from all documents."""
+    """Axes of latent space from the labelled sample, weights of terms from all documents.
+
+    Of the sample only counts and statistics of fixed size go to the driver, never texts.
+    """
     seen, n = document_frequency(docs, dims)
     idf = (np.log((1 + n) / (1 + seen)) + 0.1).astype(np.float32)
-    rows = sorted((r.doc_id, r.text, r.y) for r in labelled(docs, labels, "quality", bound).collect())
-    y = np.array([r[2] for r in rows], float)
+
+    def run(batches):
+        for batch in blocks(batches):
+            data, offsets = buffers(batch.column(1))
+            counts, x = gram_counts(data, offsets, dims, fold=False).astype(np.int32), features(statistics(data, offsets))
+            packed = [np.flatnonzero(c).astype("<u2").tobytes() + c[c > 0].astype("<i4").tobytes() for c in counts]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(packed, pa.binary()), pa.array(list(x))], ["doc_id", "y", "counts", "x"])
+
+    rows = sorted((r.doc_id, r.y, bytes(r.counts), tuple(r.x)) for r in mapped(labelled(docs, labels, "quality", bound), run, "doc_id long, y int, counts binary, x array<double>").collect())
+    y = np.array([r[1] for r in rows], float)
     model = NeighbourModel(dims, idf, np.zeros(len(FEATURES)), np.ones(len(FEATURES)), np.zeros((dims + len(FEATURES), 0), np.float32), np.zeros((0, 0), np.float32), y, float(y.mean()) if len(y) else 0.5, neighbours)
     if not rows:
         return model
-    parts = [buffers(pa.array([r[1] for r in rows[k : k + 200]], pa.string())) for k in range(0, len(rows), 200)]
-    x = np.concatenate([features(statistics(*p)) for p in parts])
+    counts = np.zeros((len(rows), dims), np.float32)
+    for k, r in enumerate(rows):
+        n = len(r[2]) // 6
+        counts[k, np.frombuffer(r[2][: 2 * n], "<u2")] = np.frombuffer(r[2][2 * n :], "<i4")
+    x = np.array([r[3] for r in rows])
     model.mean, model.spread = x.mean(axis=0), np.maximum(x.std(axis=0), 1e-6)
-    terms = np.concatenate([model.terms(*p) for p in parts])
+    terms = model.weighted(counts, x)
     values, vectors = np.linalg.eigh((terms.T @ terms).astype(np.float64))
     model.axes = vectors[:, np.argsort(-values)[:rank]].astype(np.float32)
     model.vectors = model.latent(terms)
@@ -137,4 +155,4 @@ def scored_by_neighbours(docs: DataFrame, model: NeighbourModel, least: float =
             score = model.vote(model.latent(model.terms(*buffers(batch.column(1))))).clip(0, 1)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(score.astype(float)), pa.array((score >= least).astype(np.int32))], ["doc_id", "score", "predicted"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, score double, predicted int")
+    return mapped(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), run, "doc_id long, score double, predicted int")
