@@ -18,8 +18,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from cityweave.llm.kernel import blocks, buffers, gram_counts, has_letter, parts
+from cityweave.llm.kernel import blocks, buffers, gram_counts, has_letter, mapped, parts
 from cityweave.llm.svm import linear_svm
+from cityweave.session import ship
 
 UNDETERMINED = "und"
 
@@ -83,10 +84,9 @@ def features(counts: np.ndarray) -> np.ndarray:
     return counts
 
 
-def fit(texts: list[str], langs: list[str], dims: int = 4096, penalty: float = 1e-3) -> LanguageModel:
-    x = np.zeros((len(texts), dims), np.float32)
-    for k, t in enumerate(texts):
-        x[k] = gram_counts(*buffers(pa.array([t], pa.string())), dims)[0]
+def fit(x: np.ndarray, langs: list[str], penalty: float = 1e-3) -> LanguageModel:
+    """Machines from counts of trigrams, one row for each text; x is worked on in place."""
+    dims = x.shape[1]
     x, langs_ = features(x), np.array(langs, object)
     families: dict[str, list[str]] = {}
     for lang in sorted(set(langs)):
@@ -122,8 +122,21 @@ def training_sample(docs: DataFrame, label: str, per_class: int, text: str = "te
 
 def train(docs: DataFrame, per_class: int = 500, dims: int = 4096) -> LanguageModel:
     """Learns from a bounded sample (per_class rows of each language) of rows not held out."""
-    rows = sorted(training_sample(docs.select("doc_id", "text", "lang"), "lang", per_class).collect())
-    return fit([r.text for r in rows], [r.lang for r in rows], dims)
+
+    def run(batches):
+        for batch in blocks(batches):
+            counts = gram_counts(*buffers(batch.column(1)), dims).astype(np.int32)
+            packed = [np.flatnonzero(c).astype("<u2").tobytes() + c[c > 0].astype("<i4").tobytes() for c in counts]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(packed, pa.binary())], ["doc_id", "lang", "counts"])
+
+    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang"))
+    # counts of fixed size go to the driver, never texts
+    rows = sorted((r.doc_id, r.lang, bytes(r.counts)) for r in mapped(training_sample(own, "lang", per_class), run, "doc_id long, lang string, counts binary").collect())
+    x = np.zeros((len(rows), dims), np.float32)
+    for k, (_, _, counts) in enumerate(rows):
+        n = len(counts) // 6
+        x[k, np.frombuffer(counts[: 2 * n], "<u2")] = np.frombuffer(counts[2 * n :], "<i4")
+    return fit(x, [r[1] for r in rows])
 
 
 def _predicted(texts: pa.Array, model: LanguageModel) -> tuple[list[str], np.ndarray]:
@@ -144,7 +157,7 @@ def identify(docs: DataFrame, model: LanguageModel) -> DataFrame:
             lang, score = _predicted(batch.column(1), model)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(lang, pa.string()), pa.array(score.astype(float))], ["doc_id", "lang_pred", "score"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, lang_pred string, score double")
+    return mapped(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), run, "doc_id long, lang_pred string, score double")
 
 
 def keep_identified(docs: DataFrame, model: LanguageModel) -> DataFrame:
@@ -157,4 +170,5 @@ def keep_identified(docs: DataFrame, model: LanguageModel) -> DataFrame:
         for batch in batches:
             yield pa.array([lang != UNDETERMINED for _, part in parts(batch) for lang in _predicted(part, model)[0]], pa.bool_())
 
+    ship(docs.sparkSession)
     return docs.where(F.arrow_udf(run, T.BooleanType())(F.col("text").cast("string")))
