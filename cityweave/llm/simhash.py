@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cityweave.operators.components import components
-from cityweave.llm.kernel import LOWER_TABLE, blocks
+from cityweave.llm.kernel import LOWER_TABLE, blocks, mapped
 from cityweave.scratch import Scratch
 
 WIDTH = 64
@@ -60,7 +60,7 @@ def fingerprints(docs: DataFrame, shingle: int = 3) -> DataFrame:
             values = np.array([fingerprint(t, shingle) for t in batch.column(1).to_pylist()], np.uint64)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(values.view(np.int64))], ["doc_id", "fp"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, fp long")
+    return mapped(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), run, "doc_id long, fp long")
 
 
 class Forest:
@@ -167,10 +167,26 @@ def links(points: DataFrame, budget: int, bound: int, scratch: Scratch) -> DataF
         keyed = marked.select("turn", "key", "fp", "rep", F.explode(F.when(F.col("hot"), F.coalesce(*second)).otherwise(plain)).alias("d")).select("turn", "key", "d.turn2", "d.key2", "fp", "rep")
 
     def run(batches):
-        held = [b for b in batches if b.num_rows]
-        if not held:
-            return
-        table = pa.Table.from_batches(held).combine_chunks()
+        """Subtries come sorted by their keys; whole ones are walked as soon as FRONTIER rows are there."""
+        held, n = [], 0
+        for batch in batches:
+            held.append(batch)
+            n += batch.num_rows
+            if n >= FRONTIER:
+                table = pa.Table.from_batches(held).combine_chunks()
+                last = [table.column(k)[-1] for k in range(4)]
+                open_ = np.ones(n, bool)
+                for k, value in enumerate(last):
+                    open_ &= table.column(k).to_numpy() == value.as_py()
+                cut = int(np.argmax(open_))
+                if cut:
+                    yield from walk(table.slice(0, cut))
+                    held, n = table.slice(cut).combine_chunks().to_batches(), n - cut
+        if n:
+            yield from walk(pa.Table.from_batches(held))
+
+    def walk(table):
+        table = table.combine_chunks()
         turn, key, turn2, key2, fp, rep = (table.column(k).to_numpy() for k in range(6))
         fp = fp.view(np.uint64)
         for now, (shift, width) in enumerate(blocks_):
@@ -198,7 +214,10 @@ def links(points: DataFrame, budget: int, bound: int, scratch: Scratch) -> DataF
         if len(child):
             yield pa.RecordBatch.from_arrays([pa.array(rep[child]), pa.array(rep[parent])], ["u", "v"])
 
-    return keyed.repartition("turn", "key", "turn2", "key2").mapInArrow(run, "u long, v long")
+    # as many parts as rows ask for, however few the session's default are
+    parts = max(int(points.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-keyed.count() // (4 * FRONTIER)))
+    by = ["turn", "key", "turn2", "key2"]
+    return mapped(keyed.repartition(parts, *by).sortWithinPartitions(*by), run, "u long, v long")
 
 
 def simhash_components(docs: DataFrame, budget: int = 2, shingle: int = 3, bound: int = 1 << 18) -> DataFrame:
@@ -222,9 +241,16 @@ def simhash_representatives(docs: DataFrame, budget: int = 2) -> DataFrame:
     """docs without all but one document of each component; columns as they came.
 
     The document with the smallest doc_id stays. Rows without doc_id stay. Of
-    repeated rows of one doc_id one stays.
+    rows that share that doc_id the one with the least text stays, then the
+    least of the other columns.
     """
     found = simhash_components(docs.select("doc_id", "text"), budget)
-    firsts = found.where("doc_id = component_id").select(F.col("doc_id").alias("_kept_id")).distinct()
-    kept = docs.join(firsts, docs["doc_id"].cast("long") == F.col("_kept_id"), "left_semi").dropDuplicates(["doc_id"])
+    firsts = found.where("doc_id = component_id").select(F.col("doc_id").alias("kept")).distinct()
+    kept = docs.join(firsts, docs["doc_id"].cast("long") == firsts["kept"], "left_semi")
+    several = kept.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1")
+    if not several.isEmpty():
+        # the least row by parts: an id may have very many
+        rest = [F.col(f"`{c}`") for c in docs.columns if c != "text"]
+        least = kept.groupBy("doc_id").agg(F.min(F.struct("text", *rest)).alias("row"))
+        kept = least.select(*[F.col(f"row.`{c}`").alias(c) for c in docs.columns])
     return kept.unionByName(docs.where(F.col("doc_id").isNull()))
