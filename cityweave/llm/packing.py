@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cityweave.llm.kernel import blocks
+from cityweave.llm.kernel import blocks, mapped
 from cityweave.scratch import Scratch
 
 #: Distinct runs and chunks whose ids a worker remembers.
@@ -128,14 +128,18 @@ def pieces(docs: DataFrame, tokenizer_path: str, capacity: int = 4096, end_id: i
             kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["doc_id", "piece", "start", "length", "ids_crc32"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, schema)
+    return mapped(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), run, schema)
 
 
 def lower_bound(lengths: np.ndarray, capacity: int) -> int:
-    """Bins that any packing needs: the best of two families of dual-feasible functions."""
-    if not len(lengths):
+    """Bins that any packing of pieces of these lengths needs."""
+    return bound_of_counts(np.bincount(lengths, minlength=capacity + 1).astype(np.int64), capacity)
+
+
+def bound_of_counts(count: np.ndarray, capacity: int) -> int:
+    """Bins that any packing needs, by the number of pieces of each length: the best of two families of dual-feasible functions."""
+    if not count.any():
         return 0
-    count = np.bincount(lengths, minlength=capacity + 1).astype(np.int64)
     size = np.arange(capacity + 1)
     n, mass = np.cumsum(count), np.cumsum(count * size)
     best = -(-int(mass[-1]) // capacity)
@@ -213,7 +217,11 @@ def _pack(rows: DataFrame, group_rows: int, capacity: int, turn: int, n: int) ->
 
 
 def best_fit_packing(docs: DataFrame, tokenizer_path: str, capacity: int = 4096, end_id: int = 1, group_rows: int = 200_000, turns: int = 3) -> DataFrame:
-    """(doc_id, piece, start, length, ids_crc32, sequence_id, offset) for each piece of docs.
+    """(doc_id, piece, start, length, ids_crc32, sequence_id, offset, n_sequences, lower_bound) for each piece of docs.
+
+    n_sequences is the number of sequences in all, lower_bound what any packing
+    of all the pieces needs by the dual-feasible functions: their difference
+    bounds what a better packing could save.
 
     Pieces of one sequence_id lie one after another from offset 0 and have at
     most `capacity` tokens together. Groups of about group_rows pieces are packed
@@ -242,4 +250,9 @@ def best_fit_packing(docs: DataFrame, tokenizer_path: str, capacity: int = 4096,
     out = done[0].select(COLUMNS)
     for part in done[1:]:
         out = out.unionByName(part)
-    return out
+    # pieces by length: at most `capacity` rows, whatever the input
+    counts = np.zeros(capacity + 1, np.int64)
+    for length, count in rows.groupBy("length").count().collect():
+        counts[length] = count
+    used = whole.count() + sum(part.agg(F.count_distinct("sequence_id")).first()[0] for part in done[1:])
+    return out.withColumns({"n_sequences": F.lit(used).cast("long"), "lower_bound": F.lit(bound_of_counts(counts, capacity)).cast("long")})
