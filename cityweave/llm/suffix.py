@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cityweave.llm.kernel import blocks, buffers, mix, prefix_hash, span_hash
+from cityweave.llm.kernel import blocks, buffers, mapped, mix, prefix_hash, span_hash
 from cityweave.scratch import Scratch, free_shuffles
 
 SIZE = 100
@@ -112,7 +112,7 @@ def all_runs(docs: DataFrame) -> DataFrame:
                 cols = [key.view(np.int64), ctx.view(np.int64), owner, start, n.astype(np.int32), later]
                 yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["key", "ctx", "doc_id", "lo", "n", "later"])
 
-    return docs.mapInArrow(run, RUN)
+    return mapped(docs, run, RUN)
 
 
 def _rank(keys: np.ndarray) -> tuple[np.ndarray, int]:
@@ -221,7 +221,7 @@ def contexts(docs: DataFrame, wanted: DataFrame) -> DataFrame:
             kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.binary())
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["part", "doc_id", "lo", "n", "text"])
 
-    return docs.join(lists, "doc_id").select("doc_id", "text", "runs").mapInArrow(run, CONTEXT)
+    return mapped(docs.join(lists, "doc_id").select("doc_id", "text", "runs"), run, CONTEXT)
 
 
 def sorted_repeats(texts: DataFrame) -> DataFrame:
@@ -259,7 +259,7 @@ def sorted_repeats(texts: DataFrame) -> DataFrame:
         if held and (out := settle(held)) is not None:
             yield out
 
-    return texts.repartition("part").sortWithinPartitions("part").mapInArrow(run, "doc_id long, lo long, hi long")
+    return mapped(texts.repartition("part").sortWithinPartitions("part"), run, "doc_id long, lo long, hi long")
 
 
 REPORT = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
@@ -332,4 +332,4 @@ def without_repeats(docs: DataFrame, hot: int = 2000) -> DataFrame:
             kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string())
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], REPORT.replace(" long", "").replace(" string", "").split(", "))
 
-    return plain.join(lists, "doc_id", "left").select("doc_id", "text", "ranges").mapInArrow(run, REPORT)
+    return mapped(plain.join(lists, "doc_id", "left").select("doc_id", "text", "ranges"), run, REPORT)
