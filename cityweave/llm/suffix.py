@@ -16,12 +16,16 @@ to one group, and all places of a string meet there:
    same string; all but the first place are repeats.
 
 An anchor with more than `hot` texts is dealt by further anchors of its
-strings, from other hash functions.
+strings, from other hash functions. A part of those that still has more than
+LARGE bytes, as when one line of 70 to 99 bytes stands in very many documents,
+isn't sorted in one task: its strings go through the cluster one by one, and
+equal ones are brought together by their bytes.
 """
 
 from __future__ import annotations
 
 import hashlib
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -38,6 +42,8 @@ GRAMS = SIZE - GRAM + 1
 SEGMENT = 4 << 20
 #: Characters that one suffix sort takes at least, if there are as many; a part is never cut.
 SORTED = 1 << 19
+#: Bytes of a part that one task sorts at most.
+LARGE = 4 << 20
 #: Names of triples of triples ... that cover SIZE characters.
 DEPTH = 5
 
@@ -262,6 +268,28 @@ def sorted_repeats(texts: DataFrame) -> DataFrame:
     return mapped(texts.repartition("part").sortWithinPartitions("part"), run, "doc_id long, lo long, hi long")
 
 
+def spread_repeats(texts: DataFrame) -> DataFrame:
+    """The same as sorted_repeats for parts of any size: a row for each string, equal strings by their bytes.
+
+    The least place of a string comes from partial sums, so a string that comes
+    very often stays in no one task.
+    """
+
+    def run(batches):
+        for batch in batches:
+            for _, doc, lo, n, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                data = np.frombuffer(text, np.uint8)
+                flat = np.ascontiguousarray(np.lib.stride_tricks.sliding_window_view(data, SIZE))
+                ends = pa.py_buffer((np.arange(n + 1) * SIZE).astype(np.int32))
+                strings = pa.BinaryArray.from_buffers(pa.binary(), n, [None, ends, pa.py_buffer(flat)])
+                yield pa.RecordBatch.from_arrays([strings, pa.array(np.full(n, doc)), pa.array(np.arange(lo, lo + n))], ["string", "doc_id", "lo"])
+
+    strings = mapped(texts, run, "string binary, doc_id long, lo long")
+    first = strings.groupBy("string").agg(F.min(F.struct("doc_id", "lo")).alias("first"), F.count("*").alias("c")).where("c > 1").drop("c")
+    again = strings.join(first, "string").where(F.struct("doc_id", "lo") != F.col("first"))
+    return again.select("doc_id", "lo", (F.col("lo") + SIZE).alias("hi"))
+
+
 REPORT = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
 
 
@@ -280,7 +308,7 @@ def remaining(text: bytes, ranges: list[tuple[int, int]]) -> tuple[bytes, int]:
     return b"".join(kept), spans
 
 
-def removed_ranges(docs: DataFrame, scratch: Scratch, hot: int = 2000) -> DataFrame:
+def removed_ranges(docs: DataFrame, scratch: Scratch, hot: int = 2000, large: int = LARGE) -> DataFrame:
     """(doc_id, lo, hi) of byte ranges covered by repeated strings; ranges may overlap. docs: (doc_id, text)."""
     spark = docs.sparkSession
     found = scratch.keep(all_runs(docs))
@@ -296,10 +324,20 @@ def removed_ranges(docs: DataFrame, scratch: Scratch, hot: int = 2000) -> DataFr
     ranges.append(scratch.keep(copies.select("doc_id", "lo", (F.col("lo") + F.col("n") + SIZE - 1).alias("hi"))))
     several = texts.groupBy("key").agg(F.count("*").alias("c")).where("c > 1")
     wanted = texts.join(several, "key").select(F.col("first.doc_id").alias("doc_id"), "key", F.col("first.lo").alias("lo"), "n", (F.col("c") > hot).alias("hot"))
-    ranges.append(scratch.keep(sorted_repeats(contexts(docs, wanted)), shared._scratch_path, texts._scratch_path))
-    del shared, texts, copies, several, wanted
+    ranges.append(scratch.keep(sorted_repeats(contexts(docs, wanted.where("not hot")))))
+    crowded = wanted.where("hot")
+    if not crowded.isEmpty():
+        parts = scratch.keep(contexts(docs, crowded))
+        big = scratch.keep(parts.groupBy("part").agg(F.sum(F.length("text")).alias("size")).where(F.col("size") > large).select("part"))
+        ranges.append(scratch.keep(sorted_repeats(parts.join(big, "part", "left_anti"))))
+        if not big.isEmpty():
+            ranges.append(scratch.keep(spread_repeats(parts.join(big, "part", "left_semi"))))
+        scratch.remove(parts)
+    scratch.remove(shared)
+    scratch.remove(texts)
+    del shared, texts, copies, several, wanted, crowded
     free_shuffles(spark)
-    return ranges[0].unionByName(ranges[1]).unionByName(ranges[2])
+    return reduce(DataFrame.unionByName, ranges)
 
 
 def _merged(ranges: DataFrame) -> DataFrame:
@@ -307,7 +345,7 @@ def _merged(ranges: DataFrame) -> DataFrame:
     return ranges.groupBy("doc_id").agg(F.collect_list(F.struct("lo", "hi")).alias("ranges"))
 
 
-def without_repeats(docs: DataFrame, hot: int = 2000) -> DataFrame:
+def without_repeats(docs: DataFrame, hot: int = 2000, large: int = LARGE) -> DataFrame:
     """(doc_id, n_bytes, n_removed, n_spans, kept_sha256) for each document.
 
     Bytes of whole texts (null: empty) are removed where a string of SIZE bytes
@@ -320,7 +358,7 @@ def without_repeats(docs: DataFrame, hot: int = 2000) -> DataFrame:
     plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).where("doc_id is not null")
     if not plain.groupBy("doc_id").count().where("count > 1").isEmpty():
         plain = plain.groupBy("doc_id").agg(F.min("text").alias("text"))
-    lists = _merged(removed_ranges(plain, scratch, hot))
+    lists = _merged(removed_ranges(plain, scratch, hot, large))
 
     def run(batches):
         for batch in blocks(batches):

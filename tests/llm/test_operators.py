@@ -91,6 +91,25 @@ def test_repeats_common_line(spark):
     assert got == brute.repeats_row(rows)
 
 
+def test_repeats_in_parts_too_large_for_a_task(spark):
+    """A line of 93 bytes with few different surroundings: all its strings have the same anchors."""
+    rng = random.Random(8)
+    line = "".join(rng.choice("abcdefghij ") for _ in range(93))
+    text = lambda n: "".join(rng.choice("xy") for _ in range(n))
+    rows = [(k, f"{text(40)}{text(6)}{line}{text(6)}{text(40)}") for k in range(300)] + [(300, None), (301, line)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    want = brute.repeats_row(rows)
+    assert sum(w[1] for w in want.values()) > 0
+    assert repeats(df, hot=10, large=500) == want and repeats(df, hot=10) == want
+
+
+def test_repeats_of_repeated_and_null_ids(spark):
+    long_ = "some words that are repeated in each of the texts, and they have more than one hundred bytes, which is why they go "
+    rows = [(5, long_ + "b", 1), (5, long_ + "a", 2), (None, long_, 3), (7, long_ + "c", 4), (9, None, 5)]
+    got = repeats(spark.createDataFrame(rows, "doc_id long, text string, lo int"))
+    assert got == brute.repeats_row([(5, long_ + "a"), (7, long_ + "c"), (9, None)])
+
+
 def test_long_document_in_parts(spark, monkeypatch):
     monkeypatch.setattr(suffix, "SEGMENT", 300)
     data = np.frombuffer((" ".join(str(k % 37) for k in range(700))).encode(), np.uint8)
