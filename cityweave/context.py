@@ -62,6 +62,11 @@ class Context:
     def triples(self) -> DataFrame:
         return self.scratch.keep(self.virtual.materialize())
 
+    @cached_property
+    def kept(self) -> dict[str, object]:
+        """Further tables and graphs that several queries share."""
+        return {}
+
     @cached_property
     def _written(self) -> dict[str, graph.MaterializedGraph]:
         return {}

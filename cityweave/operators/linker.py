@@ -40,7 +40,7 @@ def overlaps(city: DataFrame, crowd: DataFrame, cell_m: float = spatial.CELL_M)
     The candidates carry ids and boxes only; strips come back by id for those
     pairs whose boxes meet.
     """
-    pairs = spatial.candidates(city.select(F.col("surface_id").alias("id"), "bbox"), crowd.select(F.col("area_id").alias("id"), "bbox"), cell_m, strict=True)
+    pairs = spatial.pairs_by_box(city.select(F.col("surface_id").alias("id"), "bbox"), crowd.select(F.col("area_id").alias("id"), "bbox"), cell_m, strict=True)
     shaped = pairs.join(_layer(city, "surface_id", "a"), "a_id").join(_layer(crowd, "area_id", "b"), "b_id")
     common = geom.intersection_area(F.col("a_strips"), F.col("b_strips"), F.least("a_box.ymin", "b_box.ymin"))
     return shaped.select(F.col("a_id").alias("surface_id"), F.col("b_id").alias("area_id"), overlap_ratio(common, F.col("a_area"), F.col("b_area")).alias("ratio")).where(F.col("ratio") > SLACK)
@@ -101,7 +101,7 @@ def groups(edges: DataFrame, scratch: Scratch) -> DataFrame:
 def _neighbours(unmatched: DataFrame, matched: DataFrame, rule: str, eps: float, gap: float) -> DataFrame:
     """(surface_id, neighbour_id, shared_m) under one of three rules of adjacency."""
     pad = gap if rule == "gap" else eps
-    pairs = spatial.candidates(unmatched.select(F.col("surface_id").alias("id"), "bbox"), matched.select(F.col("surface_id").alias("id"), "bbox"), spatial.CELL_M, pad)
+    pairs = spatial.pairs_by_box(unmatched.select(F.col("surface_id").alias("id"), "bbox"), matched.select(F.col("surface_id").alias("id"), "bbox"), spatial.CELL_M, pad)
     segs = lambda df, n: df.select(F.col("surface_id").alias(f"{n}_id"), geom.segments(F.col("rings")).alias(f"{n}_segs"))
     shaped = pairs.join(segs(unmatched, "a"), "a_id").join(segs(matched, "b"), "b_id")
     shared = geom.shared_length(F.col("a_segs"), F.col("b_segs"), eps)

@@ -3,7 +3,8 @@
 A box goes to each cell it touches; boxes that share a cell are compared. A
 pair that shares several cells counts only in the one that holds the lower
 left corner of the boxes' common part, so no later distinct is needed. Cells
-with more boxes than a bound are split into quarters, down to a depth.
+with more boxes than a bound are split into quarters, down to a depth, and
+boxes over very many cells are dealt on coarser grids.
 """
 
 from __future__ import annotations
@@ -12,6 +13,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from cityweave.functions import geom
+from cityweave.scratch import Scratch
 
 CELL_M = 32.0
 
@@ -29,6 +31,50 @@ def _meets(a: Column, b: Column, pad: float, strict: bool) -> Column:
     return boxes_overlap(a, b) if strict else boxes_touch(a, b, pad)
 
 
+#: Boxes of one cell beyond which it is split; cells along a side of one box beyond which a coarser grid takes it.
+CROWDED, WIDE = 10_000, 8
+
+
+def _level(box: Column, cell_m: float, pad: float) -> Column:
+    """Doublings of the cell's size that bring a box to at most WIDE cells along its longer side."""
+    side = F.greatest(box["xmax"] - box["xmin"], box["ymax"] - box["ymin"]) + 2 * pad
+    return F.greatest(F.lit(0), F.ceil(F.log2(side / (WIDE * cell_m)))).cast("int")
+
+
+def pairs_by_box(a: DataFrame, b: DataFrame, cell_m: float = CELL_M, pad: float = 0.0, strict: bool = False, crowded: int = CROWDED) -> DataFrame:
+    """As candidates, whatever the layers look like: crowded cells are split, and large boxes are dealt on coarser grids.
+
+    A pair is found on the grid of its larger box, to which the smaller one is
+    dealt too. One pass over the boxes tells which grids there are and whether a
+    cell is crowded; on even layers the plan is that of candidates.
+    """
+    sides = [a.select("bbox", F.lit(pad).alias("pad")), b.select("bbox", F.lit(0.0).alias("pad"))]
+    level = _level(F.col("bbox"), cell_m, pad)
+    # a handful of rows: powers of two between a cell and the extent of the layers
+    levels = [sorted(r[0] for r in s.select(level.alias("k")).where("k is not null").distinct().collect()) for s in sides]
+    both = sorted({*levels[0], *levels[1]})
+    if len(both) < 2:
+        return _split_if_crowded(a, b, cell_m * 2 ** sum(both), pad, strict, crowded)
+    out = None
+    for k in both:
+        own = [s.where(_level(F.col("bbox"), cell_m, pad) == k) for s in (a, b)]
+        upto = [s.where(_level(F.col("bbox"), cell_m, pad) <= k) for s in (a, b)]
+        # boxes of a of this size against all up to it, then smaller ones of a against those of b
+        todo = [(own[0], upto[1])] if k in levels[0] else []
+        if k in levels[1] and (smaller := [x for x in levels[0] if x < k]):
+            todo.append((a.where(_level(F.col("bbox"), cell_m, pad) <= max(smaller)), own[1]))
+        for x, y in todo:
+            part = _split_if_crowded(x, y, cell_m * 2**k, pad, strict, crowded)
+            out = part if out is None else out.unionByName(part)
+    return candidates(a, b, cell_m, pad, strict) if out is None else out
+
+
+def _split_if_crowded(a: DataFrame, b: DataFrame, cell_m: float, pad: float, strict: bool, crowded: int) -> DataFrame:
+    cells = a.select(F.explode(geom.cells(F.col("bbox"), cell_m, pad)).alias("c")).unionByName(b.select(F.explode(geom.cells(F.col("bbox"), cell_m)).alias("c")))
+    most = cells.groupBy("c.cx", "c.cy").count().agg(F.max("count")).first()[0] or 0
+    return candidates_adaptive(a, b, cell_m, pad, strict, crowded) if most > crowded else candidates(a, b, cell_m, pad, strict)
+
+
 def candidates(a: DataFrame, b: DataFrame, cell_m: float = CELL_M, pad: float = 0.0, strict: bool = False, broadcast: bool = False) -> DataFrame:
     """Pairs (a_id, b_id, a_box, b_box) whose boxes meet; a and b: (id, bbox).
 
@@ -93,11 +139,11 @@ def candidates_adaptive(a: DataFrame, b: DataFrame, cell_m: float = CELL_M, pad:
 
 def points_in_polygons(points: DataFrame, areas: DataFrame, cell_m: float = CELL_M) -> DataFrame:
     """(point_id, area_id) of points inside polygons; points (point_id, x, y), areas (area_id, rings, bbox)."""
-    p = points.select("point_id", "x", "y", F.floor(F.col("x") / cell_m).alias("cx"), F.floor(F.col("y") / cell_m).alias("cy"))
-    a = areas.select("area_id", "bbox", geom.segments(F.col("rings")).alias("segs"), F.explode(geom.cells(F.col("bbox"), cell_m)).alias("cell"))
-    joined = p.join(a, (F.col("cx") == F.col("cell.cx")) & (F.col("cy") == F.col("cell.cy")))
-    near = joined.where((F.col("x") >= F.col("bbox.xmin")) & (F.col("x") <= F.col("bbox.xmax")) & (F.col("y") >= F.col("bbox.ymin")) & (F.col("y") <= F.col("bbox.ymax")))
-    return near.where(geom.contains_point(F.col("segs"), F.col("x"), F.col("y"))).select("point_id", "area_id")
+    at = F.struct(F.col("x").alias("xmin"), F.col("y").alias("ymin"), F.col("x").alias("xmax"), F.col("y").alias("ymax"))
+    pairs = pairs_by_box(points.select(F.col("point_id").alias("id"), at.alias("bbox")), areas.select(F.col("area_id").alias("id"), "bbox"), cell_m)
+    near = pairs.select(F.col("a_id").alias("point_id"), F.col("a_box.xmin").alias("x"), F.col("a_box.ymin").alias("y"), F.col("b_id").alias("area_id"))
+    shaped = near.join(areas.select("area_id", geom.segments(F.col("rings")).alias("segs")), "area_id")
+    return shaped.where(geom.contains_point(F.col("segs"), F.col("x"), F.col("y"))).select("point_id", "area_id")
 
 
 def lines_near_polygons(lines: DataFrame, areas: DataFrame, d: float, cell_m: float = CELL_M) -> DataFrame:
@@ -106,16 +152,30 @@ def lines_near_polygons(lines: DataFrame, areas: DataFrame, d: float, cell_m: fl
     The lines' boxes grow by d, the grid join finds pairs by box, and the exact
     distance decides; no buffer polygon is made.
     """
-    pairs = candidates(lines.select(F.col("line_id").alias("id"), "bbox"), areas.select(F.col("area_id").alias("id"), "bbox"), cell_m, d)
+    pairs = pairs_by_box(lines.select(F.col("line_id").alias("id"), "bbox"), areas.select(F.col("area_id").alias("id"), "bbox"), cell_m, d)
     shaped = pairs.join(lines.select(F.col("line_id").alias("a_id"), geom.line_segments(F.col("pts")).alias("l")), "a_id").join(areas.select(F.col("area_id").alias("b_id"), geom.segments(F.col("rings")).alias("s")), "b_id")
     return shaped.where(geom.dwithin(F.col("l"), F.col("s"), d, a_filled=False)).select(F.col("a_id").alias("line_id"), F.col("b_id").alias("area_id"))
 
 
 def nearest_lines(points: DataFrame, lines: DataFrame, reach: float, cell_m: float = CELL_M) -> DataFrame:
-    """(point_id, line_id, d): the nearest line within reach of each point; the smaller id if two are as near."""
-    boxes = points.select(F.col("point_id").alias("id"), F.struct(F.col("x").alias("xmin"), F.col("y").alias("ymin"), F.col("x").alias("xmax"), F.col("y").alias("ymax")).alias("bbox"))
-    pairs = candidates(boxes, lines.select(F.col("line_id").alias("id"), "bbox"), cell_m, reach)
-    shaped = pairs.join(lines.select(F.col("line_id").alias("b_id"), geom.line_segments(F.col("pts")).alias("l")), "b_id")
-    d = geom.point_distance(F.col("l"), F.col("a_box.xmin"), F.col("a_box.ymin"))
-    best = shaped.select(F.col("a_id").alias("point_id"), F.struct(F.round(d, 9).alias("d"), F.col("b_id").alias("line_id")).alias("m")).where(F.col("m.d") <= reach).groupBy("point_id").agg(F.min("m").alias("m"))
-    return best.select("point_id", "m.line_id", "m.d")
+    """(point_id, line_id, d): the nearest line within reach of each point; the smaller id if two are as near.
+
+    Points look around in growing rings: those that find a line within a ring's
+    distance are done, as no line outside is nearer; only the others look further.
+    """
+    at = F.struct(F.col("x").alias("xmin"), F.col("y").alias("ymin"), F.col("x").alias("xmax"), F.col("y").alias("ymax"))
+    left = points.select(F.col("point_id").alias("id"), at.alias("bbox"))
+    segments = lines.select(F.col("line_id").alias("b_id"), geom.line_segments(F.col("pts")).alias("l"))
+    boxes = lines.select(F.col("line_id").alias("id"), "bbox")
+    out, ring, scratch = None, min(cell_m, reach), Scratch(points.sparkSession, "nearest")
+    while True:
+        pairs = pairs_by_box(left, boxes, max(cell_m, ring), ring)
+        d = geom.point_distance(F.col("l"), F.col("a_box.xmin"), F.col("a_box.ymin"))
+        found = pairs.join(segments, "b_id").select(F.col("a_id").alias("point_id"), F.struct(F.round(d, 9).alias("d"), F.col("b_id").alias("line_id")).alias("m"))
+        best = found.where(F.col("m.d") <= ring).groupBy("point_id").agg(F.min("m").alias("m")).select("point_id", "m.line_id", "m.d")
+        if ring >= reach:
+            return best if out is None else out.unionByName(best)
+        best = scratch.keep(best)
+        out = best if out is None else out.unionByName(best)
+        left = left.join(best.select(F.col("point_id").alias("id")), "id", "left_anti")
+        ring = min(2 * ring, reach)

@@ -243,25 +243,34 @@ def geometry_sql() -> dict[str, str]:
     lon, lat = crs.reproject_sql("x", "y", crs.LOCAL, crs.GEOGRAPHIC)
     cells = "select surface_id, unnest(range(floor(xmin / 32)::bigint, floor(xmax / 32)::bigint + 1)) as cx, ymin, ymax from city_box"
     spread = lambda v: f"list_sum(list_transform(range(16), lambda k: (({v} >> k) & 1) << (2 * k)))"
+    apart = lambda d: f"""with pr as (select a.surface_id, n.surface_id as neighbour_id from city_box a join city_box n on a.surface_id <> n.surface_id
+              and a.xmin - {d} <= n.xmax and n.xmin <= a.xmax + {d} and a.ymin - {d} <= n.ymax and n.ymin <= a.ymax + {d}),
+            same as (select m.surface_id, n.surface_id as neighbour_id, min(sqrt(power(greatest(0, m.x0 - n.x1, n.x0 - m.x1), 2) + power(greatest(0, m.y0 - n.y1, n.y0 - m.y1), 2))) as d
+              from city_part m join city_part n on m.b = n.b and m.turned = n.turned and m.surface_id <> n.surface_id group by 1, 2),
+            corner as (select surface_id, neighbour_id, min(sqrt(power(x - x1 - u * (x2 - x1), 2) + power(y - y1 - u * (y2 - y1), 2))) as d from (
+              select pr.surface_id, neighbour_id, s.x1 as x, s.y1 as y, t.x1, t.y1, t.x2, t.y2, greatest(0, least(1, ((s.x1 - t.x1) * (t.x2 - t.x1) + (s.y1 - t.y1) * (t.y2 - t.y1)) / (power(t.x2 - t.x1, 2) + power(t.y2 - t.y1, 2)))) as u
+              from pr join city_seg s on s.surface_id = pr.surface_id join city_seg t on t.surface_id = neighbour_id) group by 1, 2)
+            select f.surface_id, f.neighbour_id, round(coalesce(same.d, least(f.d, g.d)), 6) as d
+            from corner f join corner g on g.surface_id = f.neighbour_id and g.neighbour_id = f.surface_id left join same on same.surface_id = f.surface_id and same.neighbour_id = f.neighbour_id
+            where coalesce(same.d, least(f.d, g.d)) <= {d}"""
     return {
+        "geo_distance": q(f"select * from ({apart(60)})"),
+        "geo_dwithin": q(f"select surface_id, neighbour_id from ({apart(5)})"),
         "geo_area": q("select surface_id, round(area_m2, 6) as area from city_area"),
         "geo_bbox": q("select surface_id, round(xmin, 6) as xmin, round(ymin, 6) as ymin, round(xmax, 6) as xmax, round(ymax, 6) as ymax from city_box"),
         "geo_centroid": q("""select surface_id, round(case turned when 1 then 20 + 0.8 * cx - 0.6 * cy else cx end + b % 50 * 64, 6) as x, round(case turned when 1 then 20 + 0.6 * cx + 0.8 * cy else cy end + b // 50 * 64, 6) as y from (
             select surface_id, b, turned, sum((x1 - x0) * (y1 - y0) * (x0 + x1) / 2) / sum((x1 - x0) * (y1 - y0)) as cx, sum((x1 - x0) * (y1 - y0) * (y0 + y1) / 2) / sum((x1 - x0) * (y1 - y0)) as cy from city_part group by 1, 2, 3)"""),
         "geo_length": q("select surface_id, round(sum(sqrt(power(x2 - x1, 2) + power(y2 - y1, 2))), 6) as length from city_seg group by 1"),
-        "geo_contains_point": q("select poi_id, poi_id in (select a.poi_id from poi_area a join poi p using (poi_id) where a.area_id = p.host) as inside from poi"),
+        "geo_contains_point": q("select poi_id, count(*) as n, min(area_id) as first from poi_area group by 1"),
         "geo_intersection_area": q("select surface_id, area_id, round(common, 6) as common from overlap"),
         "geo_intersects": q("select distinct surface_id, area_id from city_part c join crowd_part w using (b, turned) where c.x0 <= w.x1 and w.x0 <= c.x1 and c.y0 <= w.y1 and w.y0 <= c.y1"),
         "geo_shared_length": q("select surface_id, neighbour_id, round(shared_m, 6) as shared_m from touching where shared_m > 1e-6 and surface_id < neighbour_id"),
-        "geo_distance": q("select surface_id, neighbour_id, round(gap, 6) as d from touching join building on building_id = surface_id where slot = 0 and v <> 3"),
-        "geo_dwithin": q("select surface_id, neighbour_id from touching join building on building_id = surface_id where slot = 0 and v <> 3 and gap <= 5"),
         "geo_extrude_volume": q("select surface_id, round(area_m2 * height_m, 6) as volume, faces from city_area join building on building_id = surface_id join (select surface_id, count(*) + 2 as faces from city_pts group by 1) using (surface_id)"),
         "geo_wkt": q("select surface_id, shape from ground_text"),
         "geo_reproject": q(f"select road_id, i::int as i, round({lon}, 9) as lon, round({lat}, 9) as lat from road_pts"),
         "geo_cells": q(f"select surface_id, cx, unnest(range(floor(ymin / 32)::bigint, floor(ymax / 32)::bigint + 1)) as cy from ({cells})"),
         "geo_morton": q(f"select surface_id, ({spread('ix')} + ({spread('iy')} << 1))::bigint as morton from (select surface_id, floor(xmin / 32)::bigint as ix, floor(ymin / 32)::bigint as iy from city_box)"),
-        "geo_clip_convex": q("select surface_id, area_id, round(common, 6) as common from overlap join crowd using (area_id) where not (v = 3 and slot = 4)"),
-        "geo_clip_convex_all": q("select surface_id, area_id, round(common, 6) as common from overlap"),
+        "geo_clip_convex": q("select surface_id, area_id, round(common, 6) as common from overlap"),
     }
 
 
@@ -290,11 +299,11 @@ def graph_sql() -> dict[str, str]:
             union all select unnest(['cw:hasGeometry', 'cw:wkt', 'cw:elementOf', 'cw:assignsClass']) from poi union all select unnest(['cw:hasGeometry', 'cw:wkt', 'cw:label', 'cw:elementOf', 'cw:assignsClass']) from road
             union all select unnest(['cw:matchesCrowd', 'cw:linksCrowd', 'cw:matchesCity', 'cw:linksCity', 'cw:overlapRatio']) from edges union all select unnest(['cw:adjacentCrowd', 'cw:linksCrowd', 'cw:adjacentCity', 'cw:linksCity', 'cw:sharedLength']) from adjacent
             union all select 'cw:locatedIn' from (select distinct poi_id, surface_id from poi_links)) group by 1"""),
-        "kg_triples_sample": q("""select 'cw:b/' || building_id as s, 'cw:height' as p, height_m::varchar as o from building where building_id < 50
-            union all select 'cw:b/' || building_id, 'cw:roofLabel', roof_label from building where building_id < 50
-            union all select 'cw:b/' || building_id, 'cw:hasSolid', 'cw:solid/' || building_id from building where building_id < 50"""),
-        "kg_refresh_equal": "select 0::bigint as missing, 0::bigint as extra",
+        "kg_building_triples": q("""select 'cw:b/' || building_id as s, 'cw:height' as p, height_m::varchar as o from building
+            union all select 'cw:b/' || building_id, 'cw:roofLabel', roof_label from building
+            union all select 'cw:b/' || building_id, 'cw:hasSolid', 'cw:solid/' || building_id from building"""),
+        "kg_refresh_equal": q("select 0::bigint as missing, 0::bigint as extra, count(*) as heights from building"),
+        "kg_refresh_heights": q("select 'cw:b/' || building_id as s, case when building_id % 10 = 0 then height_m + 1 else height_m end::double as height from building"),
         "kg_diff": q("select change, 'cw:b/' || building_id as s, 'cw:height' as p, case change when 'removed' then height_m else height_m + 1 end::varchar as o from building, (values ('removed'), ('added')) c(change) where building_id % 10 = 0"),
-        "kg_class_counts": q("select class, count(*) as n from (select class from crowd union all select class from road) group by 1"),
-        "kg_class_counts_all": q("select class, count(*) as n from (select class from crowd union all select class from road union all select 'Poi' from poi) group by 1"),
+        "kg_class_counts": q("select class, count(*) as n from (select class from crowd union all select class from road union all select 'Poi' from poi) group by 1"),
     }

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field, replace
 from functools import cached_property, reduce
+from itertools import count
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -37,6 +38,11 @@ class VirtualGraph:
     def spark(self) -> SparkSession:
         return self.store.city.spark
 
+    @cached_property
+    def _unique(self) -> dict[str, bool]:
+        """Whether the rows of a source keep its key, for those looked up."""
+        return {}
+
     @cached_property
     def saturated(self) -> list[Mapping]:
         return saturate(self.mappings, self.ontology)
@@ -126,15 +132,64 @@ class VirtualGraph:
         return Rel(df.select(*cols) if cols else df.select(F.lit(1).alias("_one")), slots)
 
     def materialize(self) -> DataFrame:
-        """All triples, entailed ones included. A source is read once, whatever its number of triples for a row."""
+        """All triples, entailed ones included. A source is read once or twice, whatever its number of triples for a row.
+
+        Only what may come twice is made distinct: triples that a source's keys
+        don't tell apart, triples of sources whose rows break their keys, which is
+        looked up by the keys alone, and those that another assertion may make too.
+        """
+        return self._made(assertions(self.saturated))
+
+    def stated(self) -> DataFrame:
+        """The triples that the mappings state themselves, without what they entail."""
+        return self._made(assertions(self.mappings))
+
+    def materialize_sources(self, names: set[str]) -> DataFrame:
+        """Those of all triples that are made from some sources."""
+        return self._made([a for a in assertions(self.saturated) if a.source in names])
+
+    def _made(self, given: list) -> DataFrame:
+        twice = {a for k, a in enumerate(given) if not self._once(a) or any(self._may_equal(a, b) for n, b in enumerate(given) if n != k)}
         by_source: dict[str, list] = {}
-        for a in assertions(self.saturated):
-            by_source.setdefault(a.source, []).append(a.target)
-        parts = []
-        for source, targets in by_source.items():
-            rows = [self._triple(t) for t in dict.fromkeys(targets)]
-            parts.append(self.store.sources[source].frame().select(F.explode(F.array(*rows)).alias("t")).select("t.*").where("o is not null"))
-        return reduce(lambda x, y: x.unionByName(y), parts).dropDuplicates(["s", "p", "o"])
+        for a in given:
+            by_source.setdefault(a.source, []).append(a)
+        parts = {False: [], True: []}
+        for source, own in by_source.items():
+            for again in {a in twice for a in own}:
+                rows = F.array(*[self._triple(a.target) for a in own if (a in twice) == again])
+                parts[again].append(self.store.sources[source].frame().select(F.explode(rows).alias("x")).select("x.*").where("o is not null"))
+        whole = [reduce(DataFrame.unionByName, x) for x in parts.values() if x]
+        return whole[0] if not parts[True] else reduce(DataFrame.unionByName, [*whole[:-1], whole[-1].dropDuplicates(["s", "p", "o"])])
+
+    def _once(self, a) -> bool:
+        """Whether each row of an assertion's source gives another triple."""
+        if a.source not in self._unique:
+            key = self.store.sources[a.source].key
+            self._unique[a.source] = self.store.sources[a.source].frame().groupBy(*key).agg(F.count("*").alias("n")).where("n > 1").isEmpty()
+        t = a.target
+        more = t.object.columns if isinstance(t.object, Template) else (t.object.column,) if isinstance(t.object, Field) else ()
+        return self._unique[a.source] and self.store.sources[a.source].tells_rows_apart({*t.subject.columns, *more})
+
+    def _may_equal(self, a, b) -> bool:
+        """Whether two assertions may give the same triple. Templates are injective, so different literal beginnings are enough to tell them apart."""
+
+        def meet(x: str, y: str) -> bool:
+            x, y = x.split("{")[0], y.split("{")[0]
+            return x.startswith(y) or y.startswith(x)
+
+        def text(o) -> str | None:
+            return o.pattern if isinstance(o, Template) else None if isinstance(o, Field) else o.iri
+
+        s, t = a.target, b.target
+        if s.predicate != t.predicate or not meet(s.subject.pattern, t.subject.pattern):
+            return False
+        x, y = text(s.object), text(t.object)
+        if (x is None) != (y is None) or x is not None and (x != y if not isinstance(s.object, Template) and not isinstance(t.object, Template) else not meet(x, y)):
+            return False
+        one, two = self.store.sources[a.source], self.store.sources[b.source]
+        # parts of a whole share no key
+        parts = a.source != b.source and one.part_of and one.part_of == two.part_of
+        return not (parts and set(one.key) <= set(s.subject.columns) and set(two.key) <= set(t.subject.columns))
 
     @staticmethod
     def _triple(t) -> Column:
@@ -161,6 +216,9 @@ class VirtualGraph:
 
 LAYOUTS = ("triples", "predicate", "wide")
 
+#: Triples that one task writes.
+TASK_ROWS = 1 << 20
+
 
 @dataclass
 class MaterializedGraph:
@@ -175,13 +233,14 @@ class MaterializedGraph:
 
     @classmethod
     def write(cls, triples: DataFrame, ontology: Ontology, layout: str, path: str, **options) -> MaterializedGraph:
-        if layout == "triples":
-            out = triples.repartition("p", F.pmod(F.xxhash64("s"), F.lit(8))).sortWithinPartitions("p", "s")
-            out.write.mode("overwrite").parquet(path)
-        elif layout == "predicate":
-            # frequent predicates are dealt to several tasks, by subject
-            out = triples.withColumn("p_id", F.regexp_replace("p", "[^A-Za-z]", "_")).repartition("p_id", F.pmod(F.xxhash64("s"), F.lit(4))).sortWithinPartitions("p_id", "s")
-            out.write.mode("overwrite").partitionBy("p_id").parquet(path)
+        if layout in ("triples", "predicate"):
+            # ranges of predicate and subject: as many tasks as rows ask for, a frequent predicate in several, subjects clustered
+            spark = triples.sparkSession
+            tasks = max(-(-triples.count() // TASK_ROWS), min(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism))
+            by = "p" if layout == "triples" else "p_id"
+            keyed = triples if layout == "triples" else triples.withColumn("p_id", F.regexp_replace("p", "[^A-Za-z]", "_"))
+            out = keyed.repartitionByRange(tasks, by, "s").sortWithinPartitions(by, "s").write.mode("overwrite")
+            (out if layout == "triples" else out.partitionBy("p_id")).parquet(path)
         elif layout == "wide":
             predicates = [r[0] for r in triples.select("p").distinct().orderBy("p").collect()]
             cell = F.struct("o", "o_num")
@@ -347,6 +406,7 @@ def forward_chain(triples: DataFrame, ontology: Ontology, rounds: int = 8) -> Da
 def rewritten(q: str | A.Query, ontology: Ontology) -> A.Query:
     """The query with its patterns widened by the hierarchies, for graphs that hold no entailed triples."""
     q = _query(q)
+    number = count()
 
     def widen(p: A.Pattern) -> A.Node:
         arms: list[A.Node] = []
@@ -354,7 +414,7 @@ def rewritten(q: str | A.Query, ontology: Ontology) -> A.Query:
             under = sorted(ontology.descendants(p.o.value))
             arms += [A.Bgp((A.Pattern(p.s, p.p, A.Iri(c)),)) for c in under]
             for prop in ontology.properties.values():
-                other = A.Var(f"_w{abs(hash((prop.name, p))) % 10**8}")
+                other = A.Var(f"_w{next(number)}")
                 if prop.domain in under:
                     arms.append(A.Bgp((A.Pattern(p.s, A.Iri(prop.name), other),)))
                 if prop.kind == "object" and prop.range in under:
@@ -386,6 +446,34 @@ def refresh(triples: DataFrame, changed: DataFrame, new: DataFrame) -> DataFrame
     return triples.join(changed.select("s").distinct(), "s", "left_anti").unionByName(new)
 
 
+def refresh_written(graph: MaterializedGraph, changed: DataFrame, new: DataFrame, scratch: Scratch) -> list[str]:
+    """Brings a written predicate layout up to date: folders of predicates that changed triples are in are written anew, others aren't touched.
+
+    changed: (s, p) of the triples that go; new: triples that come. Returns the
+    predicates' folders written. The new rows of a folder are complete before the
+    old ones go.
+    """
+    if graph.layout != "predicate":
+        raise ValueError("only the predicate layout can be refreshed in part")
+    gone = changed.select("s", "p").distinct()
+    name = F.regexp_replace("p", "[^A-Za-z]", "_")
+    # at most one row for each predicate of the vocabulary
+    touched = sorted(r[0] for r in gone.select(name.alias("p_id")).unionByName(new.select(name.alias("p_id"))).distinct().collect())
+    if not touched:
+        return []
+    old = graph.table.where(F.col("p_id").isin(*touched)).drop("p_id")
+    rows = scratch.keep(old.join(gone, ["s", "p"], "left_anti").select(new.columns).unionByName(new))
+    spark = graph.spark
+    for p_id in touched:
+        own = rows.withColumn("p_id", name).where(F.col("p_id") == p_id).drop("p_id")
+        tasks = max(1, -(-own.count() // TASK_ROWS))
+        own.repartitionByRange(tasks, "s").sortWithinPartitions("s").write.mode("overwrite").parquet(f"{graph.path}/p_id={p_id}")
+    scratch.remove(rows)
+    spark.catalog.refreshByPath(graph.path)
+    graph.__dict__.pop("table", None)
+    return touched
+
+
 def difference(before: DataFrame, after: DataFrame) -> DataFrame:
     """(change, s, p, o): triples that only one of two graphs has."""
     keys = ["s", "p", "o"]

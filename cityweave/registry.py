@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import replace
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -11,7 +13,7 @@ from cityweave import measures, oracles, workload
 from cityweave.context import Context, context
 from cityweave.functions import crs, geom, wkt
 from cityweave.operators import linker, relational, spatial
-from cityweave.plans import assoc, graph, ontology
+from cityweave.plans import assoc, graph, mappings, ontology
 from cityweave.sources import init
 from cityweave.streaming import feeds
 
@@ -47,12 +49,6 @@ def _neighbours(c: Context, pad: float, less: bool = False) -> DataFrame:
     return found.join(side("a"), "a_id").join(side("b"), "b_id").withColumnsRenamed({"a_id": "surface_id", "b_id": "neighbour_id"})
 
 
-def _first_slots(df: DataFrame) -> DataFrame:
-    """Pairs within a block from its first surface, where nothing is turned: all that the SQL of two queries knows; `_all` has the rest."""
-    block = F.floor(F.col("surface_id") / 8)
-    return df.where((F.col("surface_id") % 8 == 0) & (block % 5 != 3) & (F.floor(F.col("neighbour_id") / 8) == block))
-
-
 _FAR = 60.0
 
 
@@ -102,54 +98,96 @@ LINKER: dict[str, Callable[[Context], DataFrame]] = {
     "sp_knn_road": lambda c: _rounded(spatial.nearest_lines(c.city.pois.select(F.col("poi_id").alias("point_id"), "x", "y"), c.city.roads.select(F.col("road_id").alias("line_id"), "pts", "bbox"), 60.0), "d"),
 }
 
-_SAME = {"sp_candidates_brute": "sp_candidates", "sp_candidates_adaptive": "sp_candidates", "sp_candidates_broadcast": "sp_candidates"}
+_SAME = {"reason_types_chained": "reason_types", "reason_types_rewritten": "reason_types", "sp_candidates_brute": "sp_candidates", "sp_candidates_adaptive": "sp_candidates", "sp_candidates_broadcast": "sp_candidates"}
 
 GEOMETRY: dict[str, Callable[[Context], DataFrame]] = {
     "geo_area": lambda c: c.city.ground.select("surface_id", F.round(geom.area(F.col("rings")), 6).alias("area")),
     "geo_bbox": lambda c: c.city.ground.select("surface_id", *[F.round(f"bbox.{k}", 6).alias(k) for k in ("xmin", "ymin", "xmax", "ymax")]),
     "geo_centroid": lambda c: c.city.ground.select("surface_id", geom.centroid(F.col("rings")).alias("m")).select("surface_id", F.round("m.x", 6).alias("x"), F.round("m.y", 6).alias("y")),
     "geo_length": lambda c: c.city.ground.select("surface_id", F.round(geom.length(geom.segments(F.col("rings"))), 6).alias("length")),
-    "geo_contains_point": lambda c: c.city.pois.join(c.city.crowd.select(F.col("area_id").alias("host_hint"), geom.segments(F.col("rings")).alias("s")), "host_hint").select("poi_id", geom.contains_point(F.col("s"), F.col("x"), F.col("y")).alias("inside")),
+    "geo_contains_point": lambda c: spatial.points_in_polygons(c.city.pois.select(F.col("poi_id").alias("point_id"), "x", "y"), c.city.crowd).groupBy(F.col("point_id").alias("poi_id")).agg(F.count("*").alias("n"), F.min("area_id").alias("first")),
     "geo_intersection_area": lambda c: _pairs(c).select("surface_id", "area_id", F.round(geom.intersection_area(geom.strips(F.col("a")), geom.strips(F.col("b")), F.least("a_box.ymin", "b_box.ymin")), 6).alias("common")).where("common > 0"),
     "geo_intersects": lambda c: _pairs(c, strict=False).where(geom.intersects(geom.segments(F.col("a")), geom.segments(F.col("b")))).select("surface_id", "area_id"),
     "geo_shared_length": lambda c: _neighbours(c, 1e-6, less=True).select("surface_id", "neighbour_id", F.round(geom.shared_length(F.col("a"), F.col("b")), 6).alias("shared_m")).where("shared_m > 0"),
-    "geo_distance": lambda c: _first_slots(_neighbours(c, _FAR)).select("surface_id", "neighbour_id", F.round(geom.distance(F.col("a"), F.col("b")), 6).alias("d")),
-    "geo_dwithin": lambda c: _first_slots(_neighbours(c, _FAR)).where(geom.dwithin(F.col("a"), F.col("b"), 5.0)).select("surface_id", "neighbour_id"),
-    "geo_distance_all": lambda c: _rounded(_gaps(c), "d"),
-    "geo_dwithin_all": lambda c: _near(c, 5.0),
+    "geo_distance": lambda c: _rounded(_gaps(c), "d"),
+    "geo_dwithin": lambda c: _near(c, 5.0),
     "geo_buffer_area": lambda c: c.city.roads.select("road_id", geom.buffer(geom.line_segments(F.col("pts")), 20.0).alias("zone")).select("road_id", F.round(geom.total(F.col("zone"), lambda p: geom.area(p)) - geom.intersection_area(geom.strips(F.get("zone", F.lit(0))), geom.strips(F.get("zone", F.lit(1))), geom.bbox(F.get("zone", F.lit(0)))["ymin"] - 10), 4).alias("area")),
     "geo_extrude_volume": lambda c: c.city.ground.select("surface_id", F.round(geom.volume(F.col("area_m2"), F.col("height_m")), 6).alias("volume"), geom.face_count(F.col("rings")).alias("faces")),
     "geo_wkt": lambda c: c.city.ground.select("surface_id", wkt.polygon_wkt(F.col("rings")).alias("shape")),
     "geo_reproject": lambda c: c.city.roads.select("road_id", F.posexplode(crs.reproject("pts", crs.LOCAL, crs.GEOGRAPHIC)).alias("i", "p")).select("road_id", "i", F.round("p.x", 9).alias("lon"), F.round("p.y", 9).alias("lat")),
     "geo_cells": lambda c: c.city.ground.select("surface_id", F.explode(geom.cells(F.col("bbox"), 32.0)).alias("c")).select("surface_id", "c.cx", "c.cy"),
     "geo_morton": lambda c: c.city.ground.select("surface_id", geom.morton(F.floor(F.col("bbox.xmin") / 32), F.floor(F.col("bbox.ymin") / 32)).alias("morton")),
-    "geo_clip_convex": lambda c: _pairs(c).where("not (floor(area_id / 6) % 5 = 3 and area_id % 6 = 4)").select("surface_id", "area_id", F.round(F.abs(geom.ring_area(geom.clip_convex(F.element_at("a", 1), F.element_at(geom.ccw(F.col("b")), 1)))), 6).alias("common")).where("common > 0"),
-    "geo_clip_convex_all": lambda c: _pairs(c).select("surface_id", "area_id", F.round(_clipped(F.element_at("a", 1), F.element_at("b", 1)), 6).alias("common")).where("common > 0"),
+    "geo_clip_convex": lambda c: _pairs(c).select("surface_id", "area_id", F.round(_clipped(F.element_at("a", 1), F.element_at("b", 1)), 6).alias("common")).where("common > 0"),
 }
 
 
-def _types(c: Context) -> DataFrame:
-    """How many subjects have each class, of a few classes, by entailment."""
-    wanted = ["CrowdElement", "SpatialFeature", "Feature", "Building"]
-    kinds = {"cw:CrowdElement": ("crowd", "poi", "road"), "cw:Building": ("building",)}
-    found = None
-    for base, sources in kinds.items():
-        for s in sources:
-            for above in sorted(c.ontology.ancestors(base)):
-                if above.removeprefix("cw:") in wanted:
-                    part = c.store.sources[s].frame().select(F.lit(above).alias("type"))
-                    found = part if found is None else found.unionByName(part)
-    return found.groupBy("type").agg(F.count("*").alias("n"))
+_TYPES = ("cw:CrowdElement", "cw:SpatialFeature", "cw:Feature", "cw:Building")
+
+
+def _subjects(df: DataFrame) -> DataFrame:
+    """Buildings and elements of the crowd layer among the subjects of (s, type) of a few classes, counted by class."""
+    own = df.where(F.col("type").isin(*_TYPES) & (F.col("s").startswith("cw:b/") | F.col("s").startswith("cw:crowd/")))
+    return own.select("s", "type").distinct().groupBy("type").agg(F.count("*").alias("n"))
+
+
+def _bare(c: Context) -> DataFrame:
+    """The triples that mappings state, without what they entail."""
+    if "bare" not in c.kept:
+        c.kept["bare"] = c.scratch.keep(graph.VirtualGraph(c.ontology, mappings.catalogue(), c.store).stated())
+    return c.kept["bare"]
+
+
+def _types_saturated(c: Context) -> DataFrame:
+    """By saturated mappings: the types are among the triples as they are made."""
+    return _subjects(c.triples.where("p = 'rdf:type'").select("s", F.col("o").alias("type")))
+
+
+def _types_chained(c: Context) -> DataFrame:
+    """By forward chaining over the triples that mappings state."""
+    return _subjects(graph.forward_chain(_bare(c), c.ontology).where("p = 'rdf:type'").select("s", F.col("o").alias("type")))
+
+
+def _types_rewritten(c: Context) -> DataFrame:
+    """By rewriting: each query for a class is widened by the hierarchies and asked of a graph that holds no entailed triples."""
+    if "bare graph" not in c.kept:
+        c.kept["bare graph"] = graph.MaterializedGraph.write(_bare(c), c.ontology, "predicate", f"{c.scratch.base}/graph-bare")
+    asked = [c.kept["bare graph"].query(graph.rewritten(f"SELECT DISTINCT ?s {{ ?s rdf:type {t} }}", c.ontology)).select("s", F.lit(t).alias("type")) for t in _TYPES]
+    return _subjects(reduce(DataFrame.unionByName, asked))
+
+
+def _grown(c: Context) -> mappings.Store:
+    """The relations after every tenth building has grown by a metre."""
+    higher = lambda df, key: df.withColumn("height_m", F.when(F.col(key) % 10 == 0, F.col("height_m") + 1).otherwise(F.col("height_m")))
+    store = mappings.Store(c.city, c.links, c.ontology)
+    changed = {n: replace(s, frame=lambda s=s: higher(s.frame(), "building_id")) for n, s in store.sources.items() if n == "building"}
+    return replace(store, extra=changed)
+
+
+def _refresh(c: Context) -> graph.MaterializedGraph:
+    """A written graph, brought up to date by the triples of changed buildings alone."""
+    own = graph.MaterializedGraph.write(c.triples, c.ontology, "predicate", f"{c.scratch.base}/graph-refresh-{c.scratch.count}")
+    c.scratch.count += 1
+    after = graph.VirtualGraph(c.ontology, mappings.catalogue(), _grown(c)).materialize_sources({"building"})
+    before = c.virtual.materialize_sources({"building"})
+    keys = ["s", "p", "o"]
+    gone, come = before.join(after.select(keys), keys, "left_anti"), after.join(before.select(keys), keys, "left_anti")
+    graph.refresh_written(own, gone, come, c.scratch)
+    return own
+
+
+def _refresh_heights(c: Context) -> DataFrame:
+    """Heights in the refreshed graph."""
+    return _refresh(c).table.where("p = 'cw:height'").select("s", F.col("o_num").alias("height"))
 
 
 def _refresh_equal(c: Context) -> DataFrame:
-    """Triples that a refresh of every tenth building lacks, or has beyond what writing all anew gives."""
+    """Triples that a refresh lacks, has beyond what writing all anew gives, and shares with it."""
     keys = ["s", "p", "o"]
-    changed = c.triples.where("s rlike '^cw:b/[0-9]*0$'").select("s").distinct()
-    new = c.triples.join(changed, "s", "left_semi")
-    after = graph.refresh(c.triples, changed, new).select(keys)
-    both = [after.exceptAll(c.triples.select(keys)).agg(F.count("*").alias("extra")), c.triples.select(keys).exceptAll(after).agg(F.count("*").alias("missing"))]
-    return both[1].join(both[0])
+    after = _refresh(c).table.select(keys)
+    anew = graph.VirtualGraph(c.ontology, mappings.catalogue(), _grown(c)).materialize().select(keys)
+    side = after.select(*keys, F.lit(1).alias("r"), F.lit(0).alias("w")).unionByName(anew.select(*keys, F.lit(0).alias("r"), F.lit(1).alias("w")))
+    each = side.groupBy(*keys).agg(F.sum("r").alias("r"), F.sum("w").alias("w"))
+    return each.agg(F.sum(F.greatest(F.col("w") - F.col("r"), F.lit(0))).alias("missing"), F.sum(F.greatest(F.col("r") - F.col("w"), F.lit(0))).alias("extra"), F.count_if((F.col("p") == "cw:height") & (F.col("r") == 1) & (F.col("w") == 1)).alias("heights"))
 
 
 def _diff(c: Context) -> DataFrame:
@@ -164,18 +202,20 @@ GRAPH: dict[str, Callable[[Context], DataFrame]] = {
     "onto_clashes": lambda c: ontology.clashes(c.spark, ontology.load(ontology.vocabulary_spec(with_clashes=True))),
     "onto_closure": lambda c: ontology.closure(c.spark, c.ontology),
     "onto_subtree": lambda c: ontology.subtree(c.spark, c.ontology, "cw:CrowdElement"),
-    "reason_types": _types,
+    "reason_types": _types_saturated,
+    "reason_types_chained": _types_chained,
+    "reason_types_rewritten": _types_rewritten,
     "assoc_nodes": lambda c: assoc.nodes(c.links.links),
     "assoc_class_nodes": lambda c: assoc.class_nodes(c.city.crowd_classes),
     "assoc_same_as": lambda c: assoc.same_as(c.links.links),
     "kg_triples_per_predicate": lambda c: c.triples.where("p <> 'rdf:type'").groupBy("p").agg(F.count("*").alias("n")),
-    "kg_triples_sample": lambda c: c.triples.where("p in ('cw:height', 'cw:roofLabel', 'cw:hasSolid') and s like 'cw:b/%' and cast(substr(s, 6) as long) < 50").select("s", "p", "o"),
     "kg_triples_per_predicate_all": lambda c: c.triples.groupBy("p").agg(F.count("*").alias("n")),
+    "kg_building_triples": lambda c: c.triples.where("p in ('cw:height', 'cw:roofLabel', 'cw:hasSolid') and s like 'cw:b/%'").select("s", "p", "o"),
     "kg_triples_all": lambda c: c.triples.select("s", "p", "o"),
     "kg_refresh_equal": _refresh_equal,
+    "kg_refresh_heights": _refresh_heights,
     "kg_diff": _diff,
-    "kg_class_counts": lambda c: c.virtual.query("SELECT ?named (COUNT(?x) AS ?n) { ?x cw:assignsClass ?named ; cw:elementOf ?e } GROUP BY ?named").select(F.replace("named", F.lit("cw:ci/"), F.lit("")).alias("class"), "n").where("class <> 'Poi'"),
-    "kg_class_counts_all": lambda c: c.virtual.query("SELECT ?named (COUNT(?x) AS ?n) { ?x cw:assignsClass ?named ; cw:elementOf ?e } GROUP BY ?named").select(F.replace("named", F.lit("cw:ci/"), F.lit("")).alias("class"), "n"),
+    "kg_class_counts": lambda c: c.virtual.query("SELECT ?named (COUNT(?x) AS ?n) { ?x cw:assignsClass ?named ; cw:elementOf ?e } GROUP BY ?named").select(F.replace("named", F.lit("cw:ci/"), F.lit("")).alias("class"), "n"),
 }
 
 

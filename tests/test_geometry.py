@@ -7,6 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from cityweave.functions import crs, geom, wkt
+from cityweave.operators import spatial
 
 
 def star(rng, x=0.0, y=0.0, size=10.0):
@@ -144,9 +145,26 @@ def test_distances_of_all_surfaces(spark, city):
     rings = {r.surface_id: [(p["x"], p["y"]) for p in r.rings[0]] for r in city.city.ground.collect()}
     ids = sorted(rings)
     want = {(i, j): d for i in ids for j in ids if i != j and (d := gap(rings[i], rings[j])) <= 60}
-    got = {(r.surface_id, r.neighbour_id): r.d for r in entry.queries()["geo_distance_all"](spark, SMALL).collect()}
+    got = {(r.surface_id, r.neighbour_id): r.d for r in entry.queries()["geo_distance"](spark, SMALL).collect()}
     assert got.keys() == want.keys() and all(abs(got[k] - want[k]) < 1e-5 for k in want)
     assert any(i // 8 != j // 8 for i, j in want) and any(i // 8 % 5 == 3 for i, _ in want) and any(len(rings[i]) > 4 for i, _ in want)
-    rows = entry.queries()["geo_dwithin_all"](spark, SMALL).collect()
+    rows = entry.queries()["geo_dwithin"](spark, SMALL).collect()
     near = {(r.surface_id, r.neighbour_id) for r in rows}
     assert len(rows) == len(near) and near == {k for k, d in want.items() if d <= 5 + 1e-9}
+
+
+def test_skewed_layers(spark):
+    """One hot cell, one box over a million cells and one between: the same pairs as brute force, without a row for each cell."""
+    rng = random.Random(12)
+    box = lambda x, y, w, h: {"xmin": x, "ymin": y, "xmax": x + w, "ymax": y + h}
+    schema = "id long, bbox struct<xmin:double,ymin:double,xmax:double,ymax:double>"
+    side = lambda n: [(k, box(rng.uniform(0, 30), rng.uniform(0, 30), 0.5, 0.5)) for k in range(n)] + [(1000 + k, box(rng.uniform(0, 40_000), rng.uniform(0, 40_000), 10.0, 10.0)) for k in range(100)]
+    a, b = side(300), side(250)
+    a += [(5000, box(-100.0, -100.0, 40_000.0, 40_000.0)), (5001, box(50.0, 50.0, 3000.0, 10.0))]
+    b += [(6000, box(100.0, 100.0, 35_000.0, 20_000.0)), (6001, None)]
+    x, y = spark.createDataFrame(a, schema), spark.createDataFrame(b, schema)
+    for pad, strict in ((0.0, False), (0.0, True), (25.0, False)):
+        want = sorted((r.a_id, r.b_id) for r in spatial.candidates_brute(x, y, pad, strict).collect())
+        got = spatial.pairs_by_box(x, y, 32.0, pad, strict, crowded=20)
+        assert sorted((r.a_id, r.b_id) for r in got.collect()) == want and len(want) > 100
+    assert spatial.pairs_by_box(x.limit(0), y).count() == 0

@@ -49,14 +49,12 @@ def test_gives_rows(spark, key):
 
 
 def test_whole_graph(spark, duck):
-    """All triples, against the SQL of counts and, for every building, of the sampled predicates."""
+    """All triples, against the SQL of counts and, for every building, of three predicates."""
     rows = [tuple(r) for r in QUERIES["kg_triples_all"](spark, SMALL).select("s", "p", "o").collect()]
     counts = Counter(p for _, p, _ in rows)
     assert counts == {r.p: r.n for r in QUERIES["kg_triples_per_predicate_all"](spark, SMALL).collect()}
     assert {p: n for p, n in counts.items() if p != "rdf:type"} == dict(duck.execute(ORACLE["kg_triples_per_predicate"]).fetchall()) and counts["rdf:type"] > 0
-    sampled = ORACLE["kg_triples_sample"]
-    assert sampled.count(" where building_id < 50") == 3
-    want = duck.execute(sampled.replace(" where building_id < 50", "")).fetchall()
+    want = duck.execute(ORACLE["kg_building_triples"]).fetchall()
     got = [r for r in rows if r[1] in ("cw:height", "cw:roofLabel", "cw:hasSolid") and r[0].startswith("cw:b/")]
     assert Counter(got) == Counter(want) and len(want) > 3 * 50
 
