@@ -180,9 +180,9 @@ def workload_sql() -> dict[str, str]:
         "q6_ground_pairs_listing": q(_q6 + " where height_m > 30"),
         "q6_ground_pairs_prose": q(_q6 + " where home"),
         "q6_ground_pairs_table": q(_q6 + " where home and height_m > 30"),
-        "q7_tall_hotels": q("select 'cw:crowd/way/' || area_id as area, label as name, shape from linked join solid_text on building_id = surface_id where class = 'Hotel' and height_m > 30"),
-        "q8_tall_residential": q(f"select {_pair}, shape as \"groundShape\" from linked join ground_text using (surface_id) where home and height_m > 30"),
-        "q8_entailed": q(f"select {_pair}, shape as \"groundShape\" from linked join ground_text using (surface_id) where home and height_m > 30"),
+        "q7_tall_hotels": q("select 'cw:b/' || building_id as building, height_m::double as h, 'cw:crowd/way/' || area_id as area, label as name, shape from linked join solid_text on building_id = surface_id where class = 'Hotel' and height_m > 30"),
+        "q8_tall_residential": q(f"select 'cw:b/' || surface_id as building, {_pair}, shape as \"groundShape\" from linked join ground_text using (surface_id) where home and height_m > 30"),
+        "q8_entailed": q(f"select 'cw:b/' || surface_id as building, {_pair}, shape as \"groundShape\" from linked join ground_text using (surface_id) where home and height_m > 30"),
         "q9_pitched_residential": q(f"select 'cw:crowd/way/' || area_id as area, iri as roof, roof_label as \"roofType\", shape from linked join roof on building_id = surface_id join roof_text using (building_id) where home and roof_label <> '{workload.FLAT}'"),
         "q10_road_impact_rows": q(f"select 'cw:crowd/road/' || road_id as road, 'cw:g/' || surface_id as ground, shape, round(area_m2, 4) as area {_impact}"),
         "q10_road_impact_total": q(f"select count(*) as surfaces, round(sum(area_m2), 4) as total from (select distinct surface_id, area_m2 {_impact})"),
