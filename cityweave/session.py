@@ -38,3 +38,19 @@ def ship(spark: SparkSession) -> None:
             z.write(f, f.relative_to(_PACKAGE.parent))
     sc.addPyFile(str(archive))
     sc._cityweave_shipped = True
+
+
+def broadcast_by_measure(spark: SparkSession) -> None:
+    """Lets joins broadcast a side only by its size as measured while they run.
+
+    Geometry is made from keys, and kept tables are compressed, so what a plan
+    says of a side's size before it runs can be a hundredth of the truth, and
+    the driver would hold all of it. Sides that the code marks as small are
+    still broadcast at once.
+    """
+    planned, measured = "spark.sql.autoBroadcastJoinThreshold", "spark.sql.adaptive.autoBroadcastJoinThreshold"
+    if spark.conf.get("spark.sql.adaptive.enabled") != "true" or (most := spark.conf.get(planned)) in ("-1", "-1b"):
+        return
+    if spark.conf.get(measured, None) is None:
+        spark.conf.set(measured, most)
+    spark.conf.set(planned, "-1")
