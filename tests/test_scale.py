@@ -6,7 +6,7 @@ from cityweave.context import Context, context
 from cityweave.operators import spatial
 
 
-@pytest.mark.parametrize("key", ["q10_road_impact_rows_sql", "q10_sql_published"])
+@pytest.mark.parametrize("key", ["q10_road_impact_rows_sql", "q10_sql_published", "q10_road_impact_total_sql"])
 def test_road_queries_by_hand_link_nothing(spark, city, key):
     own = Context(spark, city.sf_dir)
     fn = {"q10_sql_published": lambda c: c.by_hand.published_sql()}.get(key, lambda c: c.by_hand.query(key.removesuffix("_sql")))
