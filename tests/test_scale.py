@@ -1,9 +1,11 @@
 """What runs at size depends on: plans and writes that don't grow with what they needn't hold."""
 
 import pytest
+from conftest import SMALL
 
 from cityweave.context import Context, context
 from cityweave.operators import spatial
+from cityweave.streaming import feeds
 
 
 @pytest.mark.parametrize("key", ["q10_road_impact_rows_sql", "q10_sql_published", "q10_road_impact_total_sql"])
@@ -22,3 +24,10 @@ def test_geometry_is_not_broadcast_by_estimate(spark, city):
     plan = spatial.candidates(ids(c.city.ground, "surface_id"), ids(c.city.crowd, "area_id"))._jdf.queryExecution().sparkPlan().toString()
     assert "SortMergeJoin" in plan and "Broadcast" not in plan
     assert spark.conf.get("spark.sql.adaptive.autoBroadcastJoinThreshold") not in (None, "-1")
+
+
+def test_late_count_over_several_files(spark, tmp_path, monkeypatch):
+    """The table's own events are never late, in whatever files and order they lie."""
+    monkeypatch.setattr(feeds, "STRETCH_ROWS", 300, raising=False)
+    spark.read.parquet(f"{SMALL}/events.parquet").repartition(4, "event_id").write.parquet(f"{tmp_path}/events.parquet")
+    assert [tuple(r) for r in feeds._late(Context(spark, str(tmp_path))).collect()] == [(50,)]
