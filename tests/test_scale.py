@@ -3,6 +3,7 @@
 import pytest
 from conftest import SMALL
 
+from cityweave import registry
 from cityweave.context import Context, context
 from cityweave.operators import spatial
 from cityweave.streaming import feeds
@@ -31,3 +32,12 @@ def test_late_count_over_several_files(spark, tmp_path, monkeypatch):
     monkeypatch.setattr(feeds, "STRETCH_ROWS", 300, raising=False)
     spark.read.parquet(f"{SMALL}/events.parquet").repartition(4, "event_id").write.parquet(f"{tmp_path}/events.parquet")
     assert [tuple(r) for r in feeds._late(Context(spark, str(tmp_path))).collect()] == [(50,)]
+
+
+@pytest.mark.parametrize("key", ["onto_closure", "onto_subtree"])
+def test_vocabulary_has_the_tables_classes(spark, city, key):
+    """Classes of use come from the table of buildings."""
+    df = registry.queries()[key](spark, city.sf_dir)
+    named = {r[0] for r in df.select("class" if key == "onto_subtree" else "sub").distinct().collect()}
+    assert {f"cw:usage/{r[0]}" for r in city.city.table("part").select("p_type").distinct().collect()} <= named
+    assert len({n for n in named if n.count("/") == 2}) > 10 and "cw:HousingBlockA" in named
