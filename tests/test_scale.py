@@ -6,6 +6,7 @@ from conftest import SMALL
 from cityweave import registry
 from cityweave.context import Context, context
 from cityweave.operators import spatial
+from cityweave.plans import ontology
 from cityweave.streaming import feeds
 
 
@@ -41,3 +42,10 @@ def test_vocabulary_has_the_tables_classes(spark, city, key):
     named = {r[0] for r in df.select("class" if key == "onto_subtree" else "sub").distinct().collect()}
     assert {f"cw:usage/{r[0]}" for r in city.city.table("part").select("p_type").distinct().collect()} <= named
     assert len({n for n in named if n.count("/") == 2}) > 10 and "cw:HousingBlockA" in named
+
+
+def test_subtree_follows_new_rows(spark, tmp_path):
+    """A part of an unknown type brings its class, at any depth; null and one-word names bring what they can."""
+    rows = spark.createDataFrame([(1, "old hut", "LONELY"), (2, "hut", "LONELY"), (3, None, "BARE"), (4, "old hut", None)], "p_partkey long, p_name string, p_type string")
+    edges = {tuple(r) for r in ontology.usage_edges(rows).collect()}
+    assert edges == {("cw:usage/LONELY", "cw:Building"), ("cw:usage/LONELY/hut", "cw:usage/LONELY"), ("cw:usage/LONELY/old_hut", "cw:usage/LONELY/hut"), ("cw:usage/BARE", "cw:Building")}
