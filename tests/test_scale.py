@@ -1,5 +1,7 @@
 """What runs at size depends on: plans and writes that don't grow with what they needn't hold."""
 
+from dataclasses import replace
+
 import pytest
 from conftest import SMALL
 
@@ -7,6 +9,7 @@ from cityweave import registry
 from cityweave.context import Context, context
 from cityweave.operators import spatial
 from cityweave.plans import ontology
+from cityweave.plans.graph import VirtualGraph
 from cityweave.streaming import feeds
 
 
@@ -49,3 +52,16 @@ def test_subtree_follows_new_rows(spark, tmp_path):
     rows = spark.createDataFrame([(1, "old hut", "LONELY"), (2, "hut", "LONELY"), (3, None, "BARE"), (4, "old hut", None)], "p_partkey long, p_name string, p_type string")
     edges = {tuple(r) for r in ontology.usage_edges(rows).collect()}
     assert edges == {("cw:usage/LONELY", "cw:Building"), ("cw:usage/LONELY/hut", "cw:usage/LONELY"), ("cw:usage/LONELY/old_hut", "cw:usage/LONELY/hut"), ("cw:usage/BARE", "cw:Building")}
+
+
+def test_triples_made_once_and_unknown_keys_kept(spark, city):
+    """Types that a face entails come from the buildings themselves; a face of a building that isn't there still makes it one, once."""
+    plain = city.virtual
+    walls = spark.createDataFrame([(1, 1, 999999, 1), (1, 2, 999999, 1)], "ord long, line long, building_id long, supp long")
+    store = replace(city.store, extra={"wall": replace(city.store.sources["wall"], frame=lambda: walls)})
+    store.__dict__.pop("sources", None)
+    made = VirtualGraph(plain.ontology, plain.mappings, store).materialize_sources({"wall", "building"})
+    assert "LeftAnti" in made._jdf.queryExecution().optimizedPlan().toString()
+    found = made.where("s = 'cw:b/999999'").groupBy("p", "o").count().collect()
+    assert all(r["count"] == 1 for r in found)
+    assert {r["o"] for r in found if r["p"] == "rdf:type"} == {"cw:Building", "cw:SpatialFeature", "cw:Feature"} and sum(r["p"] == "cw:hasFace" for r in found) == 2
