@@ -1,14 +1,17 @@
 """What runs at size depends on: plans and writes that don't grow with what they needn't hold."""
 
 from dataclasses import replace
+from functools import reduce
 
 import pytest
 from conftest import SMALL
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from cityweave import registry
+from cityweave import registry, workload
 from cityweave.context import Context, context
 from cityweave.operators import spatial
-from cityweave.plans import ontology
+from cityweave.plans import graph, ontology
 from cityweave.plans.graph import VirtualGraph
 from cityweave.streaming import feeds
 
@@ -65,3 +68,56 @@ def test_triples_made_once_and_unknown_keys_kept(spark, city):
     found = made.where("s = 'cw:b/999999'").groupBy("p", "o").count().collect()
     assert all(r["count"] == 1 for r in found)
     assert {r["o"] for r in found if r["p"] == "rdf:type"} == {"cw:Building", "cw:SpatialFeature", "cw:Feature"} and sum(r["p"] == "cw:hasFace" for r in found) == 2
+
+
+#: Queries over written graphs, with the number of parts or kinds of subject that they ask for.
+ASKED = {
+    "q2_address_exact_mkg_predicate": 3,
+}
+
+
+@pytest.mark.parametrize("key", ASKED)
+def test_graph_is_written_as_asked(spark, city, key):
+    """A query has the parts of the graph written that it may match, and links are made only if one of these needs them."""
+    own, (name, layout) = Context(spark, city.sf_dir), key.split("_mkg_")
+    rows = lambda c, g: sorted(map(repr, workload.finished(name, g.query(workload.QUERIES[name])).collect()))
+    got = rows(own, own.asked(layout))
+    assert "links" not in vars(own)
+    assert len(own.asked(layout).written) == ASKED[key]
+    assert got and got == rows(city, city.virtual)
+
+
+def test_parts_are_the_graph(city):
+    """All parts together are all triples, each once."""
+    v, keys = city.virtual, ["s", "p", "o", "o_num"]
+    assert all(len({(a.target.predicate, a.target.subject.pattern) for a in part}) == 1 for part in v.parts)
+    made = [v.part(k).select(*keys, F.lit(k).alias("k")) for k in range(len(v.parts))]
+    parts = reduce(DataFrame.unionByName, made).localCheckpoint()
+    whole = city.triples.select(keys)
+    assert parts.count() == whole.count()
+    assert parts.select(keys).exceptAll(whole).isEmpty()
+
+
+def test_wide_rows_are_made_either_way(spark, city):
+    """Rows of subjects straight from a source are those that gathering the triples gives; a key that comes twice is gathered."""
+    v = city.virtual
+    number = {(a.target.predicate, a.target.subject.pattern, getattr(a.target.object, "iri", None)): k for k, part in enumerate(v.parts) for a in part}
+    parts = frozenset({number["cw:label", "cw:crowd/way/{}", None], number["cw:hasGeometry", "cw:crowd/way/{}", None]})
+    straight = v.subject_rows("cw:crowd/way/{}", parts)
+    gathered = graph._gathered(reduce(DataFrame.unionByName, [v.part(k) for k in parts]), ["cw:hasGeometry", "cw:label"])
+    assert straight.columns == gathered.columns and straight.where("size(cw_label) = 0").count() > 0
+    assert straight.exceptAll(gathered).isEmpty() and gathered.exceptAll(straight).isEmpty()
+    crowd = city.store.sources["crowd"]
+    store = replace(city.store, extra={"crowd": replace(crowd, frame=lambda: crowd.frame().unionAll(crowd.frame().where("area_id = 1")))})
+    store.__dict__.pop("sources", None)
+    twice = VirtualGraph(v.ontology, v.mappings, store)
+    assert twice.subject_rows("cw:crowd/way/{}", parts) is None
+
+
+def test_links_of_given_buildings_keep_their_own(spark, city):
+    """A link's building is among the city's; where buildings come from elsewhere, those that only links know stay buildings."""
+    store = replace(city.store, extra={"building": replace(city.store.sources["building"], frame=lambda: city.city.buildings.where("building_id < 0"))})
+    store.__dict__.pop("sources", None)
+    v = VirtualGraph(city.virtual.ontology, city.virtual.mappings, store)
+    made = v.materialize_sources({"poi_link", "building"}).where("p = 'rdf:type' and o = 'cw:Building'")
+    assert made.count() == city.links.poi_links.select("surface_id").distinct().count() > 0
