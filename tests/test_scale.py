@@ -73,6 +73,7 @@ def test_triples_made_once_and_unknown_keys_kept(spark, city):
 #: Queries over written graphs, with the number of parts or kinds of subject that they ask for.
 ASKED = {
     "q2_address_exact_mkg_predicate": 3,
+    "q2_address_exact_mkg_wide": 2,
 }
 
 
