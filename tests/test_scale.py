@@ -74,6 +74,7 @@ def test_triples_made_once_and_unknown_keys_kept(spark, city):
 ASKED = {
     "q2_address_exact_mkg_predicate": 3,
     "q2_address_exact_mkg_wide": 2,
+    "q3_most_roofs_mkg_wide": 2,
 }
 
 
