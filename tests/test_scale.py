@@ -76,6 +76,7 @@ ASKED = {
     "q2_address_exact_mkg_wide": 2,
     "q3_most_roofs_mkg_wide": 2,
     "q1_tall_addresses_mkg_triples": 3,
+    "q2_address_contains_mkg_predicate": 2,
 }
 
 
