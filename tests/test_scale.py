@@ -77,6 +77,7 @@ ASKED = {
     "q3_most_roofs_mkg_wide": 2,
     "q1_tall_addresses_mkg_triples": 3,
     "q2_address_contains_mkg_predicate": 2,
+    "q2_address_contains_mkg_triples": 2,
 }
 
 
