@@ -78,6 +78,7 @@ ASKED = {
     "q1_tall_addresses_mkg_triples": 3,
     "q2_address_contains_mkg_predicate": 2,
     "q2_address_contains_mkg_triples": 2,
+    "q4_tall_roofs_mkg_predicate": 5,
 }
 
 
