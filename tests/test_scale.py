@@ -79,6 +79,7 @@ ASKED = {
     "q2_address_contains_mkg_predicate": 2,
     "q2_address_contains_mkg_triples": 2,
     "q4_tall_roofs_mkg_predicate": 5,
+    "q4_tall_roofs_mkg_wide": 3,
 }
 
 
