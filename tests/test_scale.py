@@ -80,6 +80,7 @@ ASKED = {
     "q2_address_contains_mkg_triples": 2,
     "q4_tall_roofs_mkg_predicate": 5,
     "q4_tall_roofs_mkg_wide": 3,
+    "q10_road_impact_rows_mkg_triples": 15,
 }
 
 
