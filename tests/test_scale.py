@@ -81,6 +81,7 @@ ASKED = {
     "q4_tall_roofs_mkg_predicate": 5,
     "q4_tall_roofs_mkg_wide": 3,
     "q10_road_impact_rows_mkg_triples": 15,
+    "q5_tall_solids_mkg_wide": 2,
 }
 
 
