@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from cityweave import registry, workload
 from cityweave.context import Context, context
+from cityweave.functions import geom, wkt
 from cityweave.operators import spatial
 from cityweave.plans import graph, ontology
 from cityweave.plans.graph import VirtualGraph
@@ -130,3 +131,16 @@ def test_links_of_given_buildings_keep_their_own(spark, city):
     v = VirtualGraph(city.virtual.ontology, city.virtual.mappings, store)
     made = v.materialize_sources({"poi_link", "building"}).where("p = 'rdf:type' and o = 'cw:Building'")
     assert made.count() == city.links.poi_links.select("surface_id").distinct().count() > 0
+
+
+def test_distances_are_worked_out_once(spark, city):
+    """No filter or join repeats the distance of a pair; shapes that don't touch are as far apart as their nearest edges."""
+    plan = registry.queries()["geo_distance"](spark, city.sf_dir)._jdf.queryExecution().optimizedPlan().toString()
+    assert not [x for x in plan.splitlines() if x.lstrip(" :+-").startswith(("Filter", "Join")) and "exists(" in x]
+    shapes = ["POLYGON ((0 0, 4 0, 4 2, 0 2, 0 0))", "POLYGON ((10 5, 12 9, 6 9, 10 5))", "POLYGON ((7 -6, 9 -3, 7 0, 5 -3, 7 -6))"]
+    rows = spark.createDataFrame([(s, t) for s in shapes for t in shapes if s != t], "s string, t string")
+    a, b = (geom.segments(wkt.from_polygon_wkt(F.col(c))) for c in "st")
+    edges = F.array_min(F.flatten(F.transform(a, lambda e: F.transform(b, lambda f: geom.segment_distance(e, f)))))
+    assert all(abs(r[0] - r[1]) < 1e-12 and r[0] > 0.5 for r in rows.select(geom.gap(a, b), edges).collect())
+    line = geom.line_segments(F.array(geom.point(0, 10), geom.point(0, 6)))
+    assert spark.range(1).select(geom.gap(line, geom.segments(F.array(geom.box_ring(*map(F.lit, (0.0, 0.0, 4.0, 2.0))))), a_closed=False)).first()[0] == 4.0
