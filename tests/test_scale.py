@@ -14,9 +14,29 @@ from cityweave.functions import geom, wkt
 from cityweave.operators import spatial
 from cityweave.plans import graph, ontology
 from cityweave.plans.graph import VirtualGraph
+from cityweave.sources import city as layers
 from cityweave.streaming import feeds
 
 
+def _below_dealing(df):
+    """Parts of a plan that are worked out by the tasks that read a dealt table's file."""
+    return [x.split("RelationV2")[0].split("Relation [")[0] for x in df._jdf.queryExecution().optimizedPlan().toString().split("RepartitionByExpression")[1:]]
+
+
+@pytest.mark.parametrize("key", ["q10_sql_published"])
+def test_layers_are_dealt_by_rows(spark, city, monkeypatch, key):
+    """A layer in one small file is many tasks' work, the filters of its geometry too; the rows stay the same."""
+    run = lambda c: {"q10_sql_published": lambda: c.by_hand.published_sql()}.get(key, lambda: c.by_hand.query(key.removesuffix("_sql")))()
+    want = sorted(map(repr, run(Context(spark, city.sf_dir)).collect()))
+    monkeypatch.setattr(layers, "TASK_ROWS", 64, raising=False)
+    own = Context(spark, city.sf_dir)
+    assert own.city.ground.rdd.getNumPartitions() == 4
+    rows = run(own)
+    below = _below_dealing(rows)
+    assert below and not any("transform(" in x or "array_min" in x for x in below)
+    assert want and sorted(map(repr, rows.collect())) == want
+
+
 @pytest.mark.parametrize("key", ["q10_road_impact_rows_sql", "q10_sql_published", "q10_road_impact_total_sql"])
 def test_road_queries_by_hand_link_nothing(spark, city, key):
     own = Context(spark, city.sf_dir)
