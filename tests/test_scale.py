@@ -23,7 +23,7 @@ def _below_dealing(df):
     return [x.split("RelationV2")[0].split("Relation [")[0] for x in df._jdf.queryExecution().optimizedPlan().toString().split("RepartitionByExpression")[1:]]
 
 
-@pytest.mark.parametrize("key", ["q10_sql_published"])
+@pytest.mark.parametrize("key", ["q10_sql_published", "q10_road_impact_total_sql"])
 def test_layers_are_dealt_by_rows(spark, city, monkeypatch, key):
     """A layer in one small file is many tasks' work, the filters of its geometry too; the rows stay the same."""
     run = lambda c: {"q10_sql_published": lambda: c.by_hand.published_sql()}.get(key, lambda: c.by_hand.query(key.removesuffix("_sql")))()
