@@ -12,7 +12,7 @@ from cityweave import measures, registry, workload
 from cityweave.context import Context, context
 from cityweave.functions import geom, wkt
 from cityweave.operators import spatial
-from cityweave.plans import graph, ontology
+from cityweave.plans import graph, mappings, ontology
 from cityweave.plans.graph import VirtualGraph
 from cityweave.sources import city as layers
 from cityweave.streaming import feeds
@@ -173,3 +173,16 @@ def test_support_writes_what_is_asked(spark, city):
     assert not own._written
     assert len(done) == 40 and {o for _, _, o, _ in done} == {"ok"}
     assert len({(q, n) for _, q, _, n in done}) == 10
+
+
+def test_solids_are_written_corner_by_corner(spark):
+    """The text of a solid is that of its faces, for any ring; a corner's numbers aren't written again for each face."""
+    point = "struct<x:double,y:double>"
+    ring = lambda *p: [[dict(x=x, y=y) for x, y in p]]
+    shapes = [ring((0.0, 0.0), (4.0, -0.0001), (4.0, 2.5)), ring((0.0, 0.0), (12.0, 0.0), (12.0, 4.0), (4.0, 4.0), (4.0, 12.0), (-0.5, 12.0)), ring((1.0, 1.0)), ring((None, 1.0), (2.0, 3.0)), None]
+    rows = spark.createDataFrame([(s, h) for s in shapes for h in (31.0, 0.0, None)], f"rings array<array<{point}>>, h double")
+    rings, h = F.col("rings"), F.col("h")
+    both = rows.select(mappings.FORMS["solid"](rings, h), wkt.polyhedral_wkt(geom.faces(rings, h))).collect()
+    assert len({r[0] for r in both}) == 13 and all(r[0] == r[1] for r in both)
+    plan = rows.select(mappings.FORMS["solid"](rings, h).alias("t"))._jdf.queryExecution().analyzed().toString()
+    assert "format_string" not in plan.split("POLYHEDRALSURFACE")[1]
