@@ -186,3 +186,14 @@ def test_solids_are_written_corner_by_corner(spark):
     assert len({r[0] for r in both}) == 13 and all(r[0] == r[1] for r in both)
     plan = rows.select(mappings.FORMS["solid"](rings, h).alias("t"))._jdf.queryExecution().analyzed().toString()
     assert "format_string" not in plan.split("POLYHEDRALSURFACE")[1]
+
+
+@pytest.mark.parametrize("key", ["q2_address_contains_mkg_predicate"])
+def test_what_is_made_distinct_is_not_looked_up(spark, city, key):
+    """The pairs of building and address are distinct as they are made: they are read to be written, and not for their keys as well."""
+    own, (name, layout), reads = Context(spark, city.sf_dir), key.split("_mkg_"), []
+    source = own.store.sources["building_address"]
+    own.store.sources["building_address"] = replace(source, frame=lambda: reads.append(1) or source.frame())
+    got = own.asked(layout).query(workload.QUERIES[name])
+    assert len(reads) == 1
+    assert sorted(map(repr, got.collect())) == sorted(map(repr, city.virtual.query(workload.QUERIES[name]).collect()))
