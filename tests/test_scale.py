@@ -188,7 +188,7 @@ def test_solids_are_written_corner_by_corner(spark):
     assert "format_string" not in plan.split("POLYHEDRALSURFACE")[1]
 
 
-@pytest.mark.parametrize("key", ["q2_address_contains_mkg_predicate", "q1_tall_addresses_mkg_triples", "q2_address_exact_mkg_wide"])
+@pytest.mark.parametrize("key", ["q2_address_contains_mkg_predicate", "q1_tall_addresses_mkg_triples", "q2_address_exact_mkg_wide", "q2_address_contains_mkg_triples"])
 def test_what_is_made_distinct_is_not_looked_up(spark, city, key):
     """The pairs of building and address are distinct as they are made: they are read to be written, and not for their keys as well."""
     own, (name, layout), reads = Context(spark, city.sf_dir), key.split("_mkg_"), []
