@@ -7,6 +7,7 @@ import tempfile
 import zipfile
 from pathlib import Path
 
+from pyspark.errors import utils
 from pyspark.sql import SparkSession
 
 _PACKAGE = Path(__file__).resolve().parent
@@ -54,3 +55,12 @@ def broadcast_by_measure(spark: SparkSession) -> None:
     if spark.conf.get(measured, None) is None:
         spark.conf.set(measured, most)
     spark.conf.set(planned, "-1")
+
+
+def plan_without_call_sites(spark: SparkSession) -> None:
+    """Stops noting the calling line with each column expression: plans here have tens of thousands, and each note asks the JVM several times.
+
+    A session that sets spark.python.sql.dataFrameDebugging.enabled itself, which can't be set later, keeps what it says.
+    """
+    if not spark.sparkContext.getConf().contains("spark.python.sql.dataFrameDebugging.enabled") and hasattr(utils, "_enable_debugging_cache"):
+        utils._enable_debugging_cache = False

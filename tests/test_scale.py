@@ -197,3 +197,26 @@ def test_what_is_made_distinct_is_not_looked_up(spark, city, key):
     got = own.asked(layout).query(workload.QUERIES[name])
     assert len(reads) == 1
     assert sorted(map(repr, got.collect())) == sorted(map(repr, city.virtual.query(workload.QUERIES[name]).collect()))
+
+
+@pytest.mark.parametrize("key", ["q10_road_impact_rows_mkg_triples", "q1_tall_addresses_mkg_triples", "q2_address_contains_mkg_predicate", "q2_address_contains_mkg_triples", "q4_tall_roofs_mkg_predicate"])
+def test_parts_asked_are_written_in_one_pass(spark, city, key):
+    """All that a query asks for is written together, and read back as it is part by part."""
+    own, (name, layout) = Context(spark, city.sf_dir), key.split("_mkg_")
+    asked = own.asked(layout)
+    asked.query(workload.QUERIES[name])
+    assert len({*asked.written.values()}) == 1
+    for k in asked.written:
+        (got,) = asked._part_rows({k})
+        want = own.virtual.part(k)
+        assert got.exceptAll(want.select(got.columns)).isEmpty() and got.count() == want.count()
+
+
+def test_keys_are_looked_up_as_bits(spark):
+    """Keys that come twice are found, whatever numbers they are; those that bits can't tell are counted."""
+    one = lambda *k: graph._no_key_twice(spark.createDataFrame([(x,) for x in k], "a long"), ("a",))
+    two = lambda *k: graph._no_key_twice(spark.createDataFrame([*k], "a long, b long, c long"), ("a", "b", "c"))
+    assert one(0, 63, 64, -1, 127, 1 << 40) and one(5, None) and one()
+    assert not one(-1, 3, -1) and not one(None, 3, None)
+    assert two((1, 0, 5), (1, 7, 5), (2, 0, 5), (-1, 0, 5)) and two((1, 8, 5), (2, 0, 5)) and two((1, 1, 5), (1, 1, 6)) and two((1, None, 5), (1, 1, 5))
+    assert not two((1, 1, 5), (1, 1, 5)) and not two((1, 9, 5), (1, 9, 5)) and not two((None, 1, 5), (None, 1, 5))
