@@ -233,3 +233,29 @@ def test_addresses_are_made_distinct_at_once(spark, city, key):
     got = own.asked(layout).query(workload.QUERIES[name])
     assert "address" not in own.virtual._unique
     assert sorted(map(repr, got.collect())) == sorted(map(repr, city.virtual.query(workload.QUERIES[name]).collect()))
+
+
+def test_graphs_are_compared_in_slices(spark, city, monkeypatch, tmp_path):
+    """Each triple is in one slice of bounded size; what is missing, repeated or of no known predicate or class is told."""
+    monkeypatch.setattr(graph, "COMPARED_ROWS", 8000, raising=False)
+    odd = spark.createDataFrame([("cw:b/1", "cw:odd", "x", 1, None, None, None), ("cw:b/1", "rdf:type", "cw:Odd", 0, None, None, None)], graph.TRIPLE)
+    again = city.triples.where("s = 'cw:b/3' and p = 'cw:height'")
+    gone = city.triples.where("s = 'cw:b/7'").count()
+    written = graph.MaterializedGraph.write(city.triples.where("s <> 'cw:b/7'").unionByName(again).unionByName(odd), city.ontology, "predicate", str(tmp_path / "graph"))
+    slices = [each.collect() for each in graph.compared(written, city.virtual)]
+    rows = [r for each in slices for r in each]
+    assert len(slices) > 6 and all(sum(r["r"] for r in each) <= 9000 for each in slices)
+    assert len({(r["s"], r["p"], r["o"]) for r in rows}) == len(rows)
+    assert (sum(r["r"] for r in rows), sum(r["w"] for r in rows)) == (written.table.count(), city.triples.count())
+    wrong = sorted((r["s"], r["p"], r["r"], r["w"]) for r in rows if r["r"] != r["w"])
+    assert [x for x in wrong if x[0] != "cw:b/7"] == [("cw:b/1", "cw:odd", 1, 0), ("cw:b/1", "rdf:type", 1, 0), ("cw:b/3", "cw:height", 2, 1)]
+    assert len(wrong) == gone + 3 and gone
+
+
+def test_refresh_writes_the_graph_once(spark, city):
+    """The graph that is refreshed is the one that was written, and goes when it has been compared."""
+    own = Context(spark, city.sf_dir)
+    assert [tuple(r) for r in registry._refresh_equal(own).collect()] == [(0, 0, 200)]
+    assert "predicate" not in own._written
+    place = spark._jvm.org.apache.hadoop.fs.Path(own.scratch.base)
+    assert not [f.getPath().getName() for f in place.getFileSystem(spark._jsc.hadoopConfiguration()).listStatus(place) if f.getPath().getName().startswith("graph-")]
