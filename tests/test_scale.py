@@ -274,3 +274,14 @@ def test_support_writes_each_kind_once(spark, city, monkeypatch):
     written = own.asked("triples").written
     passes = {written[k] for k in written if any(a.source == "building" for a in own.virtual.parts[k])}
     assert len(passes) == 1
+
+
+def test_expressiveness_prepares_each_layout_once(spark, city, monkeypatch):
+    """The spatial query is answered by all systems, from what was written at once for all queries."""
+    monkeypatch.setattr(measures, "TEN", {"Q1": ["q1_tall_addresses"], "Q10": ["q10_road_impact_rows"]})
+    own = Context(spark, city.sf_dir)
+    rows = measures.QUERIES["m_expressiveness"](own).collect()
+    assert [tuple(r) for r in rows] == [(s, 2, 2) for s in ("virtual", *graph.LAYOUTS)]
+    for layout in ("triples", "predicate"):
+        g = own.asked(layout)
+        assert {path.split("/")[-1].split("-")[0] for path in g.written.values()} == {"0"}
